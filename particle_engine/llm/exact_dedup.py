@@ -54,7 +54,8 @@ def exact_groups(docs: DataFrame, keep: str = "min") -> DataFrame:
     # only texts of hits are compared; their rows come from the runs (a counted broadcast, or a join)
     members = stage_table(runs.join(bounded_broadcast(hits.select("digest"), 80, n_hits), "digest", "left_semi"), "members")
     wanted = bounded_broadcast(members.select(F.col("doc_id").alias("member_id"), "digest").distinct(), 100, members.count())
-    several = docs.join(wanted, F.col("doc_id").cast("long").eqNullSafe(F.col("member_id"))).select("digest", _normal().alias("body"))
+    source = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    several = source.join(wanted, F.col("doc_id").eqNullSafe(F.col("member_id"))).select("digest", _normal().alias("body"))
     several = several.where(F.unhex(F.sha2("body", 256)) == F.col("digest"))
     checked = several.groupBy("digest").agg(F.min("body").alias("low"), F.max("body").alias("high")).select("digest", (F.col("low") == F.col("high")).alias("same"))
     proven = hits.join(checked, "digest").select(
