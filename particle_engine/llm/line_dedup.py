@@ -2,7 +2,7 @@
 
 * Equal lines meet by a 64-bit hash of the line; the first in (doc_id, line) order is theirs.
 * Signature: shingles of up to ``SHINGLE`` characters that start at every word
-  and every ``STEP`` characters inside one (all characters are covered); the
+  and every ``STEP`` characters inside a longer one (all characters are covered); the
   ``BOTTOM`` smallest shingle hashes are the line's MinHash signature.
 * Banding: a band is a pair of signature values; with 5 values there are 10
   bands, and lines of Jaccard similarity 0.8 share one with probability 0.99.
@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 
 from particle_engine.llm.common import bounded_broadcast, connected_components, stage_table
 
-SHINGLE, STEP, BOTTOM = 12, 6, 5
+SHINGLE, STEP, BOTTOM = 12, 12, 5
 SIMILARITY = 0.8
 CHUNKS = rf"(?s)(?=(.{{1,{SHINGLE}}}))[^ ]{{1,{STEP}}} *"
 
@@ -44,22 +44,23 @@ def _lines(docs: DataFrame) -> DataFrame:
 
 
 def candidate_pairs(lines: DataFrame) -> DataFrame:
-    """(a, b): line ids that meet in a band, each with its predecessor and the band's first."""
-    sig = F.slice("s", 1, BOTTOM)
+    """(a, b): line ids that meet in a band, each with its predecessor and the band's first. ``lines`` holds each line once."""
     bands = [F.when(F.col("n") > j, F.xxhash64(F.get("sig", F.lit(i)), F.get("sig", F.lit(j)))) for i, j in combinations(range(BOTTOM), 2)]
-    marked = lines.select("line_id", shingles(F.col("line")).alias("s")).select("line_id", F.size("s").alias("n"), sig.alias("sig")).where("n > 1")
-    banded = marked.select("line_id", "n", F.xxhash64("sig").alias("order"), F.explode(F.array_compact(F.array(*bands))).alias("band"))
-    banded = banded.distinct()
-    sorted_band = Window.partitionBy("band").orderBy("n", "order", "line_id")
+    marked = lines.select("line_id", shingles(F.col("line")).alias("s")).select("line_id", F.size("s").alias("n"), F.slice("s", 1, BOTTOM).alias("sig")).where("n > 1")
+    # one sort key: the number of shingles, then the signature's hash, so that like lines are neighbours
+    key = F.shiftleft(F.least("n", F.lit(0x7FFF)).cast("long"), 48).bitwiseOR(F.shiftrightunsigned(F.xxhash64("sig"), 16))
+    banded = marked.select("line_id", key.alias("key"), F.explode(F.array_compact(F.array(*bands))).alias("band"))
+    sorted_band = Window.partitionBy("band").orderBy("key", "line_id")
     met = banded.withColumns(
         {
-            "before": F.lag(F.struct("line_id", "n")).over(sorted_band),
-            "head": F.first(F.struct("line_id", "n")).over(sorted_band.rowsBetween(Window.unboundedPreceding, 0)),
+            "before": F.lag(F.struct("line_id", "key")).over(sorted_band),
+            "head": F.first(F.struct("line_id", "key")).over(sorted_band.rowsBetween(Window.unboundedPreceding, 0)),
         }
     )
-    pairs = met.where("before is not null").select("line_id", "n", F.explode(F.array("before", "head")).alias("o"))
-    near = F.least("n", F.col("o")["n"]) >= SIMILARITY * F.greatest("n", F.col("o")["n"])
-    a, b = F.col("line_id"), F.col("o")["line_id"]
+    pairs = met.where("before is not null").select("line_id", "key", F.explode(F.array("before", "head")).alias("o"))
+    size = lambda c: F.shiftrightunsigned(c, 48)
+    near = F.least(size(F.col("key")), size(F.col("o.key"))) >= SIMILARITY * F.greatest(size(F.col("key")), size(F.col("o.key")))
+    a, b = F.col("line_id"), F.col("o.line_id")
     return pairs.where(near & (a != b)).select(F.least(a, b).alias("a"), F.greatest(a, b).alias("b")).distinct()
 
 
@@ -78,11 +79,16 @@ def dropped_lines(docs: DataFrame) -> DataFrame:
     """(row_key, drops, n_dropped): line numbers to drop from each document that loses any."""
     lines = _lines(docs)
     spots = stage_table(lines.select("line_id", "doc_id", "row_key", "line_no"), "spots")
-    pairs = stage_table(candidate_pairs(lines), "pairs")
-    roots = connected_components(verified_links(lines, pairs), "a", "b").select(F.col("node").alias("line_id"), "root")
     firsts = spots.groupBy("line_id").agg(F.min(F.struct("doc_id", "row_key", "line_no")).alias("first"), F.count(F.lit(1)).alias("n"))
-    several = firsts.join(roots, "line_id", "left").where("n > 1 or root is not null").withColumn("root", F.coalesce("root", "line_id"))
-    several = stage_table(several.select("line_id", "root", "first"), "several")
+    equal = stage_table(firsts.where("n > 1").select("line_id", "first"), "equal-lines")
+    # only the first of equal lines goes on; a counted broadcast or a join tells which
+    marked = lines.join(bounded_broadcast(equal, 48), "line_id", "left")
+    once = marked.where("first is null or (row_key = first.row_key and line_no = first.line_no)").drop("first")
+    pairs = stage_table(candidate_pairs(once), "pairs")
+    roots = connected_components(verified_links(once, pairs), "a", "b").select(F.col("node").alias("line_id"), "root")
+    linked = spots.join(bounded_broadcast(roots, 24), "line_id").groupBy("line_id", "root").agg(F.min(F.struct("doc_id", "row_key", "line_no")).alias("first"))
+    alone = equal.join(roots, "line_id", "left_anti").select("line_id", F.col("line_id").alias("root"), "first")
+    several = stage_table(linked.unionByName(alone), "several")
     kept = several.groupBy("root").agg(F.min("first").alias("kept"))
     kept = stage_table(several.join(kept, "root").select("line_id", F.col("kept.row_key").alias("kept_key"), F.col("kept.line_no").alias("kept_line")), "kept")
     gone = spots.join(bounded_broadcast(kept, 64), "line_id").where("row_key <> kept_key or line_no <> kept_line")
