@@ -86,10 +86,10 @@ def forcing_asof(events: DataFrame, hours: int = 3) -> DataFrame:
 
 
 def nation_month(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(month, nation, revenue): small dimensions broadcast, orders and lineitem meet by order key."""
+    """(month, nation, revenue): summed in hundredths of cents, so exact in any order; orders and lineitem meet by order key."""
     orders = table(spark, sf_dir, "orders").select("o_orderkey", "o_custkey", F.date_format(F.trunc("o_orderdate", "month"), "yyyy-MM-dd").alias("month"))
     customer = table(spark, sf_dir, "customer").select("c_custkey", "c_nationkey")
-    lines = table(spark, sf_dir, "lineitem").select("l_orderkey", (F.col("l_extendedprice") * (1 - F.col("l_discount"))).alias("r"))
+    lines = table(spark, sf_dir, "lineitem").select("l_orderkey", (F.round(F.col("l_extendedprice") * 100).cast("long") * F.round((1 - F.col("l_discount")) * 100).cast("long")).alias("r"))
     per_order = lines.groupBy("l_orderkey").agg(F.sum("r").alias("r"))
     joined = per_order.join(orders, F.col("l_orderkey") == F.col("o_orderkey")).join(customer, F.col("o_custkey") == F.col("c_custkey"))
-    return joined.groupBy("month", F.col("c_nationkey").alias("nation")).agg(F.round(F.sum("r"), 2).alias("revenue"))
+    return joined.groupBy("month", F.col("c_nationkey").alias("nation")).agg((F.sum("r") / F.lit(10000.0)).alias("revenue"))

@@ -101,10 +101,9 @@ def op_full_outer(spark, sf):
 
 @operator("SELECT o_custkey, o_orderkey FROM orders QUALIFY row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) <= 2")
 def op_lateral_top2(spark, sf):
-    """Two dearest orders of each customer: per-parent expansion through a lateral explode of a bounded top list."""
-    top = table(spark, sf, "orders").groupBy("o_custkey").agg(F.expr("max(struct(o_totalprice, -o_orderkey))").alias("a"), F.expr("max_by(struct(o_totalprice, -o_orderkey as k), struct(o_totalprice, -o_orderkey), 2)").alias("best"))
-    top.createOrReplaceTempView("op_lateral_parents")
-    return spark.sql("SELECT p.o_custkey, -b.k AS o_orderkey FROM op_lateral_parents p, LATERAL (SELECT explode(p.best) AS b)")
+    """Two dearest orders of each customer: per-parent expansion by a correlated lateral subquery (decorrelated to a ranked window)."""
+    table(spark, sf, "orders").createOrReplaceTempView("orders")
+    return spark.sql("SELECT c.o_custkey, t.o_orderkey FROM (SELECT DISTINCT o_custkey FROM orders) c, LATERAL (SELECT o.o_orderkey FROM orders o WHERE o.o_custkey = c.o_custkey ORDER BY o.o_totalprice DESC, o.o_orderkey LIMIT 2) t")
 
 
 @operator("SELECT a.n_nationkey AS a_key, count(*) AS below FROM nation a JOIN nation b ON a.n_nationkey > b.n_nationkey AND a.n_regionkey <> b.n_regionkey GROUP BY 1")

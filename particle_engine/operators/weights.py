@@ -53,7 +53,7 @@ def mask_weights(mismatches: DataFrame, bits: int = FIX_BITS) -> DataFrame:
     least = mismatches.agg(F.min("mismatches").alias("least"))
     e = F.lit(bits) - (F.col("mismatches") - F.col("least"))
     joined = mismatches.crossJoin(F.broadcast(least))
-    return joined.select("particle_id", "mismatches", F.when(e >= 0, F.shiftleft(F.lit(1).cast("long"), e.cast("int"))).otherwise(F.lit(0)).cast("long").alias("w_fix"))
+    return joined.select("particle_id", "mismatches", F.when(e >= 0, F.call_function("shiftleft", F.lit(1).cast("long"), e.cast("int"))).otherwise(F.lit(0)).cast("long").alias("w_fix"))
 
 
 def fix_weights(scores: DataFrame, bits: int = FIX_BITS) -> DataFrame:

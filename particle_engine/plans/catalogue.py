@@ -299,19 +299,19 @@ def k2_forcing_asof(spark, sf):
     return observe.forcing_asof(table(spark, sf, "events"))
 
 
-K3 = "SELECT strftime(date_trunc('month', o_orderdate), '%Y-%m-%d') AS month, c_nationkey AS nation, sum(l_extendedprice * (1 - l_discount)) AS r FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey GROUP BY 1, 2"
+K3 = "SELECT strftime(date_trunc('month', o_orderdate), '%Y-%m-%d') AS month, c_nationkey AS nation, sum(CAST(round(l_extendedprice * 100) AS BIGINT) * CAST(round((1 - l_discount) * 100) AS BIGINT)) AS r FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey GROUP BY 1, 2"
 
 
-@query(f"SELECT month, nation, round(r, 2) AS revenue FROM ({K3})")
+@query(f"SELECT month, nation, CAST(r AS BIGINT) / 10000.0::DOUBLE AS revenue FROM ({K3})")
 def k3_nation_month_obs(spark, sf):
     return observe.nation_month(spark, sf)
 
 
-@query(f"SELECT r_name AS region, nation, month, count(*) AS cells, round(sum(round(r, 2)), 1) AS revenue FROM ({K3}) JOIN nation ON n_nationkey = nation JOIN region ON r_regionkey = n_regionkey GROUP BY ROLLUP (r_name, nation, month)")
+@query(f"SELECT r_name AS region, nation, month, count(*) AS cells, CAST(sum(r) AS BIGINT) / 10000.0::DOUBLE AS revenue FROM ({K3}) JOIN nation ON n_nationkey = nation JOIN region ON r_regionkey = n_regionkey GROUP BY ROLLUP (r_name, nation, month)")
 def k3_region_rollup(spark, sf):
     dims = table(spark, sf, "nation").join(table(spark, sf, "region"), F.col("n_regionkey") == F.col("r_regionkey")).select("n_nationkey", F.col("r_name").alias("region"))
     obs = observe.nation_month(spark, sf).join(F.broadcast(dims), F.col("nation") == F.col("n_nationkey"))  # 25 nations
-    return obs.rollup("region", "nation", "month").agg(F.count(F.lit(1)).alias("cells"), F.round(F.sum("revenue"), 1).alias("revenue"))
+    return obs.rollup("region", "nation", "month").agg(F.count(F.lit(1)).alias("cells"), (F.sum(F.round(F.col("revenue") * 10000).cast("long")) / F.lit(10000.0)).alias("revenue"))
 
 
 @query()
@@ -592,7 +592,7 @@ def s3b_best_fit(spark, sf):
         plan = schedule.best_fit_chunks(dict(zip(pdf["parent_id"].tolist(), pdf["alpha"].tolist())), 16)
         return pd.DataFrame({"loads": [sum(map(len, plan.values()))], "bound": [len(pdf) + 15]})
 
-    best = parents.groupBy(F.lit(0)).applyInPandas(run, "loads long, bound long")
+    best = parents.withColumn("series", F.lit(0)).groupBy("series").applyInPandas(run, "loads long, bound long")
     plain = schedule.schedule_loads(schedule.static_schedule(parents, 16)).select(F.col("loads").alias("plain"))
     return best.crossJoin(F.broadcast(plain)).select((F.col("loads") <= F.col("bound")).alias("within_bound"), (F.col("loads") <= F.col("plain")).alias("no_worse"))
 

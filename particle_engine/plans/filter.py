@@ -73,7 +73,7 @@ def run_cycle(states: DataFrame, obs: DataFrame, cycle: int, spec: Spec, store:
     if carried is not None:
         scored = weights.fix_weights(weights.update_weights(carried, scored.select("particle_id", "log_w")))
     w = store.write("weights", run_id, cycle, scored)
-    stats = weights.degeneracy(w).crossJoin(F.broadcast(weights.evidence(w))).withColumn("cycle", F.lit(cycle))
+    stats = weights.degeneracy(w).crossJoin(F.broadcast(weights.evidence(w))).withColumn("cycle", F.lit(cycle))  # one row each
     row = stats.withColumn("redraw", should_redraw(None, spec.policy, spec.policy_threshold)).first().asDict()
     if not row["redraw"]:
         store.write("offspring", run_id, cycle, w.select(F.col("particle_id").alias("slot"), F.col("particle_id").alias("parent_id"), F.lit(0).alias("copy_no")))

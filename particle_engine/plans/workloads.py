@@ -64,7 +64,7 @@ def k1b_filter(level: DataFrame, particles: int, cycles: int, noise: float = 4.0
             x = x[np.searchsorted(np.cumsum(w), at).clip(0, particles - 1)]
         return pd.DataFrame(out, columns=["cycle", "mean", "var", "ess"])
 
-    return level.groupBy(F.lit(0)).applyInPandas(run, "cycle int, mean double, var double, ess double")
+    return level.withColumn("series", F.lit(0)).groupBy("series").applyInPandas(run, "cycle int, mean double, var double, ess double")
 
 
 def scalar_cauchy_cycle(states: DataFrame, y: DataFrame, cycle: int, scale: float) -> DataFrame:

@@ -13,9 +13,8 @@ import json
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
-LOG = "seq long, kind string, run_id string, cycle int, path string, rows long, payload string"
+LOG = "seq long, kind string, run_id string, cycle int, path string, payload string"
 
 
 def shared_root(spark: SparkSession) -> str:
@@ -30,23 +29,42 @@ def shared_root(spark: SparkSession) -> str:
 
 
 class StateStore:
+    """The log is read once and kept by the driver (a row per commit); ``refresh`` reads it again."""
+
     def __init__(self, spark: SparkSession, root: str | None = None):
         self.spark = spark
         self.root = (root or f"{shared_root(spark)}/store-{uuid.uuid4().hex}").rstrip("/")
+        self.refresh()
+
+    def _fs(self, path: str):
+        p = self.spark._jvm.org.apache.hadoop.fs.Path(path)
+        return p.getFileSystem(self.spark._jsc.hadoopConfiguration()), p
 
-    def _log(self) -> DataFrame:
-        path = self.spark._jvm.org.apache.hadoop.fs.Path(f"{self.root}/log")
-        fs = path.getFileSystem(self.spark._jsc.hadoopConfiguration())
+    def manifest(self) -> DataFrame:
+        """The commit log as a table."""
+        fs, path = self._fs(f"{self.root}/log")
         return self.spark.read.schema(LOG).json(f"{self.root}/log") if fs.exists(path) else self.spark.createDataFrame([], LOG)
 
-    def commit(self, kind: str, run_id: str, cycle: int, path: str, rows: int, payload: str = "") -> None:
-        """Append one commit row; the data must be written already."""
-        seq = (self._log().agg(F.max("seq")).first()[0] or 0) + 1
-        self.spark.createDataFrame([(seq, kind, run_id, cycle, path, rows, payload)], LOG).coalesce(1).write.mode("append").json(f"{self.root}/log")
+    def refresh(self) -> None:
+        fs, path = self._fs(f"{self.root}/log")
+        self.entries = [r.asDict() for r in self.manifest().orderBy("seq").collect()] if fs.exists(path) else []
+
+    def commit(self, kind: str, run_id: str, cycle: int, path: str, payload: str = "") -> None:
+        """Append one commit row, as a file of its own moved into place; the data must be written already."""
+        entry = {"seq": self.entries[-1]["seq"] + 1 if self.entries else 1, "kind": kind, "run_id": run_id, "cycle": cycle, "path": path, "payload": payload}
+        name = f"{entry['seq']:09d}-{uuid.uuid4().hex}.json"
+        fs, part = self._fs(f"{self.root}/_pending-{name}")
+        out = fs.create(part)
+        out.write(bytearray((json.dumps(entry) + "\n").encode()))
+        out.close()
+        _, log = self._fs(f"{self.root}/log")
+        fs.mkdirs(log)
+        fs.rename(part, self._fs(f"{self.root}/log/{name}")[1])
+        self.entries.append(entry)
 
     def committed(self, kind: str, run_id: str) -> list[int]:
         """Committed cycles, ascending."""
-        return sorted(r[0] for r in self._log().where((F.col("kind") == kind) & (F.col("run_id") == run_id)).select("cycle").distinct().collect())
+        return sorted({e["cycle"] for e in self.entries if e["kind"] == kind and e["run_id"] == run_id})
 
     def write(self, kind: str, run_id: str, cycle: int, df: DataFrame) -> DataFrame:
         """Write a slice, commit it, and return it re-read (lineage cut)."""
@@ -54,20 +72,20 @@ class StateStore:
             raise ValueError(f"weights of cycle {cycle} before its states")
         path = f"{self.root}/{kind}/run_id={run_id}/cycle={cycle}/attempt={uuid.uuid4().hex}"
         df.write.parquet(path)
-        out = self.spark.read.schema(df.schema).parquet(path)
-        self.commit(kind, run_id, cycle, path, out.count())
-        return out
+        self.commit(kind, run_id, cycle, path)
+        return self.spark.read.schema(df.schema).parquet(path)
+
+    def _last(self, kind: str, run_id: str, cycle: int | None = None) -> dict | None:
+        found = [e for e in self.entries if e["kind"] == kind and e["run_id"] == run_id and cycle in (None, e["cycle"])]
+        return found[-1] if found else None
 
     def read(self, kind: str, run_id: str, cycle: int) -> DataFrame:
         """The newest committed attempt of a slice."""
-        last = self._log().where((F.col("kind") == kind) & (F.col("run_id") == run_id) & (F.col("cycle") == cycle)).orderBy(F.desc("seq")).select("path").first()
+        last = self._last(kind, run_id, cycle)
         if last is None:
             raise KeyError((kind, run_id, cycle))
         return self.spark.read.parquet(last["path"])
 
-    def manifest(self) -> DataFrame:
-        return self._log()
-
     def resume_cycle(self, run_id: str) -> int | None:
         """Last cycle whose states and weights and offspring are all committed."""
         done = set(self.committed("states", run_id)) & set(self.committed("weights", run_id)) & set(self.committed("offspring", run_id))
@@ -75,18 +93,18 @@ class StateStore:
 
     def gc(self, run_id: str, keep_from: int) -> int:
         """Delete state slices of cycles before ``keep_from``; returns how many went."""
-        rows = self._log().where((F.col("kind") == "states") & (F.col("run_id") == run_id) & (F.col("cycle") < keep_from)).select("path").collect()
         gone = 0
-        for r in rows:
-            path = self.spark._jvm.org.apache.hadoop.fs.Path(r["path"])
-            gone += bool(path.getFileSystem(self.spark._jsc.hadoopConfiguration()).delete(path, True))
+        for e in self.entries:
+            if e["kind"] == "states" and e["run_id"] == run_id and e["cycle"] < keep_from:
+                fs, path = self._fs(e["path"])
+                gone += bool(fs.delete(path, True))
         return gone
 
     def save_coordinator(self, run_id: str, cycle: int, state: dict) -> None:
-        self.commit("coordinator", run_id, cycle, "", 0, json.dumps(state, sort_keys=True))
+        self.commit("coordinator", run_id, cycle, "", json.dumps(state, sort_keys=True))
 
     def load_coordinator(self, run_id: str) -> dict | None:
-        last = self._log().where((F.col("kind") == "coordinator") & (F.col("run_id") == run_id)).orderBy(F.desc("seq")).select("payload").first()
+        last = self._last("coordinator", run_id)
         return json.loads(last["payload"]) if last else None
 
     def as_bucketed(self, df: DataFrame, name: str, buckets: int) -> DataFrame:

@@ -16,7 +16,7 @@ from pyspark.sql.streaming import StreamingQuery
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from particle_engine.functions.rng import py_normal4
-from particle_engine.operators.observe import CELLS, cell_of, cycle_of, grid
+from particle_engine.operators.observe import CELLS, EPOCH, cell_of, cycle_of, grid
 from particle_engine.plans.filter import Spec, run_cycle
 from particle_engine.sources.store import StateStore
 from particle_engine.sources.tables import SCHEMAS
@@ -92,33 +92,42 @@ KEYED = "event_type string, cycle int, mean double, ess double, n long"
 
 
 def keyed_filters(stream: DataFrame, particles: int = 64, seed: int = 42, noise: float = 4.0, spread: float = 49.0, lateness: str = "2 hours") -> DataFrame:
-    """A small scalar filter per event type, its ensemble kept in the state store; a cycle runs once its hour closes.
+    """A small scalar filter per event type, its ensemble kept in the state store; a cycle runs once the watermark has passed its hour.
 
-    Input is the append-mode hourly mean per type, so each (type, hour) arrives once.
+    State of a key: its ensemble and count and sum of each hour still open (a few
+    hours, by the watermark).  An event-time timer closes hours without new events.
     """
-    hourly = (
-        stream.withWatermark("ts", lateness).groupBy("event_type", F.window("ts", "1 hour")).agg(F.count(F.lit(1)).alias("n"), F.avg("value").alias("y"))
-        .select("event_type", F.col("window.start").alias("start"), cycle_of(F.col("window.start")).alias("cycle"), "n", "y")
-    )
+    rows = stream.withWatermark("ts", lateness).select("event_type", "ts", cycle_of(F.col("ts")).alias("cycle"), "value")
+    epoch = int(pd.Timestamp(EPOCH).timestamp() * 1000)
 
     def update(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         if state.exists:
-            x = np.array(json.loads(state.get[0]))
+            kept = json.loads(state.get[0])
         else:
-            x = np.array([50.0 + 20.0 * py_normal4(seed, 0, p, 0) for p in range(particles)])
-        rows = pd.concat(list(batches)).sort_values("cycle")
-        out = []
-        for cycle, n, y in rows[["cycle", "n", "y"]].itertuples(index=False):
-            x = x + noise * np.array([py_normal4(seed, int(cycle) + 1, p, 0) for p in range(particles)])
-            w = np.exp(-0.5 * ((y - x) / spread) ** 2 * n)
+            kept = {"x": [50.0 + 20.0 * py_normal4(seed, 0, p, 0) for p in range(particles)], "open": {}}
+        if not state.hasTimedOut:
+            for pdf in batches:
+                for cycle, part in pdf.groupby("cycle")["value"]:
+                    n, total = kept["open"].get(str(cycle), (0, 0.0))
+                    kept["open"][str(cycle)] = (n + len(part), total + float(part.sum()))
+        mark = state.getCurrentWatermarkMs()
+        ends = lambda c: epoch + (c + 1) * 3_600_000
+        x, out = np.array(kept["x"]), []
+        for cycle in sorted(int(c) for c in kept["open"] if ends(int(c)) <= mark):
+            n, total = kept["open"].pop(str(cycle))
+            x = x + noise * np.array([py_normal4(seed, cycle + 1, p, 0) for p in range(particles)])
+            w = np.exp(-0.5 * ((total / n - x) / spread) ** 2 * n)
             w = w / w.sum()
-            out.append((key[0], int(cycle), float((w * x).sum()), float(1 / (w * w).sum()), int(n)))
+            out.append((key[0], cycle, float((w * x).sum()), float(1 / (w * w).sum()), n))
             edges = (np.arange(particles) + 0.5) / particles
             x = x[np.searchsorted(np.cumsum(w), edges).clip(0, particles - 1)]
-        state.update((json.dumps(x.tolist()),))
+        kept["x"] = x.tolist()
+        state.update((json.dumps(kept),))
+        if kept["open"]:
+            state.setTimeoutTimestamp(max(mark + 1, ends(min(map(int, kept["open"])))))
         yield pd.DataFrame(out, columns=["event_type", "cycle", "mean", "ess", "n"])
 
-    return hourly.groupBy("event_type").applyInPandasWithState(update, KEYED, "ensemble string", "append", GroupStateTimeout.NoTimeout)
+    return rows.groupBy("event_type").applyInPandasWithState(update, KEYED, "ensemble string", "append", GroupStateTimeout.EventTimeTimeout)
 
 
 def drain_to_table(df: DataFrame, path: str, checkpoint: str, mode: str = "append") -> None:
