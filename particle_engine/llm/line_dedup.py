@@ -1,12 +1,13 @@
 """Fuzzy line deduplication by MinHash, in DataFrame functions only.
 
 * Equal lines meet by a 64-bit hash of the line; the first in (doc_id, line) order is theirs.
-* Signature: shingles of up to ``SHINGLE`` characters that start at every word
-  and every ``STEP`` characters inside a longer one (all characters are covered); the
+* Signature: a line is cut into chunks of up to ``CHUNK`` characters of a word with the
+  spaces after it; a shingle is the characters of two neighbouring chunks, so
+  shingles start at every word and cover every character; the
   ``BOTTOM`` smallest shingle hashes are the line's MinHash signature.
 * Banding: a band is a pair of signature values; with 5 values there are 10
   bands, and lines of Jaccard similarity 0.8 share one with probability 0.99.
-* Verification: in a band each line is compared with the line before it in
+* Verification: in a band each line is compared with the two lines before it in
   signature order and with the band's first line, never all with all; the exact
   Jaccard similarity of the shingle sets decides.
 * Distributed union-find joins verified links; a component keeps its first line.
@@ -26,14 +27,17 @@ from pyspark.sql import functions as F
 
 from particle_engine.llm.common import bounded_broadcast, connected_components, stage_table
 
-SHINGLE, STEP, BOTTOM = 12, 12, 5
+CHUNK, BOTTOM, WIDTH = 12, 5, 3
 SIMILARITY = 0.8
-CHUNKS = rf"(?s)(?=(.{{1,{SHINGLE}}}))[^ ]{{1,{STEP}}} *"
+CHUNKS = rf"[^ ]{{1,{CHUNK}}} *"
 
 
-def shingles(line: Column) -> Column:
-    """Sorted distinct hashes of the line's character shingles."""
-    return F.sort_array(F.array_distinct(F.transform(F.regexp_extract_all(line, F.lit(CHUNKS), F.lit(1)), lambda s: F.xxhash64(s))))
+def with_shingles(df: DataFrame, line: str, out: str) -> DataFrame:
+    """Adds the sorted distinct hashes of a line's shingles; the chunks are a column of their own, so they are cut once."""
+    chunks = F.transform(F.regexp_extract_all(F.col(line), F.lit(CHUNKS), F.lit(0)), lambda c: F.xxhash64(c))
+    ends = F.slice("__chunks", 2, F.greatest(F.size("__chunks"), F.lit(1)))
+    pairs = F.zip_with("__chunks", ends, lambda a, b: F.xxhash64(a, b))
+    return df.withColumn("__chunks", chunks).withColumn(out, F.sort_array(F.array_distinct(pairs))).drop("__chunks")
 
 
 def _lines(docs: DataFrame) -> DataFrame:
@@ -44,9 +48,10 @@ def _lines(docs: DataFrame) -> DataFrame:
 
 
 def candidate_pairs(lines: DataFrame) -> DataFrame:
-    """(a, b): line ids that meet in a band, each with its predecessor and the band's first. ``lines`` holds each line once."""
-    bands = [F.when(F.col("n") > j, F.xxhash64(F.get("sig", F.lit(i)), F.get("sig", F.lit(j)))) for i, j in combinations(range(BOTTOM), 2)]
-    marked = lines.select("line_id", shingles(F.col("line")).alias("s")).select("line_id", F.size("s").alias("n"), F.slice("s", 1, BOTTOM).alias("sig")).where("n > 1")
+    """(a, b): line ids that meet in a band, each with its two predecessors and the band's first. ``lines`` holds each line once."""
+    bands = [F.when(F.col("n") > c[-1], F.xxhash64(*[F.get("sig", F.lit(i)) for i in c])) for c in combinations(range(BOTTOM), WIDTH)]
+    marked = with_shingles(lines.select("line_id", "line"), "line", "s").select("line_id", F.size("s").alias("n"), F.slice("s", 1, BOTTOM).alias("sig"))
+    # lines of too few shingles have null bands only and leave no row; a filter here would sink and cut each line twice
     # one sort key: the number of shingles, then the signature's hash, so that like lines are neighbours
     key = F.shiftleft(F.least("n", F.lit(0x7FFF)).cast("long"), 48).bitwiseOR(F.shiftrightunsigned(F.xxhash64("sig"), 16))
     banded = marked.select("line_id", key.alias("key"), F.explode(F.array_compact(F.array(*bands))).alias("band"))
@@ -54,10 +59,11 @@ def candidate_pairs(lines: DataFrame) -> DataFrame:
     met = banded.withColumns(
         {
             "before": F.lag(F.struct("line_id", "key")).over(sorted_band),
+            "second": F.lag(F.struct("line_id", "key"), 2).over(sorted_band),
             "head": F.first(F.struct("line_id", "key")).over(sorted_band.rowsBetween(Window.unboundedPreceding, 0)),
         }
     )
-    pairs = met.where("before is not null").select("line_id", "key", F.explode(F.array("before", "head")).alias("o"))
+    pairs = met.where("before is not null").select("line_id", "key", F.explode(F.array_compact(F.array("before", "second", "head"))).alias("o"))
     size = lambda c: F.shiftrightunsigned(c, 48)
     near = F.least(size(F.col("key")), size(F.col("o.key"))) >= SIMILARITY * F.greatest(size(F.col("key")), size(F.col("o.key")))
     a, b = F.col("line_id"), F.col("o.line_id")
@@ -70,9 +76,11 @@ def verified_links(lines: DataFrame, pairs: DataFrame) -> DataFrame:
     wanted = lines.join(bounded_broadcast(ids, 16), "line_id", "left_semi")
     sets = stage_table(wanted.groupBy("line_id").agg(F.first("line").alias("line")), "line-texts")
     left, right = sets.select(F.col("line_id").alias("a"), F.col("line").alias("la")), sets.select(F.col("line_id").alias("b"), F.col("line").alias("lb"))
-    both = pairs.join(left, "a").join(right, "b").select("a", "b", shingles(F.col("la")).alias("x"), shingles(F.col("lb")).alias("y"))
+    both = with_shingles(with_shingles(pairs.join(left, "a").join(right, "b"), "la", "x"), "lb", "y").select("a", "b", "x", "y")
     shared = F.size(F.array_intersect("x", "y"))
-    return both.where(shared >= SIMILARITY * (F.size("x") + F.size("y") - shared)).select("a", "b")
+    # the test is a generator of one row or none: a filter would sink below the projections and cut both lines again
+    alike = F.when(shared >= SIMILARITY * (F.size("x") + F.size("y") - shared), F.array(F.lit(1)))
+    return both.select("a", "b", F.explode(alike).alias("one")).select("a", "b")
 
 
 def dropped_lines(docs: DataFrame) -> DataFrame:
@@ -101,11 +109,12 @@ def dedup_lines(docs: DataFrame) -> DataFrame:
     size = drops.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum(F.size("__drops")), F.lit(0)).alias("m")).first()
     drops = bounded_broadcast(drops, 16, size["n"] * 2 + size["m"])
     text = F.col("text").cast("string")
-    rows = docs.withColumn("__key", F.xxhash64(F.col("doc_id").cast("long"), text)).join(drops, F.col("__key") == F.col("__row_key"), "left")
-    parts = F.split(text, "\n", -1)
-    stay = F.array_except(F.sequence(F.lit(0), F.size(parts) - 1), F.col("__drops"))
-    short = F.array_join(F.transform(stay, lambda i: F.get(parts, i)), "\n")
-    rows = rows.withColumn("__n", F.when(text.isNull(), 0).otherwise(F.size(parts)))
+    # the lines are cut below the join, so picking them above does not cut the text again for each
+    cut = docs.withColumn("__parts", F.split(text, "\n", -1)).withColumn("__key", F.xxhash64(F.col("doc_id").cast("long"), text))
+    rows = cut.join(drops, F.col("__key") == F.col("__row_key"), "left")
+    stay = F.array_except(F.sequence(F.lit(0), F.size("__parts") - 1), F.col("__drops"))
+    short = F.array_join(F.transform(stay, lambda i: F.get(F.col("__parts"), i)), "\n")
     rows = rows.withColumn("text", F.when(F.col("__drops").isNull(), text).otherwise(short))
     out = [F.col(c) for c in docs.columns if c not in ("n_lines", "n_dropped")]
-    return rows.select(*out, F.col("__n").alias("n_lines"), F.coalesce(F.size("__drops"), F.lit(0)).alias("n_dropped"))
+    n_lines = F.when(F.col("__parts").isNull(), 0).otherwise(F.size("__parts"))
+    return rows.select(*out, n_lines.alias("n_lines"), F.coalesce(F.size("__drops"), F.lit(0)).alias("n_dropped"))

@@ -95,7 +95,10 @@ def test_exact_index_keeps_smallest_and_probes(spark):
 
 
 def jaccard(a, b):
-    cut = lambda s: set(m.group(1) for m in re.finditer(line_dedup.CHUNKS, s))
+    def cut(s):
+        chunks = re.findall(line_dedup.CHUNKS, s)
+        return {tuple(chunks[i : i + 2]) for i in range(len(chunks))}
+
     x, y = cut(a), cut(b)
     return len(x & y) / len(x | y)
 
