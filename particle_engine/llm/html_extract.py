@@ -27,7 +27,7 @@ from collections.abc import Iterator
 from urllib.parse import urlsplit
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -129,10 +129,10 @@ def suffixes(parts: list[tuple[str, str]]) -> tuple[list[int], list[tuple[int, i
 def suffix_runs(pages: DataFrame) -> DataFrame:
     """The hosts' merged suffix arrays where pages share a prefix: (host_key, suffix)."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for pdf in batches:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
             hosts, keys, page = [], [], []
-            for page_id, url, html in zip(pdf["page_id"], pdf["url"], pdf["html"]):
+            for page_id, url, html in zip(*(c.to_pylist() for c in batch.columns)):
                 found, _ = suffixes(blocks(html))
                 keys += found
                 hosts += [_hash(host_of(url))] * len(found)
@@ -144,10 +144,10 @@ def suffix_runs(pages: DataFrame) -> DataFrame:
             h, k, p = h[order], k[order], p[order]
             start = np.flatnonzero(np.r_[True, (h[1:] != h[:-1]) | (k[1:] != k[:-1])])
             stop = np.r_[start[1:], len(h)] - 1
-            yield pd.DataFrame({"host_key": h[start], "suffix": k[start], "low": p[start], "high": p[stop]})
+            yield pa.RecordBatch.from_arrays([pa.array(x) for x in (h[start], k[start], p[start], p[stop])], ["host_key", "suffix", "low", "high"])
 
     source = pages.select(F.coalesce(F.col("page_id").cast("long"), F.lit(-1)).alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html"))
-    local = source.mapInPandas(run, "host_key long, suffix long, low long, high long")
+    local = source.mapInArrow(run, "host_key long, suffix long, low long, high long")
     return local.groupBy("host_key", "suffix").agg(F.min("low").alias("low"), F.max("high").alias("high")).where("low < high").select("host_key", "suffix")
 
 
@@ -171,25 +171,26 @@ def extract(pages: DataFrame) -> DataFrame:
     repeated = stage_table(suffix_runs(pages), "suffixes")
     source = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html"))
 
-    def first(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+    def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Text of pages with an article; for others their suffixes, to be met with the array."""
-        for pdf in batches:
+        for batch in batches:
             rows = []
-            for url, html in zip(pdf["url"], pdf["html"]):
-                parts = blocks(html)
+            for url, html in zip(batch.column(1).to_pylist(), batch.column(2)):
+                parts = blocks(html.as_py())
                 decided = not any(role == "open" for role, _ in parts) or any(role == "main" for role, _ in parts)
-                rows.append((_assemble(parts, set()) if decided else None, None if decided else _hash(host_of(url)), None if decided else suffixes(parts)[0]))
-            yield pd.DataFrame({"page_id": pdf["page_id"].astype("Int64"), "url": pdf["url"], "text": [r[0] for r in rows], "host_key": pd.array([r[1] for r in rows], dtype="Int64"), "keys": [r[2] for r in rows], "html": [None if r[0] is not None else h for r, h in zip(rows, pdf["html"])]})
+                rows.append((_assemble(parts, set()), None, None, None) if decided else (None, _hash(host_of(url)), suffixes(parts)[0], html.as_py()))
+            columns = [pa.array([r[i] for r in rows], kind) for i, kind in enumerate((pa.string(), pa.int64(), pa.list_(pa.int64()), pa.string()))]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *columns], ["page_id", "url", "text", "host_key", "keys", "html"])
 
-    def second(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for pdf in batches:
-            text = [_assemble(blocks(h), set() if s is None else set(s)) for h, s in zip(pdf["html"], pdf["shared"])]
-            yield pd.DataFrame({"page_id": pdf["page_id"].astype("Int64"), "url": pdf["url"], "text": text})
+    def second(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            text = [_assemble(blocks(h), set(s or ())) for h, s in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist())]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(text, pa.string())], ["page_id", "url", "text"])
 
-    parsed = source.mapInPandas(first, "page_id long, url string, text string, host_key long, keys array<long>, html string")
+    parsed = source.mapInArrow(first, "page_id long, url string, text string, host_key long, keys array<long>, html string")
     decided = parsed.where("text is not null").select("page_id", "url", "text")
     open_pages = stage_table(parsed.where("text is null").withColumn("row_key", F.xxhash64("page_id", "url", "html")), "open-pages")
     met = open_pages.select("row_key", "host_key", F.explode(F.array_distinct("keys")).alias("suffix")).join(repeated, ["host_key", "suffix"])
     shared = met.groupBy("row_key").agg(F.collect_set("suffix").alias("shared"))
-    rest = open_pages.select("page_id", "url", "html", "row_key").join(shared, "row_key", "left").mapInPandas(second, "page_id long, url string, text string")
+    rest = open_pages.join(shared, "row_key", "left").select("page_id", "url", "html", "shared").mapInArrow(second, "page_id long, url string, text string")
     return decided.unionByName(rest).select("page_id", "url", "text", F.char_length("text").cast("long").alias("n_chars"))

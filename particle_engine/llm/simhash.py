@@ -19,7 +19,7 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -56,11 +56,12 @@ def fingerprint(text: str | None, words: int = 3) -> int:
 def fingerprints(docs: DataFrame, words: int = 3) -> DataFrame:
     """(doc_id, fp): one row per document, fp a signed long."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for pdf in batches:
-            yield pd.DataFrame({"doc_id": pdf["doc_id"].astype("Int64"), "fp": np.array([fingerprint(t if isinstance(t, str) else None, words) for t in pdf["text"]], np.int64)})
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            prints = pa.array([fingerprint(t.as_py(), words) for t in batch.column(1)], pa.int64())
+            yield pa.RecordBatch.from_arrays([batch.column(0), prints], ["doc_id", "fp"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInPandas(run, "doc_id long, fp long")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, fp long")
 
 
 class GrayIndex:
@@ -116,34 +117,30 @@ class GrayIndex:
         return out
 
 
-def _under_keys(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+def _under_keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Rows arrive sorted by key and Gray rank; a key may span batches."""
-    rest = None
-    for pdf in batches:
-        pdf = pdf if rest is None else pd.concat([rest, pdf], ignore_index=True)
-        last = pdf["key"].to_numpy()[-1] if len(pdf) else None
-        whole = pdf["key"].to_numpy() != last
-        rest = pdf[~whole]
-        yield from _link_runs(pdf[whole])
-    if rest is not None:
-        yield from _link_runs(rest)
-
-
-def _link_runs(pdf: pd.DataFrame) -> Iterator[pd.DataFrame]:
-    if len(pdf) < 2:
-        return
-    key, codes = pdf["key"].to_numpy(), pdf["fp"].to_numpy()
-    starts = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
+    rest_key, rest_code = np.empty(0, np.int64), np.empty(0, np.int64)
+    for batch in batches:
+        key = np.concatenate((rest_key, batch.column(0).to_numpy()))
+        code = np.concatenate((rest_code, batch.column(1).to_numpy()))
+        whole = np.searchsorted(key, key[-1]) if len(key) else 0
+        rest_key, rest_code = key[whole:], code[whole:]
+        yield _link_runs(key[:whole], code[:whole])
+    yield _link_runs(rest_key, rest_code)
+
+
+def _link_runs(key: np.ndarray, codes: np.ndarray) -> pa.RecordBatch:
+    starts = np.flatnonzero(np.r_[True, key[1:] != key[:-1]]) if len(key) else np.empty(0, np.int64)
     sizes = np.diff(np.r_[starts, len(key)])
     pair = starts[sizes == 2]
-    near = np.bitwise_count((codes[pair] ^ codes[pair + 1]).astype(np.uint64)) <= RADIUS
+    near = np.bitwise_count((codes[pair] ^ codes[pair + 1]).view(np.uint64)) <= RADIUS
     a, b = [codes[pair[near]]], [codes[pair[near] + 1]]
     for at, n in zip(starts[sizes > 2].tolist(), sizes[sizes > 2].tolist()):
         if found := GrayIndex(codes[at : at + n].view(np.uint64)).links():
             i, j = np.array(found).T
             a.append(codes[at + i])
             b.append(codes[at + j])
-    yield pd.DataFrame({"a": np.concatenate(a), "b": np.concatenate(b)})
+    return pa.RecordBatch.from_arrays([pa.array(np.concatenate(a), pa.int64()), pa.array(np.concatenate(b), pa.int64())], ["a", "b"])
 
 
 def near_links(codes: DataFrame) -> DataFrame:
@@ -160,7 +157,7 @@ def near_links(codes: DataFrame) -> DataFrame:
             part = F.shiftrightunsigned(others, 12 * sub).bitwiseAND(F.lit(0xFFF))
             keys.append(F.shiftleft(head, 12).bitwiseOR(part).bitwiseOR(F.lit((4 * block + sub) << 28)))
     keyed = codes.select("fp", rank.alias("gray"), F.explode(F.array(*keys)).alias("key"))
-    return keyed.repartition("key").sortWithinPartitions("key", "gray").select("key", "fp").mapInPandas(_under_keys, "a long, b long")
+    return keyed.repartition("key").sortWithinPartitions("key", "gray").select("key", "fp").mapInArrow(_under_keys, "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, words: int = 3) -> DataFrame:

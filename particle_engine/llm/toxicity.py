@@ -26,7 +26,7 @@ from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 import zstandard as zs
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -175,12 +175,13 @@ def score_documents(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) ->
     """(doc_id, held_out, score, predicted): one row per document."""
     model = docs.sparkSession.sparkContext.broadcast(train(docs, labels, sample))
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for pdf in batches:
-            yield pd.DataFrame({"doc_id": pdf["doc_id"].astype("Int64"), "held_out": pdf["held_out"], "score": [model.value.score(t if isinstance(t, str) else None) for t in pdf["text"]]})
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            score = pa.array([model.value.score(t.as_py()) for t in batch.column(2)], pa.float64())
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), score], ["doc_id", "held_out", "score"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(held_out("doc_id"), F.lit(False)).alias("held_out"), F.col("text").cast("string").alias("text"))
-    scored = rows.mapInPandas(run, "doc_id long, held_out boolean, score double")
+    scored = rows.mapInArrow(run, "doc_id long, held_out boolean, score double")
     return scored.withColumn("predicted", (F.col("score") >= 0.5).cast("int"))
 
 
@@ -188,11 +189,13 @@ def reject_toxic(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Da
     """Rows of ``docs`` (all columns) whose score is under 0.5."""
     model = docs.sparkSession.sparkContext.broadcast(train(docs, labels, sample))
 
-    @F.pandas_udf("double")
-    def score(text: pd.Series) -> pd.Series:
-        return pd.Series([model.value.score(t if isinstance(t, str) else None) for t in text])
+    at = docs.columns.index("text")
 
-    return docs.where(score(F.col("text").cast("string")) < 0.5)
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield batch.filter(pa.array([model.value.score(t.as_py()) < 0.5 for t in batch.column(at)], pa.bool_()))
+
+    return docs.withColumn("text", F.col("text").cast("string")).mapInArrow(run, docs.withColumn("text", F.col("text").cast("string")).schema)
 
 
 def crc_fold(doc_id: int) -> int:
