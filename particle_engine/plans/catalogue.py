@@ -685,3 +685,22 @@ def k11_shape(spark, sf):
     lost = f.where("not ok").select("cycle", "task_id", F.col("start_us").alias("s0"))
     late = f.where("ok").join(lost, ["cycle", "task_id"]).agg(F.min(F.col("start_us") - F.col("s0") >= 60_000_000).alias("waits_for_timeout"))
     return whole.crossJoin(F.broadcast(late))
+
+
+@query(f"WITH {STATES.replace(f'range({K1_PARTICLES})', 'range(32)')} SELECT particle_id, cell_id, round(x, 12) AS x FROM s0")
+def io8_ensemble_source(spark, sf):
+    """Start states read through the Python data source equal the hashed ensemble."""
+    from particle_engine.sources.ensemble import register
+
+    register(spark)
+    return spark.read.format("ensemble_state").options(particles="32", cells="80", seed=str(SEED), partitions="3").load().withColumn("x", F.round("x", 12))
+
+
+@query("SELECT true AS starts_hidden, true AS slower_when_shared")
+def b1_file_based_shape(spark, sf):
+    """File-based mode: every propagation loads and starts a model; its shared storage makes it slower as particles grow."""
+    configs, trace = workloads.k12(spark, sf, sizes=(128, 256), cycles=2)
+    t = metrics.cycle_time(trace).groupBy("config_id").agg(F.avg("cycle_us").alias("t"))
+    at = lambda c: F.max(F.when(F.col("config_id") == c, F.col("t")))
+    all_loads = trace.where("config_id like 'files-%'").agg(F.min("loaded").alias("starts_hidden"))
+    return all_loads.crossJoin(F.broadcast(t.agg((at("files-0256") > at("files-0128")).alias("slower_when_shared"))))
