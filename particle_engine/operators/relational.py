@@ -92,11 +92,11 @@ def op_anti_join(spark, sf):
     return table(spark, sf, "customer").select("c_custkey").join(big, F.col("c_custkey") == F.col("o_custkey"), "left_anti")
 
 
-@operator("SELECT s_nationkey, c_nationkey, coalesce(s, 0) AS suppliers, coalesce(c, 0) AS customers FROM (SELECT s_nationkey, count(*) AS s FROM supplier WHERE s_acctbal > 0 GROUP BY 1) FULL OUTER JOIN (SELECT c_nationkey, count(*) AS c FROM customer WHERE c_acctbal > 5000 GROUP BY 1) ON s_nationkey = c_nationkey")
+@operator("SELECT coalesce(s_nationkey, -1) AS s_nationkey, coalesce(c_nationkey, -1) AS c_nationkey, coalesce(s, 0) AS suppliers, coalesce(c, 0) AS customers FROM (SELECT s_nationkey, count(*) AS s FROM supplier WHERE s_acctbal > 0 GROUP BY 1) FULL OUTER JOIN (SELECT c_nationkey, count(*) AS c FROM customer WHERE c_acctbal > 5000 GROUP BY 1) ON s_nationkey = c_nationkey")
 def op_full_outer(spark, sf):
     s = table(spark, sf, "supplier").where("s_acctbal > 0").groupBy("s_nationkey").agg(F.count(F.lit(1)).alias("s"))
     c = table(spark, sf, "customer").where("c_acctbal > 5000").groupBy("c_nationkey").agg(F.count(F.lit(1)).alias("c"))
-    return s.join(c, F.col("s_nationkey") == F.col("c_nationkey"), "full_outer").select("s_nationkey", "c_nationkey", F.coalesce("s", F.lit(0)).alias("suppliers"), F.coalesce("c", F.lit(0)).alias("customers"))
+    return s.join(c, F.col("s_nationkey") == F.col("c_nationkey"), "full_outer").select(F.coalesce("s_nationkey", F.lit(-1)).alias("s_nationkey"), F.coalesce("c_nationkey", F.lit(-1)).alias("c_nationkey"), F.coalesce("s", F.lit(0)).alias("suppliers"), F.coalesce("c", F.lit(0)).alias("customers"))
 
 
 @operator("SELECT o_custkey, o_orderkey FROM orders QUALIFY row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) <= 2")
@@ -202,10 +202,10 @@ def op_ranks(spark, sf):
     )
 
 
-@operator("SELECT event_id, lag(event_id) OVER w AS before, lead(event_id) OVER w AS after, first_value(event_id) OVER w AS first, nth_value(event_id, 2) OVER w AS second FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
+@operator("SELECT event_id, coalesce(lag(event_id) OVER w, -1) AS before, coalesce(lead(event_id) OVER w, -1) AS after, first_value(event_id) OVER w AS first, coalesce(nth_value(event_id, 2) OVER w, -1) AS second FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")
 def op_neighbours(spark, sf):
     w = Window.partitionBy("user_id").orderBy("ts", "event_id")
-    return table(spark, sf, "events").select("event_id", F.lag("event_id").over(w).alias("before"), F.lead("event_id").over(w).alias("after"), F.first("event_id").over(w).alias("first"), F.nth_value("event_id", 2).over(w).alias("second"))
+    return table(spark, sf, "events").select("event_id", F.lag("event_id", 1, -1).over(w).alias("before"), F.lead("event_id", 1, -1).over(w).alias("after"), F.first("event_id").over(w).alias("first"), F.coalesce(F.nth_value("event_id", 2).over(w), F.lit(-1)).alias("second"))
 
 
 @operator("SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY epoch(ts)::BIGINT RANGE BETWEEN 3600 PRECEDING AND CURRENT ROW) AS last_hour FROM (SELECT event_id, user_id, date_trunc('second', ts) AS ts FROM events)")

@@ -307,11 +307,12 @@ def k3_nation_month_obs(spark, sf):
     return observe.nation_month(spark, sf)
 
 
-@query(f"SELECT r_name AS region, nation, month, count(*) AS cells, CAST(sum(r) AS BIGINT) / 10000.0::DOUBLE AS revenue FROM ({K3}) JOIN nation ON n_nationkey = nation JOIN region ON r_regionkey = n_regionkey GROUP BY ROLLUP (r_name, nation, month)")
+@query(f"SELECT r_name AS region, CAST(coalesce(nation, -1) AS INTEGER) AS nation, month, count(*) AS cells, CAST(sum(r) AS BIGINT) / 10000.0::DOUBLE AS revenue FROM ({K3}) JOIN nation ON n_nationkey = nation JOIN region ON r_regionkey = n_regionkey GROUP BY ROLLUP (r_name, nation, month)")
 def k3_region_rollup(spark, sf):
     dims = table(spark, sf, "nation").join(table(spark, sf, "region"), F.col("n_regionkey") == F.col("r_regionkey")).select("n_nationkey", F.col("r_name").alias("region"))
     obs = observe.nation_month(spark, sf).join(F.broadcast(dims), F.col("nation") == F.col("n_nationkey"))  # 25 nations
-    return obs.rollup("region", "nation", "month").agg(F.count(F.lit(1)).alias("cells"), (F.sum(F.round(F.col("revenue") * 10000).cast("long")) / F.lit(10000.0)).alias("revenue"))
+    out = obs.rollup("region", "nation", "month").agg(F.count(F.lit(1)).alias("cells"), (F.sum(F.round(F.col("revenue") * 10000).cast("long")) / F.lit(10000.0)).alias("revenue"))
+    return out.withColumn("nation", F.coalesce("nation", F.lit(-1)))
 
 
 @query()

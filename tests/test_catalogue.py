@@ -22,7 +22,7 @@ def con(sf):
 
 
 def rows(df):
-    text = lambda v: str(round(float(v), 9)) if isinstance(v, float) else str(v)
+    text = lambda v: str(round(float(v), 9)) if isinstance(v, (int, float)) and not isinstance(v, bool) else str(v)
     return sorted(tuple(map(text, r)) for r in df[sorted(df.columns)].astype(object).where(df.notna(), None).values.tolist())
 
 
