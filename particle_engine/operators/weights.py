@@ -94,3 +94,14 @@ def degeneracy(weights: DataFrame, column: str = "w_fix") -> DataFrame:
         "n", F.round(F.col("mx") / F.col("s"), 9).alias("max_w"), F.round(F.col("s") * F.col("s") / F.col("s2"), 6).alias("ess"),
         F.round(F.col("s2") / (F.col("s") * F.col("s")) / F.col("n") - F.lit(1.0) / (F.col("n") * F.col("n")), 12).alias("weight_var"), F.round(F.col("z") / F.col("n"), 9).alias("underflow_share"),
     )
+
+
+def summary(weights: DataFrame, bits: int = FIX_BITS) -> DataFrame:
+    """``degeneracy`` and ``evidence`` of (log_w, w_fix) rows in one aggregate; the evidence comes from the scaled integers."""
+    w = F.col("w_fix").cast("double")
+    s = weights.agg(F.count(F.lit(1)).alias("n"), F.max(w).alias("mx"), F.sum(w).alias("s"), F.sum(w * w).alias("s2"), F.sum((F.col("w_fix") == 0).cast("int")).alias("z"), F.max("log_w").alias("top"))
+    return s.select(
+        "n", (F.col("mx") / F.col("s")).alias("max_w"), (F.col("s") * F.col("s") / F.col("s2")).alias("ess"),
+        (F.col("s2") / (F.col("s") * F.col("s")) / F.col("n") - F.lit(1.0) / (F.col("n") * F.col("n"))).alias("weight_var"),
+        (F.col("z") / F.col("n")).alias("underflow_share"), (F.col("top") + F.log(F.col("s") / F.lit(float(1 << bits)) / F.col("n"))).alias("log_evidence"),
+    )

@@ -48,6 +48,7 @@ class Spec:
     placement: str = "static"
     ranges: int = 1
     keep_cycles: int = 2
+    diagnostics: bool = True  # per-cycle figures: two small jobs a cycle
     observation: Column | None = None
 
 
@@ -73,15 +74,18 @@ def run_cycle(states: DataFrame, obs: DataFrame, cycle: int, spec: Spec, store:
     if carried is not None:
         scored = weights.fix_weights(weights.update_weights(carried, scored.select("particle_id", "log_w")))
     w = store.write("weights", run_id, cycle, scored)
-    stats = weights.degeneracy(w).crossJoin(F.broadcast(weights.evidence(w))).withColumn("cycle", F.lit(cycle))  # one row each
-    row = stats.withColumn("redraw", should_redraw(None, spec.policy, spec.policy_threshold)).first().asDict()
+    row = {"cycle": cycle, "redraw": True}
+    if spec.diagnostics or spec.policy != "always":
+        stats = weights.summary(w).withColumn("cycle", F.lit(cycle))
+        row = stats.withColumn("redraw", should_redraw(None, spec.policy, spec.policy_threshold)).first().asDict()
     if not row["redraw"]:
         store.write("offspring", run_id, cycle, w.select(F.col("particle_id").alias("slot"), F.col("particle_id").alias("parent_id"), F.lit(0).alias("copy_no")))
         return moved, w.select("particle_id", "log_w"), row
     parents = resample(w.select("particle_id", "w_fix"), spec.n_particles, spec.scheme, spec.seed, cycle, spec.ranges)
     children = store.write("offspring", run_id, cycle, offspring(parents))
     drawn = children.groupBy("parent_id").agg(F.count(F.lit(1)).alias("alpha"))
-    row |= drawn.agg(F.count(F.lit(1)).alias("q"), F.max("alpha").alias("max_copies")).first().asDict()
+    if spec.diagnostics:
+        row |= drawn.agg(F.count(F.lit(1)).alias("q"), F.max("alpha").alias("max_copies")).first().asDict()
     plan = placement.assign(drawn, spec.partitions, spec.placement)
     shipped = placement.ship(moved.select("particle_id", "cell_id", "x"), plan, spec.partitions)
     if spec.jitter:

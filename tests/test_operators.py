@@ -65,6 +65,8 @@ def test_weights_and_evidence(spark):
     assert hat == {0: 0.25, 1: 0.75}
     d = weights.degeneracy(weights_df(spark, [1, 1, 1, 1])).first()
     assert d["ess"] == 4 and d["max_w"] == 0.25 and d["weight_var"] == 0
+    both = weights.summary(weights.fix_weights(two)).first()
+    assert abs(both["log_evidence"] - math.log(0.4)) < 1e-6 and abs(both["ess"] - 1.6) < 1e-6
     again = weights.update_weights(two, two).collect()
     assert abs(again[0]["log_w"] - 2 * math.log(0.2)) < 1e-12 or abs(again[1]["log_w"] - 2 * math.log(0.2)) < 1e-12
 
