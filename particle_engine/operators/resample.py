@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 
 from particle_engine.functions.rng import normal4, unit_int
 from particle_engine.functions.scalar import int_div
+from particle_engine.operators.schedule import ordinals
 
 SCHEMES = ("systematic", "stratified", "residual", "multinomial")
 ONE_TASK = 5_000_000
@@ -101,12 +102,11 @@ def resample(weights: DataFrame, n: int, scheme: str = "systematic", seed: int =
     return {"systematic": systematic, "stratified": stratified, "residual": residual, "multinomial": multinomial}[scheme](weights, n, seed, cycle, ranges)
 
 
-def offspring(parents: DataFrame, copy_first: int = 0) -> DataFrame:
-    """(slot, parent_id, copy_no): the multiset expanded; slots run in parent order."""
-    start = F.sum("alpha").over(Window.orderBy("parent_id").rowsBetween(Window.unboundedPreceding, -1))
-    first = parents.withColumn("first", F.coalesce(start, F.lit(0)))
-    copies = first.select("parent_id", "first", F.explode(F.sequence(F.lit(0), F.col("alpha").cast("int") - 1)).alias("copy_no"))
-    return copies.select((F.col("first") + F.col("copy_no")).cast("long").alias("slot"), "parent_id", "copy_no")
+def offspring(parents: DataFrame, ranges: int = 1) -> DataFrame:
+    """(slot, parent_id, copy_no): the multiset expanded; slots run in parent order, summed in two phases if ``ranges`` > 1."""
+    first = ordinals(parents, "id", ranges)
+    copies = first.select("parent_id", "from", F.explode(F.sequence(F.lit(0), F.col("alpha").cast("int") - 1)).alias("copy_no"))
+    return copies.select((F.col("from") + F.col("copy_no")).cast("long").alias("slot"), "parent_id", "copy_no")
 
 
 def parents_of(children: DataFrame) -> DataFrame:

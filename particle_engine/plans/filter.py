@@ -82,7 +82,7 @@ def run_cycle(states: DataFrame, obs: DataFrame, cycle: int, spec: Spec, store:
         store.write("offspring", run_id, cycle, w.select(F.col("particle_id").alias("slot"), F.col("particle_id").alias("parent_id"), F.lit(0).alias("copy_no")))
         return moved, w.select("particle_id", "log_w"), row
     parents = resample(w.select("particle_id", "w_fix"), spec.n_particles, spec.scheme, spec.seed, cycle, spec.ranges)
-    children = store.write("offspring", run_id, cycle, offspring(parents))
+    children = store.write("offspring", run_id, cycle, offspring(parents, spec.ranges))
     drawn = children.groupBy("parent_id").agg(F.count(F.lit(1)).alias("alpha"))
     if spec.diagnostics:
         row |= drawn.agg(F.count(F.lit(1)).alias("q"), F.max("alpha").alias("max_copies")).first().asDict()

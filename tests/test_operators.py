@@ -51,6 +51,8 @@ def test_redraw_edges(spark):
     assert [tuple(r) for r in resample.resample(weights_df(spark, [3]), 1).collect()] == [(0, 1)]
     kids = resample.offspring(spark.createDataFrame([(3, 2), (1, 1)], "parent_id long, alpha long")).orderBy("slot").collect()
     assert [tuple(r) for r in kids] == [(0, 1, 0), (1, 3, 0), (2, 3, 1)]
+    many = spark.range(1, 40).selectExpr("id as parent_id", "id % 4 + 1 as alpha")
+    assert sorted(map(tuple, resample.offspring(many, 5).collect())) == sorted(map(tuple, resample.offspring(many).collect()))
     with pytest.raises(ValueError):
         resample.resample(equal, 8, "other")
 
