@@ -16,6 +16,9 @@ from pyspark.sql import functions as F
 #: A side is broadcast only if its measured size stays under this bound.
 BROADCAST_BYTES = 32 << 20
 
+#: Bytes of an Arrow batch to Python: long texts make a batch of many rows large on both sides.
+BATCH_BYTES = 4 << 20
+
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
@@ -47,6 +50,14 @@ def bounded_broadcast(df: DataFrame, bytes_per_row: int, rows: int | None = None
     return F.broadcast(df) if rows * bytes_per_row <= BROADCAST_BYTES else df
 
 
+def small_batches(df: DataFrame) -> DataFrame:
+    """Bound the session's Arrow batches by ``BATCH_BYTES``, whatever the texts' lengths; returns ``df``."""
+    conf, key = df.sparkSession.conf, "spark.sql.execution.arrow.maxBytesPerBatch"
+    if conf.get(key, None) is not None:  # releases without the setting bound rows only
+        conf.set(key, str(BATCH_BYTES))
+    return df
+
+
 def ascii_lower(text: Column) -> Column:
     """Lower-case A-Z and nothing else; pure-ASCII texts take the cheap built-in."""
     plain = F.octet_length(text) == F.char_length(text)

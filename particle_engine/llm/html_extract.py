@@ -32,7 +32,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from particle_engine.llm.common import stage_table
+from particle_engine.llm.common import small_batches, stage_table
 
 MIN_RUN = 6
 TOKEN = re.compile(r"<!--.*?(?:-->|$)|<!\[CDATA\[.*?(?:\]\]>|$)|<(script|style|template|noscript|svg|math|iframe|object|select|textarea|title)\b[^>]*>.*?(?:</\1\s*>|$)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|$)|<[!?/][^>]*(?:>|$)", re.S | re.I)
@@ -168,7 +168,7 @@ def _assemble(parts: list[tuple[str, str]], repeated: set[int]) -> str:
 
 def extract(pages: DataFrame) -> DataFrame:
     """(page_id, url, text, n_chars): one row per page."""
-    repeated = stage_table(suffix_runs(pages), "suffixes")
+    repeated = stage_table(suffix_runs(small_batches(pages)), "suffixes")
     source = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html"))
 
     def first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

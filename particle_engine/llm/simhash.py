@@ -24,7 +24,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from particle_engine.llm.common import connected_components, stage_table
+from particle_engine.llm.common import connected_components, small_batches, stage_table
 
 RADIUS = 3
 LEAF = 16
@@ -61,7 +61,8 @@ def fingerprints(docs: DataFrame, words: int = 3) -> DataFrame:
             prints = pa.array([fingerprint(t.as_py(), words) for t in batch.column(1)], pa.int64())
             yield pa.RecordBatch.from_arrays([batch.column(0), prints], ["doc_id", "fp"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, fp long")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    return small_batches(rows).mapInArrow(run, "doc_id long, fp long")
 
 
 class GrayIndex:

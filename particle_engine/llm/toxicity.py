@@ -31,6 +31,8 @@ import zstandard as zs
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from particle_engine.llm.common import small_batches
+
 SAMPLE = 6000
 WINDOW, OVERLAP = 32, 12
 GRAM, Z_GRAM, Z_KEEP = 5, 4.5, 4.5
@@ -181,7 +183,7 @@ def score_documents(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) ->
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), score], ["doc_id", "held_out", "score"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(held_out("doc_id"), F.lit(False)).alias("held_out"), F.col("text").cast("string").alias("text"))
-    scored = rows.mapInArrow(run, "doc_id long, held_out boolean, score double")
+    scored = small_batches(rows).mapInArrow(run, "doc_id long, held_out boolean, score double")
     return scored.withColumn("predicted", (F.col("score") >= 0.5).cast("int"))
 
 
@@ -195,7 +197,8 @@ def reject_toxic(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Da
         for batch in batches:
             yield batch.filter(pa.array([model.value.score(t.as_py()) < 0.5 for t in batch.column(at)], pa.bool_()))
 
-    return docs.withColumn("text", F.col("text").cast("string")).mapInArrow(run, docs.withColumn("text", F.col("text").cast("string")).schema)
+    rows = small_batches(docs.withColumn("text", F.col("text").cast("string")))
+    return rows.mapInArrow(run, rows.schema)
 
 
 def crc_fold(doc_id: int) -> int:
