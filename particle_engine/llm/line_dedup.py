@@ -4,16 +4,19 @@
 * Signature: shingles of up to ``SHINGLE`` characters that start at every word
   and every ``STEP`` characters inside one (all characters are covered); the
   ``BOTTOM`` smallest shingle hashes are the line's MinHash signature.
-* Banding: a band is a triple of signature values; with 5 values there are 10
-  bands, and lines of Jaccard similarity 0.8 share one with probability 0.94, of
-  0.9 with 0.99.
-* Verification: in a band each line is compared with the two lines before it in
-  signature order and with the band's first line, never all with all; the exact
-  Jaccard similarity of the shingle sets decides.
+* Banding: a band is a pair of signature values; with 5 values there are 10 bands.
+* Verification: in a band each line is first compared with the two lines before
+  it in signature order and with the band's first line; the exact Jaccard
+  similarity of the shingle sets decides.
+* What that leaves in several components is settled exactly, so that all similar
+  lines of a band end in one component: each line of such a band is compared
+  with the band's likely medoid (the line whose shingles most of the band has,
+  found by counting), then lines of different components that share one of their
+  rarest shingles, as many as similar lines must share (prefix filter).
 * Distributed union-find joins verified links; a component keeps its first line.
 
 Defined results: null text stays null; blank lines stay where they are and are
-never compared; lines of fewer than three shingles match exact copies only; repeated rows of
+never compared; lines of fewer than two shingles match exact copies only; repeated rows of
 one document (same doc_id and text) share their fate line by line; a text whose
 lines all go is empty.
 """
@@ -28,7 +31,9 @@ from pyspark.sql import functions as F
 from particle_engine.llm.common import bounded_broadcast, connected_components, stage_table
 
 SHINGLE, STEP = 12, 6
-BOTTOM, WIDTH = 5, 3
+BOTTOM, WIDTH = 5, 2
+#: In bands of up to so many lines the first comparisons are all there are.
+COVERED = 4
 SIMILARITY = 0.8
 CHUNKS = rf"(?s)(?=(.{{1,{SHINGLE}}}))[^ ]{{1,{STEP}}} *"
 
@@ -46,8 +51,8 @@ def _lines(docs: DataFrame) -> DataFrame:
     return lines.where(F.trim("line") != "").withColumn("line_id", F.xxhash64("line"))
 
 
-def candidate_pairs(lines: DataFrame) -> DataFrame:
-    """(a, b): line ids that meet in a band, each with its two predecessors and the band's first. ``lines`` holds each line once."""
+def band_members(lines: DataFrame) -> DataFrame:
+    """(line_id, key, band, size, seen) of lines that share a band; ``seen`` are the two before in the band and its first. ``lines`` holds each line once."""
     bands = [F.when(F.col("n") > c[-1], F.xxhash64(*[F.get("sig", F.lit(i)) for i in c])) for c in combinations(range(BOTTOM), WIDTH)]
     marked = with_shingles(lines.select("line_id", "line"), "line", "s").select("line_id", F.size("s").alias("n"), F.slice("s", 1, BOTTOM).alias("sig"))
     # lines of too few shingles have null bands only and leave no row; a filter here would sink and cut each line twice
@@ -60,21 +65,23 @@ def candidate_pairs(lines: DataFrame) -> DataFrame:
             "before": F.lag(F.struct("line_id", "key")).over(sorted_band),
             "second": F.lag(F.struct("line_id", "key"), 2).over(sorted_band),
             "head": F.first(F.struct("line_id", "key")).over(sorted_band.rowsBetween(Window.unboundedPreceding, 0)),
+            "size": F.count(F.lit(1)).over(sorted_band.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).cast("int"),
         }
     )
-    pairs = met.where("before is not null").select("line_id", "key", F.explode(F.array_compact(F.array("before", "second", "head"))).alias("o"))
+    return met.where("size > 1").select("line_id", "key", "band", "size", F.array_compact(F.array("before", "second", "head")).alias("seen"))
+
+
+def _near_pairs(met: DataFrame) -> DataFrame:
+    """Distinct (a, b) from (line_id, key, o), without pairs whose numbers of shingles forbid similarity."""
     size = lambda c: F.shiftrightunsigned(c, 48)
     near = F.least(size(F.col("key")), size(F.col("o.key"))) >= SIMILARITY * F.greatest(size(F.col("key")), size(F.col("o.key")))
     a, b = F.col("line_id"), F.col("o.line_id")
-    return pairs.where(near & (a != b)).select(F.least(a, b).alias("a"), F.greatest(a, b).alias("b")).distinct()
+    return met.where(near & (a != b)).select(F.least(a, b).alias("a"), F.greatest(a, b).alias("b")).distinct()
 
 
-def verified_links(lines: DataFrame, pairs: DataFrame) -> DataFrame:
+def verified_links(texts: DataFrame, pairs: DataFrame) -> DataFrame:
     """Pairs whose shingle sets have Jaccard similarity ``SIMILARITY`` or more."""
-    ids = stage_table(pairs.select(F.explode(F.array("a", "b")).alias("line_id")).distinct(), "line-ids")
-    wanted = lines.join(bounded_broadcast(ids, 16), "line_id", "left_semi")
-    sets = stage_table(wanted.groupBy("line_id").agg(F.first("line").alias("line")), "line-texts")
-    left, right = sets.select(F.col("line_id").alias("a"), F.col("line").alias("la")), sets.select(F.col("line_id").alias("b"), F.col("line").alias("lb"))
+    left, right = texts.select(F.col("line_id").alias("a"), F.col("line").alias("la")), texts.select(F.col("line_id").alias("b"), F.col("line").alias("lb"))
     both = with_shingles(with_shingles(pairs.join(left, "a").join(right, "b"), "la", "x"), "lb", "y").select("a", "b", "x", "y")
     shared = F.size(F.array_intersect("x", "y"))
     # the test is a generator of one row or none: a filter would sink below the projections and cut both lines again
@@ -82,6 +89,49 @@ def verified_links(lines: DataFrame, pairs: DataFrame) -> DataFrame:
     return both.select("a", "b", F.explode(alike).alias("one")).select("a", "b")
 
 
+def _several(members: DataFrame, roots: DataFrame) -> DataFrame:
+    """``members`` with their component ``comp``, of bands that hold more than one."""
+    named = members.join(roots.select(F.col("node").alias("line_id"), "root"), "line_id", "left").withColumn("comp", F.coalesce("root", "line_id")).drop("root")
+    apart = named.groupBy("band").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).where("low < high").select("band")
+    return named.join(apart, "band")
+
+
+def _profiles(texts: DataFrame) -> DataFrame:
+    """(line_id, counts, prefix): how many of the lines have each shingle, and the line's rarest shingles, of which similar lines share one."""
+    shingles = with_shingles(texts, "line", "s").select("line_id", F.explode("s").alias("w"))
+    counted = shingles.join(shingles.groupBy("w").agg(F.count(F.lit(1)).cast("int").alias("f")), "w")
+    own = counted.groupBy("line_id").agg(F.array_sort(F.collect_list(F.struct("f", "w"))).alias("ws")).withColumn("n", F.size("ws"))
+    least = (F.col("n") - F.ceil(SIMILARITY * F.col("n") - 1e-6) + 1).cast("int")
+    return own.select("line_id", F.col("ws.f").alias("counts"), F.slice("ws.w", F.lit(1), least).alias("prefix"))
+
+
+def line_links(lines: DataFrame) -> DataFrame:
+    """Verified links (a, b) that connect all similar lines of each band."""
+    met = stage_table(band_members(lines), "bands")
+    ids = stage_table(met.select("line_id").distinct(), "line-ids")
+    texts = lines.select("line_id", "line").join(bounded_broadcast(ids, 16), "line_id", "left_semi")
+    texts = stage_table(texts.groupBy("line_id").agg(F.first("line").alias("line")), "line-texts")
+    verified = lambda p: stage_table(verified_links(texts, stage_table(_near_pairs(p), "pairs")), "verified")
+    links = verified(met.select("line_id", "key", F.explode("seen").alias("o")))
+    members = met.where(F.col("size") > COVERED).select("band", "line_id", "key", "size")
+    apart = stage_table(_several(members, connected_components(links, "a", "b")), "apart")
+    if apart.isEmpty():
+        return links
+    profiles = stage_table(_profiles(texts.join(apart.select("line_id").distinct(), "line_id", "left_semi")), "profiles")
+    # a shingle most of the band has speaks for a line, any other against it
+    score = F.aggregate("counts", F.lit(0).cast("long"), lambda s, f: s + 2 * F.least(f, F.col("size")) - F.col("size"))
+    scored = apart.join(profiles, "line_id").select("band", "comp", "line_id", "key", score.alias("score"))
+    medoid = scored.groupBy("band").agg(F.max(F.struct("score", "line_id", "key", "comp")).alias("o"))
+    links = links.union(verified(apart.join(medoid, "band").where("comp <> o.comp")))
+    apart = _several(apart.drop("comp"), connected_components(links, "a", "b")).join(profiles.drop("counts"), "line_id")
+    apart = stage_table(apart, "apart")
+    # pairs inside a band's largest component are settled, so one side of each pair is outside it
+    largest = apart.groupBy("band", "comp").agg(F.count(F.lit(1)).alias("n")).groupBy("band").agg(F.max(F.struct("n", "comp")).alias("top"))
+    keyed = apart.join(largest, "band").select("band", "line_id", "key", "comp", (F.col("comp") != F.col("top.comp")).alias("outside"), F.explode("prefix").alias("w"))
+    other = keyed.select("band", "w", F.struct("line_id", "key").alias("o"), F.col("comp").alias("o_comp"))
+    return links.union(verified(keyed.where("outside").join(other, ["band", "w"]).where("comp <> o_comp")))
+
+
 def dropped_lines(docs: DataFrame) -> DataFrame:
     """(row_key, drops, n_dropped): line numbers to drop from each document that loses any."""
     lines = _lines(docs)
@@ -91,8 +141,7 @@ def dropped_lines(docs: DataFrame) -> DataFrame:
     # only the first of equal lines goes on; a counted broadcast or a join tells which
     marked = lines.join(bounded_broadcast(equal, 48), "line_id", "left")
     once = marked.where("first is null or (row_key = first.row_key and line_no = first.line_no)").drop("first")
-    pairs = stage_table(candidate_pairs(once), "pairs")
-    roots = connected_components(verified_links(once, pairs), "a", "b").select(F.col("node").alias("line_id"), "root")
+    roots = connected_components(line_links(once), "a", "b").select(F.col("node").alias("line_id"), "root")
     linked = spots.join(bounded_broadcast(roots, 24), "line_id").groupBy("line_id", "root").agg(F.min(F.struct("doc_id", "row_key", "line_no")).alias("first"))
     alone = equal.join(roots, "line_id", "left_anti").select("line_id", F.col("line_id").alias("root"), "first")
     several = stage_table(linked.unionByName(alone), "several")

@@ -117,6 +117,21 @@ def test_fuzzy_lines_against_brute_force(spark):
     assert got == {i: (t if roots[i] == i or not t else "") for i, t in pairs}
 
 
+def test_star_of_edits_keeps_one_line(spark):
+    rng = random.Random(1)
+    vocabulary = ["".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(rng.randrange(3, 9))) for _ in range(2000)]
+    template = [rng.choice(vocabulary) for _ in range(30)]
+    lines = {" ".join(template)}
+    while len(lines) < 300:
+        edit = list(template)
+        edit[rng.randrange(30)] = rng.choice(vocabulary)
+        lines.add(" ".join(edit))
+    lines = sorted(lines)
+    roots = closure(len(lines), [(i, j) for i in range(len(lines)) for j in range(i) if jaccard(lines[i], lines[j]) >= 0.8])
+    got = {r["doc_id"]: r["text"] for r in line_dedup.dedup_lines(docs(spark, enumerate(lines))).collect()}
+    assert {i for i, t in got.items() if t} == set(roots)
+
+
 def test_line_dedup_edges(spark):
     long = "\n".join(" ".join(words(i, 12)) for i in range(3000))
     rows = [(1, "keep me please now\n\nsecond line of it\nkeep me please now"), (2, "second line of it\n  \nown words stay here"), (3, None), (4, ""), (5, long), (6, "nospaces" * 500 + "\nx"), (6, "nospaces" * 500 + "\nx")]
