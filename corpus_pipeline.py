@@ -16,6 +16,8 @@ from particle_engine.llm.common import bounded_broadcast, stage_table, table
 
 #: Near-duplicate stages on word shingles take five words.
 NEAR_WORDS = 5
+#: Jaccard similarity of near copies.
+NEAR_SIMILARITY = 0.8
 ORACLE_SQL = None  # learned, iterated and hashed stages have no SQL form; each is tested by itself
 
 
@@ -34,7 +36,7 @@ def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of near copies the smallest doc_id stays."""
-    groups = simhash.near_duplicates(docs, words=NEAR_WORDS).where("not is_kept").select(F.col("doc_id").alias("__gone")).distinct()
+    groups = simhash.near_duplicates(docs, words=NEAR_WORDS, similarity=NEAR_SIMILARITY).where("not is_kept").select(F.col("doc_id").alias("__gone")).distinct()
     groups = stage_table(groups, "near-copies")
     return docs.join(bounded_broadcast(groups, 16), docs["doc_id"].cast("long") == F.col("__gone"), "left_anti").select(*docs.columns)
 

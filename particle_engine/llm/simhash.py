@@ -8,6 +8,12 @@ members agree (mask and pattern); two nodes are compared by the differing bits
 of the shared mask, and a pair of nodes over the radius is dropped with all its
 members.  A key emits a spanning forest of its links, never all pairs.
 
+A radius of 3 bits holds only the lightest edits.  With ``similarity`` texts
+whose shingle sets have that Jaccard similarity are linked too: 16 bands of four
+MinHash values propose pairs (at 0.8 a pair is missed with probability 0.0002),
+and exact shingle sets decide.  In a band each text meets its predecessor and
+the first; where that leaves several components, all pairs across them meet.
+
 Defined results: null text counts as empty; no words give fingerprint zero,
 linked like any other; repeated rows share a fingerprint and a component; a
 null doc_id takes part as a row of its own fingerprint group but never names a
@@ -21,29 +27,33 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from particle_engine.llm.common import connected_components, small_batches, stage_table
+from particle_engine.llm.common import bounded_broadcast, connected_components, small_batches, stage_table
 
 RADIUS = 3
 LEAF = 16
 SEED = 42
+BANDS, ROWS = 16, 4
+
+
+def shingles_of(text: str | None, words: int) -> list[bytes]:
+    """Runs of ``words`` tokens, lower case; a shorter text is one shingle, one without tokens has none."""
+    tokens = (text or "").encode("utf-8", "surrogatepass").lower().split()
+    if len(tokens) <= words:
+        return [b" ".join(tokens)] if tokens else []
+    flat = b" ".join(tokens)
+    ends = np.cumsum([len(t) + 1 for t in tokens])
+    starts = np.concatenate(([0], ends[:-1]))[: len(tokens) - words + 1].tolist()
+    return [flat[i:j] for i, j in zip(starts, (ends[words - 1 :] - 1).tolist())]
 
 
 def fingerprint(text: str | None, words: int = 3) -> int:
     """64-bit SimHash: bit i is set if set in over half of the shingle hashes (repeats count)."""
-    tokens = (text or "").encode("utf-8", "surrogatepass").lower().split()
-    if not tokens:
+    shingles = shingles_of(text, words)
+    if not shingles:
         return 0
-    if len(tokens) <= words:
-        shingles = [b" ".join(tokens)]
-    else:
-        flat = b" ".join(tokens)
-        ends = np.cumsum([len(t) + 1 for t in tokens])
-        starts = np.concatenate(([0], ends[:-1]))[: len(tokens) - words + 1].tolist()
-        stops = (ends[words - 1 :] - 1).tolist()
-        shingles = [flat[i:j] for i, j in zip(starts, stops)]
     digest = xxhash.xxh64_intdigest
     total = np.zeros(64, np.int64)
     for at in range(0, len(shingles), 1 << 14):  # bounded memory on very long texts
@@ -161,11 +171,80 @@ def near_links(codes: DataFrame) -> DataFrame:
     return keyed.repartition("key").sortWithinPartitions("key", "gray").select("key", "fp").mapInArrow(_under_keys, "a long, b long")
 
 
-def near_duplicates(docs: DataFrame, words: int = 3) -> DataFrame:
-    """(doc_id, fingerprint, component_id, is_kept): one row per input row; component_id is the smallest doc_id reachable."""
+def min_bands(text: str | None, words: int) -> list[int]:
+    """One key for each band of ``ROWS`` MinHash values; none without tokens."""
+    shingles = list(set(shingles_of(text, words)))
+    if not shingles:
+        return []
+    draw = np.random.default_rng(SEED).integers(0, 1 << 63, (2, BANDS * ROWS), np.uint64)
+    least = np.full(BANDS * ROWS, np.iinfo(np.uint64).max, np.uint64)
+    for at in range(0, len(shingles), 1 << 12):  # bounded memory on very long texts
+        hashes = np.array([xxhash.xxh64_intdigest(s, SEED) for s in shingles[at : at + (1 << 12)]], np.uint64)
+        mixed = (hashes[:, None] ^ draw[0]) * (draw[1] | np.uint64(1))
+        mixed = (mixed ^ (mixed >> np.uint64(32))) * np.uint64(0x9E3779B97F4A7C15)
+        least = np.minimum(least, mixed.min(0))
+    return [xxhash.xxh64_intdigest(least[i * ROWS : (i + 1) * ROWS].tobytes(), i) - (1 << 63) for i in range(BANDS)]
+
+
+def _alike(pairs: DataFrame, texts: DataFrame, words: int, similarity: float) -> DataFrame:
+    """Pairs (a, b) whose shingle sets have Jaccard similarity ``similarity`` or more."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keep = []
+            for x, y in zip(batch.column(2), batch.column(3)):
+                p, q = set(shingles_of(x.as_py(), words)), set(shingles_of(y.as_py(), words))
+                shared = len(p & q)
+                keep.append(shared >= similarity * (len(p) + len(q) - shared))
+            yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
+
+    left, right = texts.select(F.col("key").alias("a"), F.col("text").alias("ta")), texts.select(F.col("key").alias("b"), F.col("text").alias("tb"))
+    both = pairs.join(left, "a").join(right, "b").select("a", "b", "ta", "tb")
+    return stage_table(both.mapInArrow(run, "a long, b long"), "alike")
+
+
+def similar_links(docs: DataFrame, words: int, similarity: float) -> DataFrame:
+    """Links (a, b) between the xxhash64 of different texts, which connect what is similar and shares a band."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            bands = pa.array([min_bands(t.as_py(), words) for t in batch.column(1)], pa.list_(pa.int64()))
+            yield pa.RecordBatch.from_arrays([batch.column(0), bands], ["key", "bands"])
+
+    keyed = docs.select(F.col("text").cast("string").alias("text")).where("text is not null").select(F.xxhash64("text").alias("key"), "text")
+    banded = small_batches(keyed).mapInArrow(run, "key long, bands array<long>").select("key", F.explode("bands").alias("band")).distinct()
+    order = Window.partitionBy("band").orderBy("key")
+    met = banded.withColumns({"before": F.lag("key").over(order), "head": F.first("key").over(order), "after": F.lead("key").over(order)})
+    met = stage_table(met.where("before is not null or after is not null").drop("after"), "similar-bands")
+    ids = stage_table(met.select("key").distinct(), "similar-ids")
+    texts = stage_table(keyed.join(bounded_broadcast(ids, 16), "key", "left_semi").groupBy("key").agg(F.first("text").alias("text")), "similar-texts")
+    ordered = lambda d: stage_table(d.select(F.least("key", "o").alias("a"), F.greatest("key", "o").alias("b")).where("a <> b").distinct(), "similar-pairs")
+    links = _alike(ordered(met.select("key", F.explode(F.array_compact(F.array("before", "head"))).alias("o"))), texts, words, similarity)
+    roots = connected_components(links, "a", "b").withColumnRenamed("node", "key")
+    named = met.select("band", "key").join(roots, "key", "left").select("band", "key", F.coalesce("root", "key").alias("comp"))
+    sizes = named.groupBy("band", "comp").agg(F.count(F.lit(1)).alias("n")).groupBy("band").agg(F.max(F.struct("n", "comp"))["comp"].alias("top"), F.count(F.lit(1)).alias("m")).where("m > 1")
+    apart = stage_table(named.join(sizes, "band").select("band", "key", "comp", "top"), "similar-apart")
+    other = apart.select("band", F.col("key").alias("o"), F.col("comp").alias("o_comp"))
+    rest = apart.where("comp <> top").join(other, "band").where("comp <> o_comp")
+    return links.union(_alike(ordered(rest), texts, words, similarity))
+
+
+def near_duplicates(docs: DataFrame, words: int = 3, similarity: float | None = None) -> DataFrame:
+    """(doc_id, fingerprint, component_id, is_kept): one row per input row; component_id is the smallest doc_id reachable.
+
+    Links are fingerprints within ``RADIUS`` and, if given, texts of Jaccard ``similarity`` or more.
+    """
     prints = stage_table(fingerprints(docs, words), "simhash")
     codes = stage_table(prints.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "codes")
-    roots = connected_components(near_links(codes.select("fp")), "a", "b")
+    links = near_links(codes.select("fp"))
+    if similarity is not None:
+        found = stage_table(similar_links(docs, words, similarity), "similar-links")
+        ids = stage_table(found.select(F.explode(F.array("a", "b")).alias("key")).distinct(), "similar-ids")
+        texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).withColumn("key", F.xxhash64("text"))
+        texts = texts.join(bounded_broadcast(ids, 16), "key", "left_semi").dropDuplicates(["key"])
+        by_key = stage_table(fingerprints(texts.select(F.col("key").alias("doc_id"), "text"), words), "similar-prints")
+        links = links.union(found.join(by_key.select(F.col("doc_id").alias("a"), F.col("fp").alias("fa")), "a").join(by_key.select(F.col("doc_id").alias("b"), F.col("fp").alias("fb")), "b").select("fa", "fb"))
+    roots = connected_components(links, "a", "b")
     linked = codes.join(roots.withColumnRenamed("node", "fp"), "fp", "left").select("fp", "first_id", F.coalesce("root", "fp").alias("root"))
     firsts = linked.groupBy("root").agg(F.min("first_id").alias("component_id"))
     named = stage_table(linked.join(firsts, "root").select("fp", "component_id"), "components")

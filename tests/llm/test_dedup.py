@@ -53,6 +53,28 @@ def test_simhash_matches_brute_force(spark):
     assert {r["doc_id"]: (r["fingerprint"], r["component_id"]) for r in got} == {i: (f"{p:016x}", c) for i, (p, c) in enumerate(zip(prints, roots))}
 
 
+def test_similar_texts_are_linked(spark):
+    rng = random.Random(9)
+    texts = [" ".join(words(500 + i, 300, 5000)) for i in range(60)]
+    for i in range(60):
+        changed = texts[i].split()
+        for at in rng.sample(range(300), 3 if i < 40 else 12):  # about 0.9 alike, and about 0.65
+            changed[at] = "changed"
+        texts.append(" ".join(changed))
+    for i in range(150):  # a star: edits are less alike to each other than to their text
+        changed = texts[0].split()
+        for at in rng.sample(range(300), 6):
+            changed[at] = f"edit{i}"
+        texts.append(" ".join(changed))
+    sets = [{tuple(t.split()[i : i + 5]) for i in range(296)} for t in texts]
+    alike = [(i, j) for i in range(len(sets)) for j in range(i) if len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j])]
+    prints = [brute_print(t, 5) for t in texts]
+    assert sum((prints[i] ^ prints[j]).bit_count() > 3 for i, j in alike) > 50
+    near = [(i, j) for i in range(len(texts)) for j in range(i) if (prints[i] ^ prints[j]).bit_count() <= 3]
+    got = {r["doc_id"]: r["component_id"] for r in simhash.near_duplicates(docs(spark, [*enumerate(texts), (900, None), (901, "")]), 5, 0.8).collect()}
+    assert [got[i] for i in range(len(texts))] == closure(len(texts), alike + near) and got[901] == 900
+
+
 def test_gray_index_finds_all_links():
     rng = np.random.default_rng(5)
     base = rng.integers(0, 1 << 63, 200).astype(np.uint64)
