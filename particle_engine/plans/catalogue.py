@@ -544,11 +544,21 @@ def k18_classifier_cycle(spark, sf):
     return workloads.k18_errors(spark, sf)
 
 
+@query(rf"""WITH d AS (SELECT doc_id % 4 AS cycle, quality, greatest(length(text), 1)::DOUBLE AS n, text FROM documents JOIN labels USING (doc_id)),
+x AS (SELECT cycle, quality, least(n, 4000.0::DOUBLE) / 4000.0::DOUBLE AS f1, len(regexp_extract_all(text, '[0-9]')) / n AS f2, len(regexp_extract_all(text, '[A-Z]')) / n AS f3 FROM d),
+b AS (SELECT CAST(i AS BIGINT) AS particle_id, {', '.join(f"{sql_normal4(str(SEED), '0', 'i', str(j))} AS b{j}" for j in range(4))} FROM range(64) t(i)),
+e AS (SELECT cycle, particle_id, sum(CAST(CAST(b0 + b1 * f1 + b2 * f2 + b3 * f3 > 0 AS INTEGER) <> quality AS INTEGER)) AS errors, count(*) AS docs FROM x, b GROUP BY ALL)
+SELECT CAST(cycle AS INTEGER) AS cycle, particle_id, CAST(errors AS BIGINT) AS errors, docs, CAST(sum(errors) OVER w AS BIGINT) AS total_errors, CAST(sum(docs) OVER w AS BIGINT) AS total_docs FROM e WINDOW w AS (PARTITION BY particle_id ORDER BY cycle)""")
+def k18_classifier_all_cycles(spark, sf):
+    """All batches of documents as cycles; ``k18_classifier_cycle`` is the first of them."""
+    return workloads.k18_all_errors(spark, sf)
+
+
 @query()
 def k18_classifier_weights(spark, sf):
-    """(particle_id, w_fix, w_hat): classifier particles weighed by their errors."""
-    e = workloads.k18_errors(spark, sf).select("particle_id", F.col("errors").alias("mismatches"))
-    return weights.normalise(weights.mask_weights(e).select("particle_id", "w_fix"))
+    """(particle_id, w_fix, w_hat): classifier particles weighed by their errors over all cycles."""
+    last = workloads.k18_all_errors(spark, sf).groupBy("particle_id").agg(F.sum("errors").alias("mismatches"))
+    return weights.normalise(weights.mask_weights(last).select("particle_id", "w_fix"))
 
 
 # K19.

@@ -89,19 +89,37 @@ def k17_scores(spark: SparkSession, sf_dir: str, dims: Iterable[int] = (1, 2, 4,
     return spread.groupBy("d", "vec_id").agg(F.sum("t").alias("log_w"))
 
 
-def k18_errors(spark: SparkSession, sf_dir: str, particles: int = 64, cycle: int = 0, batches: int = 4) -> DataFrame:
-    """(particle_id, errors, docs): sign classifiers (bias, length, digits, upper-case share) against ``quality`` on one batch of documents."""
+def _k18_features(spark: SparkSession, sf_dir: str, batches: int) -> DataFrame:
+    """(batch, quality, f1, f2, f3) of every labelled document."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text").join(table(spark, sf_dir, "labels").select("doc_id", "quality"), "doc_id")
     n = F.greatest(F.char_length("text"), F.lit(1)).cast("double")
-    feats = docs.where(F.pmod(F.col("doc_id"), F.lit(batches)) == cycle).select(
-        "quality", (F.least(n, F.lit(4000.0)) / F.lit(4000.0)).alias("f1"),
+    return docs.select(
+        F.pmod(F.col("doc_id"), F.lit(batches)).cast("int").alias("batch"), "quality", (F.least(n, F.lit(4000.0)) / F.lit(4000.0)).alias("f1"),
         (F.regexp_count("text", F.lit("[0-9]")) / n).alias("f2"), (F.regexp_count("text", F.lit("[A-Z]")) / n).alias("f3"),
     )
+
+
+def _k18_wrong(spark: SparkSession, feats: DataFrame, particles: int) -> DataFrame:
+    """(batch, particle_id, wrong): every particle's verdict on every document."""
     coef = [normal4(SEED, 0, F.col("id"), j).alias(f"b{j}") for j in range(4)]
     parts = spark.range(particles).select(F.col("id").alias("particle_id"), *[c for c in coef])
     score = F.col("b0") + F.col("b1") * F.col("f1") + F.col("b2") * F.col("f2") + F.col("b3") * F.col("f3")
     joined = feats.crossJoin(F.broadcast(parts))  # a fixed number of particles against every document
-    return joined.groupBy("particle_id").agg(F.sum(((score > 0).cast("int") != F.col("quality")).cast("int")).cast("long").alias("errors"), F.count(F.lit(1)).alias("docs"))
+    return joined.select("batch", "particle_id", ((score > 0).cast("int") != F.col("quality")).cast("int").alias("wrong"))
+
+
+def k18_errors(spark: SparkSession, sf_dir: str, particles: int = 64, cycle: int = 0, batches: int = 4) -> DataFrame:
+    """(particle_id, errors, docs): sign classifiers (bias, length, digits, upper-case share) against ``quality`` on one batch of documents."""
+    feats = _k18_features(spark, sf_dir, batches).where(F.col("batch") == cycle)
+    return _k18_wrong(spark, feats, particles).groupBy("particle_id").agg(F.sum("wrong").cast("long").alias("errors"), F.count(F.lit(1)).alias("docs"))
+
+
+def k18_all_errors(spark: SparkSession, sf_dir: str, particles: int = 64, batches: int = 4) -> DataFrame:
+    """(cycle, particle_id, errors, docs, total_errors, total_docs): every batch as a cycle; totals carry on what earlier cycles found."""
+    wrong = _k18_wrong(spark, _k18_features(spark, sf_dir, batches), particles)
+    each = wrong.groupBy(F.col("batch").alias("cycle"), "particle_id").agg(F.sum("wrong").cast("long").alias("errors"), F.count(F.lit(1)).alias("docs"))
+    so_far = Window.partitionBy("particle_id").orderBy("cycle").rowsBetween(Window.unboundedPreceding, 0)  # one row a cycle
+    return each.withColumns({"total_errors": F.sum("errors").over(so_far), "total_docs": F.sum("docs").over(so_far)})
 
 
 # Settings of the simulator.

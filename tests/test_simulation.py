@@ -180,3 +180,16 @@ def test_published_arithmetic(spark):
     assert round(metrics.overhead_share(512, 40, 19929), 3) == 0.027
     assert round(metrics.run_volume(2555, 2.5 / 1024, 48), 1) == 299.4
     assert metrics.startup_cost(100, 5, 10) == (50, 1000)
+
+
+def test_classifier_cycles_score_every_labelled_document(spark, sf):
+    from particle_engine.plans.catalogue import QUERIES
+
+    labelled = spark.read.parquet(f"{sf}/documents.parquet").join(spark.read.parquet(f"{sf}/labels.parquet"), "doc_id").count()
+    got = QUERIES["k18_classifier_all_cycles"](spark, sf).collect()
+    assert {r["cycle"] for r in got} == {0, 1, 2, 3} and {r["total_docs"] for r in got if r["cycle"] == 3} == {labelled}
+    errors = {r["particle_id"]: r["total_errors"] for r in got if r["cycle"] == 3}
+    w = {r["particle_id"]: r["w_fix"] for r in QUERIES["k18_classifier_weights"](spark, sf).collect()}
+    assert len(w) == 64 and all(w[a] >= w[b] for a in w for b in w if errors[a] < errors[b])
+    first = {r["particle_id"]: (r["errors"], r["docs"]) for r in QUERIES["k18_classifier_cycle"](spark, sf).collect()}
+    assert first == {r["particle_id"]: (r["errors"], r["docs"]) for r in got if r["cycle"] == 0}
