@@ -193,3 +193,17 @@ def test_classifier_cycles_score_every_labelled_document(spark, sf):
     assert len(w) == 64 and all(w[a] >= w[b] for a in w for b in w if errors[a] < errors[b])
     first = {r["particle_id"]: (r["errors"], r["docs"]) for r in QUERIES["k18_classifier_cycle"](spark, sf).collect()}
     assert first == {r["particle_id"]: (r["errors"], r["docs"]) for r in got if r["cycle"] == 0}
+
+
+def test_registered_studies_use_all_rows_and_sizes(spark, sf, monkeypatch):
+    from particle_engine.operators import schedule
+    from particle_engine.plans import workloads
+    from particle_engine.plans.catalogue import QUERIES
+
+    large, seen = sf.replace("0.001", "0.1"), []
+    plain = schedule.static_schedule
+    monkeypatch.setattr(schedule, "static_schedule", lambda parents, *a: (seen.append(parents.count()), plain(parents, *a))[1])
+    assert tuple(QUERIES["s3b_best_fit"](spark, large).first()) == (True, True)
+    assert seen == [spark.read.parquet(f"{large}/conversations.parquet").select("conv_id").distinct().count()]
+    assert QUERIES["k1b_vs_exact"](spark, sf).first()["cycles"] == workloads.k1b_level(spark, sf).count()
+    assert {r["config_id"][-4:] for r in workloads.k12(spark, sf)[0].collect()} == {"0128", "0256", "0512", "1024"}
