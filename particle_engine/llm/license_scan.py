@@ -1,8 +1,9 @@
 """Licence recognition by sentence rules, in DataFrame functions only.
 
-A text is cut into sentences, each is normalised (A-Z lowered, every run of
-other characters than letters and digits one space) and looked up among known
-licence sentences; the identifiers in text order, unknown sentences left out,
+A text is cut into lines and sentences ("v. 2.0" stays whole), normalised (A-Z
+lowered, every run of other characters than letters and digits one space) and
+what is a known licence sentence is found; it may be wrapped over lines, but not
+over a blank line or a sentence's end; the identifiers in text order, unknown sentences left out,
 are then matched against ordered licence rules, longest rule first, and what a
 rule has consumed is gone for later rules.
 
@@ -39,6 +40,11 @@ SENTENCES = {
     "mpl-short": ["this source code form is subject to the terms of the mozilla public license v 2 0"],
     "reserved": ["all rights reserved"],
 }
+# The whole sentences of licences of which SENTENCES has the beginning.
+WHOLE = {
+    "mit-grant": SENTENCES["mit-grant"][0] + " including without limitation the rights to use copy modify merge publish distribute sublicense and or sell copies of the software and to permit persons to whom the software is furnished to do so subject to the following conditions",
+    "as-is": SENTENCES["as-is"][0] + " including but not limited to the warranties of merchantability fitness for a particular purpose and noninfringement",
+}
 # Ordered rules, longest first where one begins another.
 RULES = [
     ("BSD-3-Clause", ["bsd-grant", "bsd-source", "bsd-binary", "bsd-name"]),
@@ -59,17 +65,23 @@ RULES = [
     ("All-Rights-Reserved", ["reserved"]),
 ]
 #: Every known sentence holds one of these, so other texts need no cutting.
-HINT = r"(?i)licen[sc]e|rights|permission|warrant|redistribut|free software"
-CUT = r"[.;!?]+[\x20\x09-\x0D]|\n"
+HINT = r"(?i)licen[sc]e|rights|permission|warrant|redistribut|free\s+software"
+#: A sentence's end or a blank line; no end is "v." before a number.
+ENDS = r"(?:(?<!\bv)|(?=[.;!?]+\s+[^0-9]))[.;!?]+[\x20\x09-\x0D]|\n(?=[^a-z0-9\n]*\n)"
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
 def identifiers(text: Column) -> Column:
     """array<string>: identifiers of the known sentences, in text order."""
-    known = F.create_map(*[F.lit(x) for name, forms in SENTENCES.items() for form in forms for x in (form, name)])
-    normal = lambda s: F.trim(F.regexp_replace(F.translate(s, UPPER, LOWER), "[^a-z0-9]+", " "))
-    found = F.filter(F.transform(F.split(F.regexp_replace(text, CUT, "\n"), "\n", -1), lambda s: F.try_element_at(known, normal(s))), lambda i: i.isNotNull())
-    return F.when(text.rlike(HINT), found).otherwise(F.array().cast("array<string>"))
+    names = {form: name for name, forms in SENTENCES.items() for form in forms} | {form: name for name, form in WHOLE.items()}
+    known = F.create_map(*[F.lit(x) for item in names.items() for x in item])
+    # "#" stands for a sentence's end or a blank line, "|" for another line's end
+    ends = F.regexp_replace(F.translate(text, UPPER + "#|", LOWER + "  "), ENDS, "#")
+    normal = F.regexp_replace(F.regexp_replace(F.replace(ends, F.lit("\n"), F.lit("|")), "[^a-z0-9#|]+", " "), " ?([#|]) ?", " $1 ")
+    forms = "|".join(form.replace(" ", r" (?:\| +)?") for form in sorted(names, key=len, reverse=True))
+    found = F.regexp_extract_all(F.concat(F.lit("# "), F.trim(normal), F.lit(" #")), F.lit(rf"(?<=[#|] )(?:{forms})(?= [#|])"), F.lit(0))
+    ids = F.transform(found, lambda s: F.element_at(known, F.regexp_replace(s, r"[| ]+", " ")))
+    return F.when(text.rlike(HINT), ids).otherwise(F.array().cast("array<string>"))
 
 
 def scan_licenses(docs: DataFrame) -> DataFrame:

@@ -64,6 +64,41 @@ def test_license_rules(spark):
     assert license_scan.scan_licenses(docs(spark, [])).collect() == []
 
 
+MIT_TEXT = """Permission is hereby granted, free of charge, to any person obtaining a copy
+of this software and associated documentation files (the "Software"), to deal
+in the Software without restriction, including without limitation the rights
+to use, copy, modify, merge, publish, distribute, sublicense, and/or sell
+copies of the Software, and to permit persons to whom the Software is
+furnished to do so, subject to the following conditions:
+
+The above copyright notice and this permission notice shall be included in all
+copies or substantial portions of the Software.
+
+THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR
+IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY,
+FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT."""
+MPL_TEXT = """/* This Source Code Form is subject to the terms of the Mozilla Public
+ * License, v. 2.0. If a copy of the MPL was not distributed with this file */"""
+APACHE_TEXT = """# Licensed under the Apache License, Version 2.0 (the "License");
+# you may not use this file except in compliance with
+# the License. You may obtain a copy of the License at
+#
+# Unless required by applicable law or agreed to in writing, software distributed under the
+# License is distributed on an "AS IS" BASIS, WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND,
+# either express or implied."""
+GPL_TEXT = """This program is free
+software: you can redistribute it and/or modify it under the terms of the GNU General
+Public License as published by the Free Software Foundation, either version 3 of the License,
+or (at your option) any later version."""
+
+
+def test_verbatim_wrapped_licences(spark):
+    apart = "Released under\n\nthe MIT License. All rights. Reserved"
+    rows = [(i, t, "en", "s") for i, t in enumerate([MIT_TEXT, MPL_TEXT, APACHE_TEXT, GPL_TEXT, apart, MIT_TEXT.replace("\n", "\r\n")])]
+    got = {r["doc_id"]: (r["licenses"], r["n_sentences"]) for r in license_scan.scan_licenses(docs(spark, rows)).collect()}
+    assert got == {0: ("MIT", 3), 1: ("MPL-2.0", 1), 2: ("Apache-2.0", 4), 3: ("GPL-3.0-or-later", 1), 4: ("", 0), 5: ("MIT", 3)}
+
+
 def test_best_fit_places_everything():
     rng = random.Random(2)
     sizes = sorted((rng.randrange(1, 4097) for _ in range(400)), reverse=True)
