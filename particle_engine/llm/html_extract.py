@@ -4,10 +4,10 @@ A page is cut into blocks with a role: chrome (navigation, headers, footers,
 sidebars, notices, adverts, forms, comments), main (inside an article or main
 element) or open (neither).  The word streams of chrome and open blocks of a
 host's pages form the host's suffix array: each task sorts the suffixes of its
-pages, cut to ``MIN_RUN`` words, and hands on one row per different prefix with
-the first and last page that has it; merging these rows joins the sorted arrays
-of all tasks.  A prefix found on two pages is a long repeated substring, and
-every word it covers is boilerplate.
+pages, cut to ``MIN_RUN`` words (a shorter block whole), and hands on one row per
+different prefix and page; merging these rows joins the sorted arrays of all
+tasks.  A prefix found on two pages and on ``SHARE`` of the host's pages or more
+is a long repeated substring, and every word it covers is boilerplate.
 
 What stays: main blocks whole (an article's own words are content even where
 another page repeats them), and of open blocks the runs of words that no
@@ -34,7 +34,8 @@ from pyspark.sql import functions as F
 
 from particle_engine.llm.common import small_batches, stage_table
 
-MIN_RUN = 6
+MIN_RUN = 20
+SHARE = 0.2
 TOKEN = re.compile(r"<!--.*?(?:-->|$)|<!\[CDATA\[.*?(?:\]\]>|$)|<(script|style|template|noscript|svg|math|iframe|object|select|textarea|title)\b[^>]*>.*?(?:</\1\s*>|$)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|$)|<[!?/][^>]*(?:>|$)", re.S | re.I)
 SPACE = re.compile(r"\s+")
 INLINE = set("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark q rp rt ruby s samp small span strike strong sub sup time tt u var wbr".split())
@@ -114,6 +115,10 @@ def _hash(text: str) -> int:
     return xxhash.xxh64_intdigest(text.encode("utf-8", "surrogatepass")) - (1 << 63)
 
 
+#: The empty prefix, which every page of a host has.
+EVERY_PAGE = _hash("")
+
+
 def suffixes(parts: list[tuple[str, str]]) -> tuple[list[int], list[tuple[int, int]]]:
     """Hashes of the suffixes of a page's stream outside main blocks, cut to MIN_RUN words; (block, word) of each."""
     keys, places = [], []
@@ -133,7 +138,7 @@ def suffix_runs(pages: DataFrame) -> DataFrame:
         for batch in batches:
             hosts, keys, page = [], [], []
             for page_id, url, html in zip(*(c.to_pylist() for c in batch.columns)):
-                found, _ = suffixes(blocks(html))
+                found = [EVERY_PAGE, *suffixes(blocks(html))[0]]
                 keys += found
                 hosts += [_hash(host_of(url))] * len(found)
                 page += [page_id] * len(found)
@@ -142,13 +147,14 @@ def suffix_runs(pages: DataFrame) -> DataFrame:
             h, k, p = (np.array(x, np.int64) for x in (hosts, keys, page))
             order = np.lexsort((p, k, h))  # the local suffix array: by host, then by suffix
             h, k, p = h[order], k[order], p[order]
-            start = np.flatnonzero(np.r_[True, (h[1:] != h[:-1]) | (k[1:] != k[:-1])])
-            stop = np.r_[start[1:], len(h)] - 1
-            yield pa.RecordBatch.from_arrays([pa.array(x) for x in (h[start], k[start], p[start], p[stop])], ["host_key", "suffix", "low", "high"])
+            new = np.r_[True, (h[1:] != h[:-1]) | (k[1:] != k[:-1]) | (p[1:] != p[:-1])]
+            yield pa.RecordBatch.from_arrays([pa.array(x[new]) for x in (h, k, p)], ["host_key", "suffix", "page"])
 
     source = pages.select(F.coalesce(F.col("page_id").cast("long"), F.lit(-1)).alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html"))
-    local = source.mapInArrow(run, "host_key long, suffix long, low long, high long")
-    return local.groupBy("host_key", "suffix").agg(F.min("low").alias("low"), F.max("high").alias("high")).where("low < high").select("host_key", "suffix")
+    local = source.mapInArrow(run, "host_key long, suffix long, page long")
+    counted = stage_table(local.groupBy("host_key", "suffix").agg(F.count_distinct("page").alias("n")).where("n > 1"), "suffix-counts")
+    total = counted.where(F.col("suffix") == EVERY_PAGE).select("host_key", F.col("n").alias("total"))
+    return counted.where(F.col("suffix") != EVERY_PAGE).join(total, "host_key").where(F.col("n") >= SHARE * F.col("total")).select("host_key", "suffix")
 
 
 def _assemble(parts: list[tuple[str, str]], repeated: set[int]) -> str:

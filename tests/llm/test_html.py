@@ -52,5 +52,14 @@ def test_pages_without_article_lose_repeated_runs(spark):
     assert texts[None] == ""
 
 
+def test_ordinary_phrases_of_a_large_host_stay(spark):
+    notice = "this site uses biscuits to count all of its visitors every day"
+    phrase = "as everyone in the old town knows very well"
+    own = [f"story {i} opens and {phrase} the year {i * 7} was long" for i in range(100)]
+    rows = [(i, f"http://h.example/{i}", f"<div>{notice}</div><p>{t}</p><p>To be continued {i // 2}</p>", "x", 1) for i, t in enumerate(own)]
+    got = {r["page_id"]: r["text"] for r in H.extract(spark.createDataFrame(rows, SCHEMA)).collect()}
+    assert got == {i: f"{t} To be continued {i // 2}" for i, t in enumerate(own)}
+
+
 def test_empty_table(spark):
     assert H.extract(spark.createDataFrame([], SCHEMA)).collect() == []
