@@ -1,18 +1,25 @@
 """Fuzzy line deduplication by MinHash, in DataFrame functions only.
 
-* Equal lines meet by a 64-bit hash of the line; the first in (doc_id, line) order is theirs.
-* Signature: shingles of up to ``SHINGLE`` characters that start at every word
-  and every ``STEP`` characters inside one (all characters are covered); the
-  ``BOTTOM`` smallest shingle hashes are the line's MinHash signature.
-* Banding: a band is a pair of signature values; with 5 values there are 10 bands.
-* Verification: in a band each line is first compared with the two lines before
-  it in signature order and with the band's first line; the exact Jaccard
-  similarity of the shingle sets decides.
-* What that leaves in several components is settled exactly, so that all similar
-  lines of a band end in one component: each line of such a band is compared
-  with the band's likely medoid (the line whose shingles most of the band has,
-  found by counting), then lines of different components that share one of their
-  rarest shingles, as many as similar lines must share (prefix filter).
+* Equal lines meet by a 64-bit hash of the line, and a second hash of each must
+  agree; the first in (doc_id, line) order is theirs.  Where one hash has lines
+  that differ in the second, all of them stay as they are.
+* Shingles are the runs of ``SHINGLE`` characters at every position, as a set;
+  signature, banding and Jaccard similarity all use this one definition.
+* Signature: a line's smallest shingle hashes under one fixed order that ranks
+  shingles beginning with a character of ``FIRST`` before all others.  So only these
+  are cut as long as a line has ``BOTTOM`` of them, and every shingle where it
+  has not (other scripts, short lines): the order is the same for all lines.
+* Banding: a band is a pair of the ``BOTTOM`` first values; with 5 values there
+  are 10 bands, and lines of similarity 0.8 share one with probability 0.99.
+  Values that one line alone has are left out before bands are built.
+* Sketch: the first ``SKETCH`` values of the same order.  Pairs whose sketches lie
+  3.5 standard errors under what similarity 0.8 gives are not verified.
+* Verification: exact Jaccard similarity of the two shingle sets.  In bands of up to
+  ``SMALL`` lines every pair is judged.  In larger ones each line is judged
+  against the band's likely medoid (the line whose sketch values most others
+  have); a line that this leaves outside the band's largest component then meets every
+  line of another component with which it shares one of its rarest sketch values,
+  as many as similar lines must share (prefix filter).  No pair is capped away.
 * Distributed union-find joins verified links; a component keeps its first line.
 
 Defined results: null text stays null; blank lines stay where they are and are
@@ -25,23 +32,50 @@ from __future__ import annotations
 
 from itertools import combinations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from particle_engine.llm.common import bounded_broadcast, connected_components, stage_table
+from particle_engine.llm.common import BROADCAST_BYTES, bounded_broadcast, connected_components, stage_table
 
-SHINGLE, STEP = 12, 6
-BOTTOM, WIDTH = 5, 2
-#: In bands of up to so many lines the first comparisons are all there are.
-COVERED = 4
+SHINGLE = 12
 SIMILARITY = 0.8
-CHUNKS = rf"(?s)(?=(.{{1,{SHINGLE}}}))[^ ]{{1,{STEP}}} *"
+BOTTOM, WIDTH = 5, 2
+SKETCH = 32
+#: In bands of up to so many lines every pair is judged.
+SMALL = 32
+# Characters that are frequent in several scripts; about every eighth shingle of Latin text begins with one.
+FIRST = "eE147оا的の"
+EVERY = rf"(?s)(?=(.{{{SHINGLE}}}))"
+RANKED_FIRST = rf"(?s)(?=([{FIRST}].{{{SHINGLE - 1}}}))"
+#: Expected overlap of two sketches at SIMILARITY, and the width of its tolerance.
+OVERLAP, TOLERANCE = 2 * SIMILARITY / (1 + SIMILARITY), 3.5
+
+
+def _hashes(line: Column, pattern: str) -> Column:
+    return F.sort_array(F.array_distinct(F.transform(F.regexp_extract_all(line, F.lit(pattern), F.lit(1)), lambda s: F.xxhash64(s))))
 
 
 def with_shingles(df: DataFrame, line: str, out: str) -> DataFrame:
-    """Adds the sorted distinct hashes of a line's character shingles."""
-    cut = F.regexp_extract_all(F.col(line), F.lit(CHUNKS), F.lit(1))
-    return df.withColumn(out, F.sort_array(F.array_distinct(F.transform(cut, lambda s: F.xxhash64(s)))))
+    """Adds the sorted distinct hashes of a line's character shingles; a line shorter than one shingle has none."""
+    return df.withColumn(out, _hashes(F.col(line), EVERY))
+
+
+def with_sketch(df: DataFrame, line: str, out: str, size: int = SKETCH) -> DataFrame:
+    """Adds a line's first ``size`` shingle hashes in the common order; fewer if it has ``BOTTOM`` or more that rank first."""
+    df = df.withColumn("__first", _hashes(F.col(line), RANKED_FIRST))
+    every = F.concat("__first", F.array_except(_hashes(F.col(line), EVERY), F.col("__first")))
+    return df.withColumn(out, F.slice(F.when(F.size("__first") >= BOTTOM, F.col("__first")).otherwise(every), 1, size)).drop("__first")
+
+
+def _needed(k: Column) -> Column:
+    """Sketch values two similar lines share at least, of ``k`` compared."""
+    return OVERLAP * k - TOLERANCE * F.sqrt(OVERLAP * (1 - OVERLAP) * k)
+
+
+def likely_similar(x: Column, y: Column) -> Column:
+    """Whether two sketches leave similarity 0.8 possible."""
+    k = F.least(F.size(x), F.size(y))
+    return F.size(F.array_intersect(F.slice(x, F.lit(1), k), F.slice(y, F.lit(1), k))) >= _needed(k)
 
 
 def _lines(docs: DataFrame) -> DataFrame:
@@ -51,99 +85,118 @@ def _lines(docs: DataFrame) -> DataFrame:
     return lines.where(F.trim("line") != "").withColumn("line_id", F.xxhash64("line"))
 
 
-def band_members(lines: DataFrame) -> DataFrame:
-    """(line_id, key, band, size, seen) of lines that share a band; ``seen`` are the two before in the band and its first. ``lines`` holds each line once."""
-    bands = [F.when(F.col("n") > c[-1], F.xxhash64(*[F.get("sig", F.lit(i)) for i in c])) for c in combinations(range(BOTTOM), WIDTH)]
-    marked = with_shingles(lines.select("line_id", "line"), "line", "s").select("line_id", F.size("s").alias("n"), F.slice("s", 1, BOTTOM).alias("sig"))
-    # lines of too few shingles have null bands only and leave no row; a filter here would sink and cut each line twice
-    # one sort key: the number of shingles, then the signature's hash, so that like lines are neighbours
-    key = F.shiftleft(F.least("n", F.lit(0x7FFF)).cast("long"), 48).bitwiseOR(F.shiftrightunsigned(F.xxhash64("sig"), 16))
-    banded = marked.select("line_id", key.alias("key"), F.explode(F.array_compact(F.array(*bands))).alias("band"))
-    sorted_band = Window.partitionBy("band").orderBy("key", "line_id")
-    met = banded.withColumns(
-        {
-            "before": F.lag(F.struct("line_id", "key")).over(sorted_band),
-            "second": F.lag(F.struct("line_id", "key"), 2).over(sorted_band),
-            "head": F.first(F.struct("line_id", "key")).over(sorted_band.rowsBetween(Window.unboundedPreceding, 0)),
-            "size": F.count(F.lit(1)).over(sorted_band.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).cast("int"),
-        }
-    )
-    return met.where("size > 1").select("line_id", "key", "band", "size", F.array_compact(F.array("before", "second", "head")).alias("seen"))
-
-
-def _near_pairs(met: DataFrame) -> DataFrame:
-    """Distinct (a, b) from (line_id, key, o), without pairs whose numbers of shingles forbid similarity."""
-    size = lambda c: F.shiftrightunsigned(c, 48)
-    near = F.least(size(F.col("key")), size(F.col("o.key"))) >= SIMILARITY * F.greatest(size(F.col("key")), size(F.col("o.key")))
-    a, b = F.col("line_id"), F.col("o.line_id")
-    return met.where(near & (a != b)).select(F.least(a, b).alias("a"), F.greatest(a, b).alias("b")).distinct()
-
-
-def verified_links(texts: DataFrame, pairs: DataFrame) -> DataFrame:
-    """Pairs whose shingle sets have Jaccard similarity ``SIMILARITY`` or more."""
-    left, right = texts.select(F.col("line_id").alias("a"), F.col("line").alias("la")), texts.select(F.col("line_id").alias("b"), F.col("line").alias("lb"))
-    both = with_shingles(with_shingles(pairs.join(left, "a").join(right, "b"), "la", "x"), "lb", "y").select("a", "b", "x", "y")
-    shared = F.size(F.array_intersect("x", "y"))
-    # the test is a generator of one row or none: a filter would sink below the projections and cut both lines again
-    alike = F.when(shared >= SIMILARITY * (F.size("x") + F.size("y") - shared), F.array(F.lit(1)))
-    return both.select("a", "b", F.explode(alike).alias("one")).select("a", "b")
+def _banded(lines: DataFrame) -> DataFrame:
+    """(band, line_id): the bands of values that two lines or more have."""
+    signed = stage_table(with_sketch(lines.select("line_id", "line"), "line", "sig", BOTTOM).select("line_id", "sig"), "signatures")
+    values = signed.select("line_id", F.explode("sig").alias("v"))
+    shared = values.groupBy("v").agg(F.min("line_id").alias("low"), F.max("line_id").alias("high")).where("low < high").select("v")
+    mine = values.join(shared, "v").groupBy("line_id").agg(F.sort_array(F.collect_set("v")).alias("vs"))
+    bands = [F.when(F.size("vs") > c[-1], F.xxhash64(*[F.get("vs", F.lit(i)) for i in c])) for c in combinations(range(BOTTOM), WIDTH)]
+    return mine.select(F.explode(F.array_compact(F.array(*bands))).alias("band"), "line_id")
 
 
-def _several(members: DataFrame, roots: DataFrame) -> DataFrame:
-    """``members`` with their component ``comp``, of bands that hold more than one."""
-    named = members.join(roots.select(F.col("node").alias("line_id"), "root"), "line_id", "left").withColumn("comp", F.coalesce("root", "line_id")).drop("root")
-    apart = named.groupBy("band").agg(F.min("comp").alias("low"), F.max("comp").alias("high")).where("low < high").select("band")
-    return named.join(apart, "band")
+def _spread(df: DataFrame, rows: int, per_task: int, *keys: str) -> DataFrame:
+    """``df`` dealt over tasks by work, not by bytes: few bytes of pairs stand for much comparing."""
+    return df.repartition(max(1, -(-rows // per_task)), *keys)
 
 
-def _profiles(texts: DataFrame) -> DataFrame:
-    """(line_id, counts, prefix): how many of the lines have each shingle, and the line's rarest shingles, of which similar lines share one."""
-    shingles = with_shingles(texts, "line", "s").select("line_id", F.explode("s").alias("w"))
-    counted = shingles.join(shingles.groupBy("w").agg(F.count(F.lit(1)).cast("int").alias("f")), "w")
-    own = counted.groupBy("line_id").agg(F.array_sort(F.collect_list(F.struct("f", "w"))).alias("ws")).withColumn("n", F.size("ws"))
-    least = (F.col("n") - F.ceil(SIMILARITY * F.col("n") - 1e-6) + 1).cast("int")
-    return own.select("line_id", F.col("ws.f").alias("counts"), F.slice("ws.w", F.lit(1), least).alias("prefix"))
+def _ordered(pairs: DataFrame) -> DataFrame:
+    """Distinct (a, b), a < b, from columns line_id and other."""
+    return pairs.select(F.least("line_id", "other").alias("a"), F.greatest("line_id", "other").alias("b")).where("a < b").distinct()
 
 
-def line_links(lines: DataFrame) -> DataFrame:
-    """Verified links (a, b) that connect all similar lines of each band."""
-    met = stage_table(band_members(lines), "bands")
-    ids = stage_table(met.select("line_id").distinct(), "line-ids")
-    texts = lines.select("line_id", "line").join(bounded_broadcast(ids, 16), "line_id", "left_semi")
-    texts = stage_table(texts.groupBy("line_id").agg(F.first("line").alias("line")), "line-texts")
-    verified = lambda p: stage_table(verified_links(texts, stage_table(_near_pairs(p), "pairs")), "verified")
-    links = verified(met.select("line_id", "key", F.explode("seen").alias("o")))
-    members = met.where(F.col("size") > COVERED).select("band", "line_id", "key", "size")
-    apart = stage_table(_several(members, connected_components(links, "a", "b")), "apart")
-    if apart.isEmpty():
-        return links
-    profiles = stage_table(_profiles(texts.join(apart.select("line_id").distinct(), "line_id", "left_semi")), "profiles")
-    # a shingle most of the band has speaks for a line, any other against it
-    score = F.aggregate("counts", F.lit(0).cast("long"), lambda s, f: s + 2 * F.least(f, F.col("size")) - F.col("size"))
-    scored = apart.join(profiles, "line_id").select("band", "comp", "line_id", "key", score.alias("score"))
-    medoid = scored.groupBy("band").agg(F.max(F.struct("score", "line_id", "key", "comp")).alias("o"))
-    links = links.union(verified(apart.join(medoid, "band").where("comp <> o.comp")))
-    apart = _several(apart.drop("comp"), connected_components(links, "a", "b")).join(profiles.drop("counts"), "line_id")
+def verified_links(texts: DataFrame, pairs: DataFrame, cut_first: bool = False) -> DataFrame:
+    """Pairs (a, b) whose shingle sets have Jaccard similarity ``SIMILARITY`` or more.
+
+    ``cut_first`` cuts each line once, before it meets its pairs, where all cut lines may be broadcast.
+    """
+    pairs = _spread(pairs, pairs.count(), 20_000, "a", "b")
+    cut_first = cut_first and texts.agg(F.coalesce(F.sum(8 * F.char_length("line") + 64), F.lit(0)).alias("n")).first()["n"] <= BROADCAST_BYTES
+    if cut_first:
+        sets = with_shingles(texts.select("line_id", "line"), "line", "s").select("line_id", "s")
+        left, right = (F.broadcast(sets.select(F.col("line_id").alias(p), F.col("s").alias(q))) for p, q in (("a", "x"), ("b", "y")))
+        both = pairs.join(left, "a").join(right, "b")
+    else:
+        left, right = texts.select(F.col("line_id").alias("a"), F.col("line").alias("la")), texts.select(F.col("line_id").alias("b"), F.col("line").alias("lb"))
+        both = with_shingles(with_shingles(pairs.join(left, "a").join(right, "b"), "la", "x"), "lb", "y").select("a", "b", "x", "y")
+    shared = F.size(F.array_intersect("x", "y"))
+    # the test is a generator of one row or none: a filter would sink below the projections and cut both lines again
+    alike = F.when(shared >= SIMILARITY * (F.size("x") + F.size("y") - shared), F.array(F.lit(1)))
+    return stage_table(both.select("a", "b", F.explode(alike).alias("one")).select("a", "b"), "verified")
+
+
+def _medoids(large: DataFrame) -> DataFrame:
+    """(band, other, rep): each large band's line whose sketch values most lines of large bands have."""
+    once = large.select("line_id", "sk").dropDuplicates(["line_id"])
+    values = once.select("line_id", F.size("sk").alias("n"), F.explode("sk").alias("v"))
+    counts = values.groupBy("v").agg(F.count(F.lit(1)).alias("f"))
+    scores = values.join(counts, "v").groupBy("line_id").agg((F.sum("f") / F.first("n")).alias("score"))
+    best = large.join(scores, "line_id").groupBy("band").agg(F.max(F.struct("score", "line_id", "sk")).alias("m"))
+    return best.select("band", F.col("m.line_id").alias("other"), F.col("m.sk").alias("rep"))
+
+
+def _left_apart(large: DataFrame, links: DataFrame) -> DataFrame | None:
+    """Pairs (a, b) still to be judged: lines of large bands in different components that may be similar."""
+    roots = connected_components(links, "a", "b")
+    named = large.join(roots.select(F.col("node").alias("line_id"), "root"), "line_id", "left").withColumn("comp", F.coalesce("root", "line_id")).select("band", "line_id", "sk", "comp")
+    named = stage_table(named, "large-bands")
+    sizes = named.groupBy("band", "comp").agg(F.count(F.lit(1)).alias("n")).groupBy("band").agg(F.max(F.struct("n", "comp"))["comp"].alias("top"), F.count(F.lit(1)).alias("m")).where("m > 1")
+    apart = named.join(sizes, "band").groupBy("line_id").agg(F.first("sk").alias("sk"), F.first("comp").alias("comp"), F.max(F.col("comp") != F.col("top")).alias("outside"))
     apart = stage_table(apart, "apart")
+    if apart.isEmpty():
+        return None
     # pairs inside a band's largest component are settled, so one side of each pair is outside it
-    largest = apart.groupBy("band", "comp").agg(F.count(F.lit(1)).alias("n")).groupBy("band").agg(F.max(F.struct("n", "comp")).alias("top"))
-    keyed = apart.join(largest, "band").select("band", "line_id", "key", "comp", (F.col("comp") != F.col("top.comp")).alias("outside"), F.explode("prefix").alias("w"))
-    other = keyed.select("band", "w", F.struct("line_id", "key").alias("o"), F.col("comp").alias("o_comp"))
-    return links.union(verified(keyed.where("outside").join(other, ["band", "w"]).where("comp <> o_comp")))
+    dealt = lambda d: _spread(d, apart.count(), 200, "v")
+    values = apart.select("line_id", F.explode("sk").alias("v"))
+    counted = values.join(values.groupBy("v").agg(F.count(F.lit(1)).alias("f")), "v")
+    rare = counted.groupBy("line_id").agg(F.array_sort(F.collect_list(F.struct("f", "v"))).alias("ws"))
+    n = F.size("ws")
+    length = n - F.ceil(_needed(0.85 * n)).cast("int") + 1
+    keyed = apart.join(rare, "line_id").withColumn("pre", F.slice("ws.v", F.lit(1), F.least(n, length))).select("line_id", "comp", "outside", "sk", "pre", F.explode("pre").alias("v"))
+    y = keyed.select("v", F.col("line_id").alias("other"), F.col("comp").alias("comp2"), F.col("outside").alias("outside2"), F.col("sk").alias("sk2"), F.col("pre").alias("pre2"))
+    met = dealt(keyed.where("outside")).join(dealt(y), "v").where("comp <> comp2 and (line_id < other or not outside2)")
+    # a pair leaves where its first common value is, so no second shuffle has to unite repeats
+    met = met.where((F.get(F.array_intersect("pre", "pre2"), F.lit(0)) == F.col("v")) & likely_similar(F.col("sk"), F.col("sk2")))
+    return met.select(F.least("line_id", "other").alias("a"), F.greatest("line_id", "other").alias("b"))
+
+
+def line_links(lines: DataFrame) -> DataFrame:
+    """Verified links (a, b) that connect all similar lines which share a band; ``lines`` (line_id, line) are different lines."""
+    bands = stage_table(_banded(lines), "bands")
+    sizes = bands.groupBy("band").agg(F.count_distinct("line_id").cast("int").alias("size")).where("size > 1")
+    bands = stage_table(bands.join(sizes, "band").distinct(), "shared-bands")
+    ids = stage_table(bands.select("line_id").distinct(), "line-ids")
+    texts = lines.select("line_id", "line").join(bounded_broadcast(ids, 16), "line_id", "left_semi").dropDuplicates(["line_id"])
+    texts = stage_table(with_sketch(texts, "line", "sk").withColumn("sk", F.transform("sk", lambda h: F.shiftright(h, 32).cast("int"))), "line-texts")
+    members = stage_table(bands.join(texts.select("line_id", "sk"), "line_id"), "members")
+    small, large = members.where(F.col("size") <= SMALL), members.where(F.col("size") > SMALL)
+    other = small.select("band", F.col("line_id").alias("other"), F.col("sk").alias("sk2"))
+    near = small.join(other, "band").where(F.col("line_id") < F.col("other")).where(likely_similar(F.col("sk"), F.col("sk2")))
+    stars = large.join(_medoids(large), "band").where(likely_similar(F.col("sk"), F.col("rep")))
+    pairs = stage_table(_ordered(near.select("line_id", "other").union(stars.select("line_id", "other"))), "pairs")
+    links = verified_links(texts, pairs)
+    if large.isEmpty():
+        return links
+    rest = _left_apart(large, links)
+    if rest is None:
+        return links
+    rest = stage_table(rest, "pairs")
+    of = texts.join(rest.select(F.explode(F.array("a", "b")).alias("line_id")).distinct(), "line_id", "left_semi")
+    return links.union(verified_links(stage_table(of, "line-texts"), rest, cut_first=True))
 
 
 def dropped_lines(docs: DataFrame) -> DataFrame:
-    """(row_key, drops, n_dropped): line numbers to drop from each document that loses any."""
+    """(row_key, drops): line numbers to drop from each document that loses any."""
     lines = _lines(docs)
-    spots = stage_table(lines.select("line_id", "doc_id", "row_key", "line_no"), "spots")
-    firsts = spots.groupBy("line_id").agg(F.min(F.struct("doc_id", "row_key", "line_no")).alias("first"), F.count(F.lit(1)).alias("n"))
-    equal = stage_table(firsts.where("n > 1").select("line_id", "first"), "equal-lines")
+    spots = stage_table(lines.select("line_id", F.hash("line").alias("second"), "doc_id", "row_key", "line_no"), "spots")
+    firsts = spots.groupBy("line_id").agg(F.min(F.struct("doc_id", "row_key", "line_no")).alias("first"), F.count(F.lit(1)).alias("n"), (F.min("second") != F.max("second")).alias("torn"))
+    equal = stage_table(firsts.where("n > 1").select("line_id", "first", "torn"), "equal-lines")
     # only the first of equal lines goes on; a counted broadcast or a join tells which
     marked = lines.join(bounded_broadcast(equal, 48), "line_id", "left")
-    once = marked.where("first is null or (row_key = first.row_key and line_no = first.line_no)").drop("first")
+    once = marked.where("first is null or (not torn and row_key = first.row_key and line_no = first.line_no)").drop("first", "torn")
     roots = connected_components(line_links(once), "a", "b").select(F.col("node").alias("line_id"), "root")
     linked = spots.join(bounded_broadcast(roots, 24), "line_id").groupBy("line_id", "root").agg(F.min(F.struct("doc_id", "row_key", "line_no")).alias("first"))
-    alone = equal.join(roots, "line_id", "left_anti").select("line_id", F.col("line_id").alias("root"), "first")
+    alone = equal.where("not torn").join(roots, "line_id", "left_anti").select("line_id", F.col("line_id").alias("root"), "first")
     several = stage_table(linked.unionByName(alone), "several")
     kept = several.groupBy("root").agg(F.min("first").alias("kept"))
     kept = stage_table(several.join(kept, "root").select("line_id", F.col("kept.row_key").alias("kept_key"), F.col("kept.line_no").alias("kept_line")), "kept")

@@ -117,9 +117,39 @@ def test_exact_index_keeps_smallest_and_probes(spark):
 
 
 def jaccard(a, b):
-    cut = lambda s: set(m.group(1) for m in re.finditer(line_dedup.CHUNKS, s))
+    cut = lambda s: {s[i : i + 12] for i in range(len(s) - 11)}
     x, y = cut(a), cut(b)
-    return len(x & y) / len(x | y)
+    return len(x & y) / max(1, len(x | y))
+
+
+def test_lines_without_spaces_and_inserted_letters(spark):
+    rng = random.Random(11)
+    letters = lambda n, of: "".join(rng.choice(of) for _ in range(n))
+    lines = []
+    for of in ("abcdefghijklmnopqrstuvwxyz", "xyz", "中文字符漢語書學生活工作時間地點人民", "абвгдежзиклмнпрст", "acgt0236"):
+        for _ in range(6):
+            line = letters(300, of)
+            at = rng.randrange(300)
+            lines += [line, "q" + line, line[:at] + line[at + 1 :], line[:150] + letters(150, of)]
+    roots = closure(len(lines), [(i, j) for i in range(len(lines)) for j in range(i) if jaccard(lines[i], lines[j]) >= 0.8])
+    got = {r["doc_id"]: r["text"] for r in line_dedup.dedup_lines(docs(spark, enumerate(lines))).collect()}
+    assert {i for i, t in got.items() if t} == set(roots) and len(set(roots)) == 60
+
+
+def test_lines_share_of_links_found(spark):
+    """Recall of links at similarities around the threshold, against an exhaustive join."""
+    rng = random.Random(12)
+    vocabulary = ["".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(rng.randrange(2, 10))) for _ in range(3000)]
+    lines = []
+    for _ in range(150):
+        line = [rng.choice(vocabulary) for _ in range(60)]
+        near = list(line)
+        for at in rng.sample(range(60), 2):
+            near[at] = rng.choice(vocabulary)
+        lines += [" ".join(line), " ".join(near)]
+    alike = {(i, i + 1) for i in range(0, 300, 2) if jaccard(lines[i], lines[i + 1]) >= 0.8}
+    got = {(r["a"], r["b"]) for r in line_dedup.line_links(spark.createDataFrame(list(enumerate(lines)), "line_id long, line string")).collect()}
+    assert len(alike) > 100 and got <= alike and len(got) >= 0.97 * len(alike)
 
 
 def test_fuzzy_lines_against_brute_force(spark):
@@ -139,7 +169,7 @@ def test_fuzzy_lines_against_brute_force(spark):
     assert got == {i: (t if roots[i] == i or not t else "") for i, t in pairs}
 
 
-def test_star_of_edits_keeps_one_line(spark):
+def test_star_of_edits_keeps_one_line(spark):  # 300 lines: bands over SMALL, medoid and prefix join
     rng = random.Random(1)
     vocabulary = ["".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(rng.randrange(3, 9))) for _ in range(2000)]
     template = [rng.choice(vocabulary) for _ in range(30)]
