@@ -1,25 +1,23 @@
-"""Fuzzy line deduplication by MinHash, in DataFrame functions only.
+"""Fuzzy line deduplication by MinHash.
 
 * Equal lines meet by a 64-bit hash of the line, and a second hash of each must
   agree; the first in (doc_id, line) order is theirs.  Where one hash has lines
   that differ in the second, all of them stay as they are.
 * Shingles are the runs of ``SHINGLE`` characters at every position, as a set;
-  signature, banding and Jaccard similarity all use this one definition.
-* Signature: a line's smallest shingle hashes under one fixed order that ranks
-  shingles beginning with a character of ``FIRST`` before all others.  So only these
-  are cut as long as a line has ``BOTTOM`` of them, and every shingle where it
-  has not (other scripts, short lines): the order is the same for all lines.
-* Banding: a band is a pair of the ``BOTTOM`` first values; with 5 values there
-  are 10 bands, and lines of similarity 0.8 share one with probability 0.99.
+  signature, parity sketch and Jaccard similarity all use this one definition.
+* Signature: the ``BOTTOM`` smallest shingle hashes of a line.  It is cut in NumPy over
+  Arrow batches; all that follows is DataFrame functions.
+* Banding: a band is a pair of signature values; with 5 values there are 10
+  bands, and lines of similarity 0.8 share one with probability 0.99.
   Values that one line alone has are left out before bands are built.
-* Sketch: the first ``SKETCH`` values of the same order.  Pairs whose sketches lie
-  3.5 standard errors under what similarity 0.8 gives are not verified.
+* Parity sketch: ``BITS`` bits, each the parity of the shingles that hash there.  Two
+  sketches differ in at most as many bits as the sets differ in shingles, so more
+  differing bits than similarity 0.8 allows rule a pair out for certain.
 * Verification: exact Jaccard similarity of the two shingle sets.  In bands of up to
-  ``SMALL`` lines every pair is judged.  In larger ones each line is judged
-  against the band's likely medoid (the line whose sketch values most others
-  have); a line that this leaves outside the band's largest component then meets every
-  line of another component with which it shares one of its rarest sketch values,
-  as many as similar lines must share (prefix filter).  No pair is capped away.
+  ``SMALL`` lines every pair that its sketches allow is verified.  In larger ones all lines are first
+  compared with the band's medoid; then every line that this leaves outside the band's largest
+  component is compared with all lines of other components, in blocks of ``BLOCK``.  No pair is
+  capped away.
 * Distributed union-find joins verified links; a component keeps its first line.
 
 Defined results: null text stays null; blank lines stay where they are and are
@@ -30,52 +28,106 @@ lines all go is empty.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from itertools import combinations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from particle_engine.llm.common import BROADCAST_BYTES, bounded_broadcast, connected_components, stage_table
+from particle_engine.llm.common import bounded_broadcast, connected_components, small_batches, stage_table
 
 SHINGLE = 12
 SIMILARITY = 0.8
 BOTTOM, WIDTH = 5, 2
-SKETCH = 32
-#: In bands of up to so many lines every pair is judged.
-SMALL = 32
-# Characters that are frequent in several scripts; about every eighth shingle of Latin text begins with one.
-FIRST = "eE147оا的の"
+BITS = 512
+#: In bands of up to so many lines every pair is compared at once.
+SMALL = 64
+#: Lines by which a band's medoid is chosen.
+REFERENCES = 32
+#: Lines of a large band that one row of comparisons meets in a task.
+BLOCK = 4096
 EVERY = rf"(?s)(?=(.{{{SHINGLE}}}))"
-RANKED_FIRST = rf"(?s)(?=([{FIRST}].{{{SHINGLE - 1}}}))"
-#: Expected overlap of two sketches at SIMILARITY, and the width of its tolerance.
-OVERLAP, TOLERANCE = 2 * SIMILARITY / (1 + SIMILARITY), 3.5
-
-
-def _hashes(line: Column, pattern: str) -> Column:
-    return F.sort_array(F.array_distinct(F.transform(F.regexp_extract_all(line, F.lit(pattern), F.lit(1)), lambda s: F.xxhash64(s))))
+#: Characters and lines hashed together; bounds the arrays of a step.
+STEP_CHARS, STEP_LINES = 1 << 19, 1 << 12
 
 
 def with_shingles(df: DataFrame, line: str, out: str) -> DataFrame:
     """Adds the sorted distinct hashes of a line's character shingles; a line shorter than one shingle has none."""
-    return df.withColumn(out, _hashes(F.col(line), EVERY))
-
-
-def with_sketch(df: DataFrame, line: str, out: str, size: int = SKETCH) -> DataFrame:
-    """Adds a line's first ``size`` shingle hashes in the common order; fewer if it has ``BOTTOM`` or more that rank first."""
-    df = df.withColumn("__first", _hashes(F.col(line), RANKED_FIRST))
-    every = F.concat("__first", F.array_except(_hashes(F.col(line), EVERY), F.col("__first")))
-    return df.withColumn(out, F.slice(F.when(F.size("__first") >= BOTTOM, F.col("__first")).otherwise(every), 1, size)).drop("__first")
-
-
-def _needed(k: Column) -> Column:
-    """Sketch values two similar lines share at least, of ``k`` compared."""
-    return OVERLAP * k - TOLERANCE * F.sqrt(OVERLAP * (1 - OVERLAP) * k)
-
-
-def likely_similar(x: Column, y: Column) -> Column:
-    """Whether two sketches leave similarity 0.8 possible."""
-    k = F.least(F.size(x), F.size(y))
-    return F.size(F.array_intersect(F.slice(x, F.lit(1), k), F.slice(y, F.lit(1), k))) >= _needed(k)
+    cut = F.regexp_extract_all(F.col(line), F.lit(EVERY), F.lit(1))
+    return df.withColumn(out, F.sort_array(F.array_distinct(F.transform(cut, lambda s: F.xxhash64(s)))))
+
+
+def shingle_sets(lines: list[str]) -> tuple[np.ndarray, np.ndarray]:
+    """(line, hash) of the distinct shingles of each line, sorted by both; hashes of 44 bits."""
+    text = np.frombuffer("".join(lines).encode("utf-32-le", "surrogatepass"), np.uint32).astype(np.uint64)
+    places = len(text) - SHINGLE + 1
+    if places <= 0:
+        return np.empty(0, np.int64), np.empty(0, np.int64)
+    base, square, power = (np.uint64(pow(0x9E3779B97F4A7C15, k, 1 << 64)) for k in (1, 2, 4))
+    h2 = text[:-1] * base + text[1:]  # runs of two, four, eight, and eight with four
+    h4 = h2[:-2] * square + h2[2:]
+    h8 = h4[:-4] * power + h4[4:]
+    h = h8[:places] * power + h4[8 : 8 + places]
+    h ^= h >> np.uint64(31)
+    h *= np.uint64(0xBF58476D1CE4E5B9)
+    line = np.repeat(np.arange(len(lines), dtype=np.uint64), [len(x) for x in lines])
+    whole = line[:places] == line[SHINGLE - 1 :]
+    key = (line[:places][whole] << np.uint64(44)) | (h[whole] >> np.uint64(20))
+    key.sort()
+    key = key[np.r_[True, key[1:] != key[:-1]]] if len(key) else key
+    return (key >> np.uint64(44)).astype(np.int64), (key & np.uint64((1 << 44) - 1)).astype(np.int64)
+
+
+def signatures(lines: list[str]) -> tuple[np.ndarray, list[list[int]], np.ndarray]:
+    """(number of shingles, smallest hashes, parity sketch as longs) of each line."""
+    line, value = shingle_sets(lines)
+    n = np.bincount(line, minlength=len(lines))
+    first = np.cumsum(n) - n
+    smallest = [value[a : a + min(m, BOTTOM)].tolist() if m > 1 else [] for a, m in zip(first.tolist(), n.tolist())]
+    odd = np.bincount(line * BITS + value % BITS, minlength=len(lines) * BITS) & 1
+    return n, smallest, np.packbits(odd.astype(np.uint8).reshape(len(lines), BITS), axis=1, bitorder="little").view(np.int64)
+
+
+def _steps(lines: list[str]) -> Iterator[list[str]]:
+    step: list[str] = []
+    chars = 0
+    for line in lines:
+        step.append(line)
+        chars += len(line)
+        if chars >= STEP_CHARS or len(step) >= STEP_LINES:
+            yield step
+            step, chars = [], 0
+    if step:
+        yield step
+
+
+def signed_lines(lines: DataFrame) -> DataFrame:
+    """(line_id, n, sig, bits) of the given lines."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            at = 0
+            for step in _steps(batch.column(1).to_pylist()):
+                n, sig, bits = signatures(step)
+                columns = [batch.column(0).slice(at, len(step)), pa.array(n, pa.int32()), pa.array(sig, pa.list_(pa.int64())), pa.array(list(bits), pa.list_(pa.int64()))]
+                at += len(step)
+                yield pa.RecordBatch.from_arrays(columns, ["line_id", "n", "sig", "bits"])
+
+    return small_batches(lines.select("line_id", "line")).mapInArrow(run, "line_id long, n int, sig array<long>, bits array<long>")
+
+
+def differing(x: str, y: str) -> Column:
+    """Bits in which the sketches of sides ``x`` and ``y`` differ."""
+    return sum((F.bit_count(F.get(f"{x}.bits", F.lit(i)).bitwiseXOR(F.get(f"{y}.bits", F.lit(i)))) for i in range(BITS // 64)), F.lit(0))
+
+
+def may_be_similar(x: str, y: str) -> Column:
+    """Whether the sketches of sides ``x`` and ``y`` leave similarity 0.8 possible; never false where it holds."""
+    size = lambda side: F.col(f"{side}.n")
+    near = differing(x, y) * (1 + SIMILARITY) <= (1 - SIMILARITY) * (size(x) + size(y)) + 1e-6
+    return (F.least(size(x), size(y)) >= SIMILARITY * F.greatest(size(x), size(y))) & near
 
 
 def _lines(docs: DataFrame) -> DataFrame:
@@ -85,14 +137,15 @@ def _lines(docs: DataFrame) -> DataFrame:
     return lines.where(F.trim("line") != "").withColumn("line_id", F.xxhash64("line"))
 
 
-def _banded(lines: DataFrame) -> DataFrame:
-    """(band, line_id): the bands of values that two lines or more have."""
-    signed = stage_table(with_sketch(lines.select("line_id", "line"), "line", "sig", BOTTOM).select("line_id", "sig"), "signatures")
+def _members(signed: DataFrame) -> DataFrame:
+    """(band, size, line_id, n, bits): the bands that hold two lines or more."""
     values = signed.select("line_id", F.explode("sig").alias("v"))
     shared = values.groupBy("v").agg(F.min("line_id").alias("low"), F.max("line_id").alias("high")).where("low < high").select("v")
     mine = values.join(shared, "v").groupBy("line_id").agg(F.sort_array(F.collect_set("v")).alias("vs"))
-    bands = [F.when(F.size("vs") > c[-1], F.xxhash64(*[F.get("vs", F.lit(i)) for i in c])) for c in combinations(range(BOTTOM), WIDTH)]
-    return mine.select(F.explode(F.array_compact(F.array(*bands))).alias("band"), "line_id")
+    pairs = [F.when(F.size("vs") > c[-1], F.xxhash64(*[F.get("vs", F.lit(i)) for i in c])) for c in combinations(range(BOTTOM), WIDTH)]
+    bands = stage_table(mine.select(F.explode(F.array_compact(F.array(*pairs))).alias("band"), "line_id").distinct(), "bands")
+    sizes = bands.groupBy("band").agg(F.count(F.lit(1)).alias("size")).where("size > 1")
+    return bands.join(sizes, "band").join(signed.select("line_id", "n", "bits").dropDuplicates(["line_id"]), "line_id")
 
 
 def _spread(df: DataFrame, rows: int, per_task: int, *keys: str) -> DataFrame:
@@ -100,89 +153,67 @@ def _spread(df: DataFrame, rows: int, per_task: int, *keys: str) -> DataFrame:
     return df.repartition(max(1, -(-rows // per_task)), *keys)
 
 
-def _ordered(pairs: DataFrame) -> DataFrame:
-    """Distinct (a, b), a < b, from columns line_id and other."""
-    return pairs.select(F.least("line_id", "other").alias("a"), F.greatest("line_id", "other").alias("b")).where("a < b").distinct()
+def _ordered(met: DataFrame) -> DataFrame:
+    """Distinct (a, b), a < b, of sides x and y."""
+    return met.select(F.least("x.line_id", "y.line_id").alias("a"), F.greatest("x.line_id", "y.line_id").alias("b")).where("a < b").distinct()
 
 
-def verified_links(texts: DataFrame, pairs: DataFrame, cut_first: bool = False) -> DataFrame:
-    """Pairs (a, b) whose shingle sets have Jaccard similarity ``SIMILARITY`` or more.
-
-    ``cut_first`` cuts each line once, before it meets its pairs, where all cut lines may be broadcast.
-    """
-    pairs = _spread(pairs, pairs.count(), 20_000, "a", "b")
-    cut_first = cut_first and texts.agg(F.coalesce(F.sum(8 * F.char_length("line") + 64), F.lit(0)).alias("n")).first()["n"] <= BROADCAST_BYTES
-    if cut_first:
-        sets = with_shingles(texts.select("line_id", "line"), "line", "s").select("line_id", "s")
-        left, right = (F.broadcast(sets.select(F.col("line_id").alias(p), F.col("s").alias(q))) for p, q in (("a", "x"), ("b", "y")))
-        both = pairs.join(left, "a").join(right, "b")
-    else:
-        left, right = texts.select(F.col("line_id").alias("a"), F.col("line").alias("la")), texts.select(F.col("line_id").alias("b"), F.col("line").alias("lb"))
-        both = with_shingles(with_shingles(pairs.join(left, "a").join(right, "b"), "la", "x"), "lb", "y").select("a", "b", "x", "y")
+def verified_links(texts: DataFrame, pairs: DataFrame) -> DataFrame:
+    """Pairs (a, b) whose shingle sets have Jaccard similarity ``SIMILARITY`` or more."""
+    pairs = stage_table(pairs, "pairs")
+    pairs = _spread(pairs, pairs.count(), 20_000, "a")
+    left, right = texts.select(F.col("line_id").alias("a"), F.col("line").alias("la")), texts.select(F.col("line_id").alias("b"), F.col("line").alias("lb"))
+    both = with_shingles(with_shingles(pairs.join(left, "a").join(right, "b"), "la", "x"), "lb", "y").select("a", "b", "x", "y")
     shared = F.size(F.array_intersect("x", "y"))
     # the test is a generator of one row or none: a filter would sink below the projections and cut both lines again
     alike = F.when(shared >= SIMILARITY * (F.size("x") + F.size("y") - shared), F.array(F.lit(1)))
     return stage_table(both.select("a", "b", F.explode(alike).alias("one")).select("a", "b"), "verified")
 
 
-def _medoids(large: DataFrame) -> DataFrame:
-    """(band, other, rep): each large band's line whose sketch values most lines of large bands have."""
-    once = large.select("line_id", "sk").dropDuplicates(["line_id"])
-    values = once.select("line_id", F.size("sk").alias("n"), F.explode("sk").alias("v"))
-    counts = values.groupBy("v").agg(F.count(F.lit(1)).alias("f"))
-    scores = values.join(counts, "v").groupBy("line_id").agg((F.sum("f") / F.first("n")).alias("score"))
-    best = large.join(scores, "line_id").groupBy("band").agg(F.max(F.struct("score", "line_id", "sk")).alias("m"))
-    return best.select("band", F.col("m.line_id").alias("other"), F.col("m.sk").alias("rep"))
+def _side(name: str) -> Column:
+    return F.struct("line_id", "n", "bits", "comp").alias(name)
 
 
-def _left_apart(large: DataFrame, links: DataFrame) -> DataFrame | None:
-    """Pairs (a, b) still to be judged: lines of large bands in different components that may be similar."""
+def _apart(large: DataFrame, links: DataFrame) -> DataFrame:
+    """Members of the large bands that hold several components, with their component and the band's largest one."""
     roots = connected_components(links, "a", "b")
-    named = large.join(roots.select(F.col("node").alias("line_id"), "root"), "line_id", "left").withColumn("comp", F.coalesce("root", "line_id")).select("band", "line_id", "sk", "comp")
+    named = large.join(roots.select(F.col("node").alias("line_id"), "root"), "line_id", "left").withColumn("comp", F.coalesce("root", "line_id")).drop("root")
     named = stage_table(named, "large-bands")
-    sizes = named.groupBy("band", "comp").agg(F.count(F.lit(1)).alias("n")).groupBy("band").agg(F.max(F.struct("n", "comp"))["comp"].alias("top"), F.count(F.lit(1)).alias("m")).where("m > 1")
-    apart = named.join(sizes, "band").groupBy("line_id").agg(F.first("sk").alias("sk"), F.first("comp").alias("comp"), F.max(F.col("comp") != F.col("top")).alias("outside"))
-    apart = stage_table(apart, "apart")
-    if apart.isEmpty():
-        return None
-    # pairs inside a band's largest component are settled, so one side of each pair is outside it
-    dealt = lambda d: _spread(d, apart.count(), 200, "v")
-    values = apart.select("line_id", F.explode("sk").alias("v"))
-    counted = values.join(values.groupBy("v").agg(F.count(F.lit(1)).alias("f")), "v")
-    rare = counted.groupBy("line_id").agg(F.array_sort(F.collect_list(F.struct("f", "v"))).alias("ws"))
-    n = F.size("ws")
-    length = n - F.ceil(_needed(0.85 * n)).cast("int") + 1
-    keyed = apart.join(rare, "line_id").withColumn("pre", F.slice("ws.v", F.lit(1), F.least(n, length))).select("line_id", "comp", "outside", "sk", "pre", F.explode("pre").alias("v"))
-    y = keyed.select("v", F.col("line_id").alias("other"), F.col("comp").alias("comp2"), F.col("outside").alias("outside2"), F.col("sk").alias("sk2"), F.col("pre").alias("pre2"))
-    met = dealt(keyed.where("outside")).join(dealt(y), "v").where("comp <> comp2 and (line_id < other or not outside2)")
-    # a pair leaves where its first common value is, so no second shuffle has to unite repeats
-    met = met.where((F.get(F.array_intersect("pre", "pre2"), F.lit(0)) == F.col("v")) & likely_similar(F.col("sk"), F.col("sk2")))
-    return met.select(F.least("line_id", "other").alias("a"), F.greatest("line_id", "other").alias("b"))
+    sizes = named.groupBy("band", "comp").agg(F.count(F.lit(1)).alias("m")).groupBy("band").agg(F.max(F.struct("m", "comp"))["comp"].alias("top"), F.count(F.lit(1)).alias("comps")).where("comps > 1")
+    return stage_table(named.join(sizes, "band").drop("comps"), "apart")
+
+
+def _stars(large: DataFrame) -> DataFrame:
+    """Sides x and y: each line of a band with the band's medoid, judged by the bits in which it differs from some lines."""
+    some = large.where(F.pmod(F.xxhash64("line_id", "band"), F.lit(1 << 20)) * F.col("size") <= F.lit(REFERENCES << 20))
+    judged = large.select("band", _side("x")).join(some.select("band", _side("y")), "band").groupBy("band", "x.line_id").agg(F.sum(differing("x", "y")).alias("d"), F.first("x").alias("x"))
+    medoids = judged.groupBy("band").agg(F.min_by("x", F.struct("d", "line_id")).alias("y"))
+    return large.select("band", _side("x")).join(medoids, "band").where(may_be_similar("x", "y")).select("x", "y")
+
+
+def _rest(apart: DataFrame) -> DataFrame:
+    """Pairs (a, b) of lines of a large band in different components; of a band's largest component one side at most."""
+    blocks = F.expr(f"(size + {BLOCK - 1}) div {BLOCK}")
+    x = apart.where("comp <> top").select("band", _side("x"), F.explode(F.sequence(F.lit(0).cast("long"), blocks - 1)).alias("block"))
+    y = apart.select("band", _side("y"), (F.col("comp") != F.col("top")).alias("out"), F.pmod(F.xxhash64("line_id", "band"), blocks).alias("block"))
+    once = (F.col("x.comp") != F.col("y.comp")) & (~F.col("out") | (F.col("x.line_id") < F.col("y.line_id")))
+    return _ordered(x.join(y, ["band", "block"]).where(once).where(may_be_similar("x", "y")))
 
 
 def line_links(lines: DataFrame) -> DataFrame:
     """Verified links (a, b) that connect all similar lines which share a band; ``lines`` (line_id, line) are different lines."""
-    bands = stage_table(_banded(lines), "bands")
-    sizes = bands.groupBy("band").agg(F.count_distinct("line_id").cast("int").alias("size")).where("size > 1")
-    bands = stage_table(bands.join(sizes, "band").distinct(), "shared-bands")
-    ids = stage_table(bands.select("line_id").distinct(), "line-ids")
-    texts = lines.select("line_id", "line").join(bounded_broadcast(ids, 16), "line_id", "left_semi").dropDuplicates(["line_id"])
-    texts = stage_table(with_sketch(texts, "line", "sk").withColumn("sk", F.transform("sk", lambda h: F.shiftright(h, 32).cast("int"))), "line-texts")
-    members = stage_table(bands.join(texts.select("line_id", "sk"), "line_id"), "members")
+    signed = stage_table(signed_lines(lines), "signatures")
+    members = stage_table(_members(signed), "members").withColumn("comp", F.col("line_id"))
     small, large = members.where(F.col("size") <= SMALL), members.where(F.col("size") > SMALL)
-    other = small.select("band", F.col("line_id").alias("other"), F.col("sk").alias("sk2"))
-    near = small.join(other, "band").where(F.col("line_id") < F.col("other")).where(likely_similar(F.col("sk"), F.col("sk2")))
-    stars = large.join(_medoids(large), "band").where(likely_similar(F.col("sk"), F.col("rep")))
-    pairs = stage_table(_ordered(near.select("line_id", "other").union(stars.select("line_id", "other"))), "pairs")
+    near = small.select("band", _side("x")).join(small.select("band", _side("y")), "band").where("x.line_id < y.line_id").where(may_be_similar("x", "y"))
+    pairs = _ordered(near.select("x", "y").union(_stars(large)))
+    ids = stage_table(members.select("line_id").distinct(), "line-ids")
+    texts = lines.select("line_id", "line").join(bounded_broadcast(ids, 16), "line_id", "left_semi").dropDuplicates(["line_id"])
+    texts = stage_table(texts, "line-texts")
     links = verified_links(texts, pairs)
     if large.isEmpty():
         return links
-    rest = _left_apart(large, links)
-    if rest is None:
-        return links
-    rest = stage_table(rest, "pairs")
-    of = texts.join(rest.select(F.explode(F.array("a", "b")).alias("line_id")).distinct(), "line_id", "left_semi")
-    return links.union(verified_links(stage_table(of, "line-texts"), rest, cut_first=True))
+    return links.union(verified_links(texts, _rest(_apart(large.drop("comp"), links))))
 
 
 def dropped_lines(docs: DataFrame) -> DataFrame:
