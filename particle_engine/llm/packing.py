@@ -1,11 +1,11 @@
 """Best-fit packing of documents into training sequences of several permitted lengths.
 
 Items go longest first into the open bin with the least room that still fits.
-Where none fits, a bin opens at the permitted length with the least expected
-cost per token, weighing all lengths jointly against what is still to come: a
-bin costs its length plus a fixed charge per sequence, and is expected to fill
-with the tokens left over.  When all items are placed, every bin shrinks to the
-smallest permitted length that holds its contents.
+Where none fits, all permitted lengths compete for the new bin: a length costs a fixed
+charge per sequence and, for each token, more the longer the sequence is (attention grows with the
+square), and it is expected to hold the item and as much of its room as the waiting items that
+fit there can fill; the length of least cost per expected token opens.  When all items are placed,
+every bin shrinks to the smallest permitted length that holds its contents.
 
 Texts longer than the largest length are cut into pieces of that length and a
 rest.  Documents are dealt by hash into shards of about ``SHARD_DOCS``; a shard
@@ -18,8 +18,10 @@ repeated rows are packed each; nothing is dropped.
 
 from __future__ import annotations
 
-from bisect import bisect_left, insort
+from bisect import bisect_left, bisect_right, insort
 from collections import defaultdict
+from collections.abc import Callable
+from itertools import accumulate
 
 import pandas as pd
 from pyspark.sql import Column, DataFrame
@@ -30,6 +32,8 @@ from particle_engine.llm.mixing import WORD
 
 LENGTHS = (512, 1024, 2048, 4096)
 OPEN_COST = 64
+#: A sequence of this length costs twice its tokens.
+DOUBLE_AT = 16384
 SHARD_DOCS = 1000
 SCHEMA = "doc_id long, piece int, start_token long, n_tokens long, bin_id string, bin_size int, bin_offset int"
 
@@ -39,23 +43,32 @@ def word_tokens(text: Column) -> Column:
     return F.coalesce(F.regexp_count(text, F.lit(WORD)), F.lit(0)).cast("long")
 
 
-def choose_length(need: int, waiting: int, lengths: tuple[int, ...] = LENGTHS, open_cost: int = OPEN_COST) -> int:
-    """The permitted length with the least cost per token it is expected to hold; ties open the larger."""
-    fitting = [c for c in lengths if c >= need]
-    return min(fitting, key=lambda c: ((c + open_cost) / min(c, need + waiting), -c))
+def bin_cost(length: int, open_cost: int = OPEN_COST) -> float:
+    return open_cost + length * (1 + length / DOUBLE_AT)
+
+
+def choose_length(need: int, waiting: Callable[[int], int], lengths: tuple[int, ...] = LENGTHS, open_cost: int = OPEN_COST) -> int:
+    """The permitted length with the least cost per token it is expected to hold; ties open the larger.
+
+    ``waiting(room)`` is the number of tokens in waiting items of at most ``room`` tokens.
+    """
+    return min((c for c in lengths if c >= need), key=lambda c: (bin_cost(c, open_cost) / (need + min(c - need, waiting(c - need))), -c))
 
 
 def best_fit(sizes: list[int], lengths: tuple[int, ...] = LENGTHS, open_cost: int = OPEN_COST) -> tuple[list[tuple[int, int]], list[int]]:
     """Place items given longest first: (bin, offset) per item, and each bin's final length."""
     room: list[tuple[int, int]] = []  # (free, bin), sorted
     length: list[int] = []
-    places, waiting = [], sum(sizes)
-    for size in sizes:
-        waiting -= size
+    places: list[tuple[int, int]] = []
+    rising = sizes[::-1]
+    upto = [0, *accumulate(rising)]  # tokens of the k shortest items
+    for i, size in enumerate(sizes):
         at = bisect_left(room, (size, -1))
         if at < len(room):
             free, b = room.pop(at)
         else:
+            left = len(sizes) - i - 1  # the items still waiting are the shortest
+            waiting = lambda r: upto[min(left, bisect_right(rising, r))]  # noqa: B023, E731
             b, free = len(length), choose_length(size, waiting, lengths, open_cost)
             length.append(free)
         places.append((b, length[b] - free))

@@ -1,19 +1,22 @@
 """Toxicity by compression distance: two zstandard dictionaries and calibrated thresholds.
 
-Learning takes a bounded, documented sample of labelled rows (``SAMPLE`` rows
-in hash order).  Each dictionary is trained on the texts of its class: it holds
-the word pieces whose document frequency there exceeds the other class's by
-``Z_KEEP`` standard errors or more, the most distinctive last, where zstandard
-reaches them at least cost; neutral bytes make both equally long, so a window
-without distinctive pieces compresses alike with both.  A text is cut into
-windows; a window's distance is its compressed length with the ordinary
-dictionary less that with the toxic one.  Counts and shares of windows over each
-threshold, the largest and the mean distance go into a logistic calibration
+Learning takes a bounded, documented sample of labelled rows: the first ``SAMPLE`` in
+hash order, as many of them as hold ``SAMPLE_BYTES`` together.  zstandard's trainer builds one
+dictionary from toxic and one from ordinary texts.  It is given, of each text, the words
+that set its class apart: those made of ``GRAM``-byte strings found in more texts of the class than of
+the other, by ``Z_TOXIC`` or ``Z_ORDINARY`` standard errors (language that both share would only
+add noise to the difference of two lengths).  A class without such words is trained on whole windows
+of its texts, so neither dictionary is ever empty.
+
+A text is cut into windows; a window's distance is its compressed length with the ordinary
+dictionary less that with the toxic one.  Counts and shares of windows over each of
+``THRESHOLDS``, the largest and the mean distance go into a logistic calibration
 fitted on the sample.
 
 Defined results: null text counts as empty; empty texts score the calibration's
 value for no distance; a sample of one class only scores every text by that
-class's rate; repeated rows score alike.  Only the text enters a score.
+class's rate; of rows that repeat a labelled doc_id the smallest text is learnt from, and a doc_id
+labelled both ways counts as toxic; repeated rows score alike.  Only the text enters a score.
 """
 
 from __future__ import annotations
@@ -33,10 +36,12 @@ from pyspark.sql import functions as F
 
 from particle_engine.llm.common import small_batches
 
-SAMPLE = 6000
+SAMPLE, SAMPLE_BYTES = 6000, 64 << 20
 WINDOW, OVERLAP = 32, 12
-GRAM, Z_GRAM, Z_KEEP = 5, 4.5, 4.5
-DICT_BYTES, FOLDS = 1024, 5
+GRAM, Z_TOXIC, Z_ORDINARY = 5, 4.5, 2.0
+MOST_WORDS, ORDINARY_WORDS = 300, 20
+TOXIC_BYTES, ORDINARY_BYTES = 1024, 256
+FOLDS = 5
 THRESHOLDS = (2, 3, 4, 5, 6, 8)
 NOT_WORD = re.compile(rb"[\x00-\x40\x5b-\x60\x7b-\x7f]+")
 
@@ -46,51 +51,71 @@ def _plain(text: str | None) -> bytes:
     return NOT_WORD.sub(b" ", b" " + (text or "").lower().encode("utf-8", "surrogatepass") + b" ")
 
 
-def _grams(data: bytes) -> set[bytes]:
-    return {data[i : i + GRAM] for i in range(len(data) - GRAM + 1)}
+def _grams(data: bytes) -> np.ndarray:
+    """The ``GRAM``-byte strings at every place, as integers."""
+    a = np.frombuffer(data, np.uint8).astype(np.uint64)
+    out = np.zeros(max(0, len(a) - GRAM + 1), np.uint64)
+    for i in range(GRAM):
+        out = (out << np.uint64(8)) | a[i : i + len(out)]
+    return out
 
 
-def _z(a: int, b: int, n1: int, n0: int) -> float:
+def _frequencies(texts: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct strings of a class and the number of texts that have each."""
+    return np.unique(np.concatenate([np.unique(_grams(t)) for t in texts]), return_counts=True)
+
+
+def _z(a: np.ndarray, b: np.ndarray, n1: int, n0: int) -> np.ndarray:
     """Standard errors between the document frequencies a of n1 and b of n0."""
     p = (a + b) / (n1 + n0)
-    return (a / n1 - b / n0) / math.sqrt(p * (1 - p) * (1 / n1 + 1 / n0) + 1e-12)
+    return (a / n1 - b / n0) / np.sqrt(p * (1 - p) * (1 / n1 + 1 / n0) + 1e-12)
+
+
+def _runs(text: bytes, grams: np.ndarray) -> list[bytes]:
+    """The parts of a text that strings of ``grams`` cover."""
+    hit = np.isin(_grams(text), grams)
+    covered = np.zeros(len(text) + 2, np.int8)
+    for i in range(GRAM):
+        covered[1 + i : 1 + i + len(hit)] |= hit
+    edges = np.flatnonzero(np.diff(covered))
+    return [text[i:j] for i, j in zip(edges[::2].tolist(), edges[1::2].tolist())]
 
 
-def distinctive(own: list[bytes], other: list[bytes]) -> list[bytes]:
-    """Word pieces that set one class's documents apart from the other's, most distinctive last."""
+def distinctive(own: list[bytes], other: list[bytes], least: float, most: int = MOST_WORDS) -> list[bytes]:
+    """Words and beginnings of words that set one class's texts apart by ``least`` standard errors, most distinctive first."""
     n1, n0 = len(own), len(other)
-    first: Counter = Counter()
+    (grams, a), (others, c) = _frequencies(own), _frequencies(other)
+    at = np.minimum(np.searchsorted(others, grams), max(0, len(others) - 1))
+    b = np.where(others[at] == grams, c[at], 0) if len(others) else np.zeros(len(grams))
+    grams = grams[(a >= max(5, n1 // 100)) & (_z(a, b, n1, n0) >= least)]
+    if not len(grams):
+        return []
+    words: Counter = Counter()
     for t in own:
-        first.update(_grams(t))
-    first = Counter({g: c for g, c in first.items() if c >= max(5, n1 // 100)})
-    second: Counter = Counter()
-    for t in other:
-        second.update(g for g in _grams(t) if g in first)
-    chosen = {g for g, c in first.items() if _z(c, second[g], n1, n0) >= Z_GRAM}
-    pieces: Counter = Counter()
-    for t in own:
-        i = 0
-        while i <= len(t) - GRAM:
-            if t[i : i + GRAM] not in chosen:
-                i += 1
-                continue
-            j = i
-            while t[j : j + GRAM] in chosen:
-                j += 1
-            pieces.update(b" " + w for w in t[i : j + GRAM - 1].split(b" ") if len(w) >= 4)
-            i = j
-    z_of = lambda piece: _z(sum(piece in t for t in own), sum(piece in t for t in other), n1, n0)
+        words.update({b" " + w for run in _runs(t, grams) for w in run.split(b" ") if len(w) >= 4})
+    z_of = lambda word: float(_z(np.float64(sum(word in t for t in own)), np.float64(sum(word in t for t in other)), n1, n0))
     scored = []
-    for piece, _ in pieces.most_common(200):
-        z = z_of(piece)
-        if z >= Z_KEEP:
-            closed = z_of(piece + b" ")  # a whole word is told from words it begins
-            scored.append((closed, piece + b" ") if closed >= 0.9 * z else (z, piece))
+    for word, n in sorted(words.items(), key=lambda x: (-x[1], x[0]))[:most]:
+        if n >= 5 and (z := z_of(word)) >= least:
+            closed = z_of(word + b" ")  # a whole word is told from words it begins
+            scored.append((closed, word + b" ") if closed >= 0.9 * z else (z, word))
     best: list[bytes] = []
-    for _, piece in sorted(scored, reverse=True):
-        if sum(map(len, best)) + len(piece) <= DICT_BYTES and not any(piece in b for b in best):
-            best.append(piece)
-    return best[::-1]
+    for _, word in sorted(scored, reverse=True):
+        if not any(word in b for b in best):
+            best.append(word)
+    return best
+
+
+def trained(words: list[bytes], texts: list[bytes], size: int) -> bytes:
+    """A dictionary zstandard trains on what the texts have of ``words``; without words on the texts' windows."""
+    samples = [t[i : i + 256] for t in texts for i in range(0, len(t), 256)][: 1 << 16]
+    if words:
+        any_word = re.compile(b"|".join(re.escape(w) for w in sorted(words, key=len, reverse=True)))
+        samples = [b"".join(found) for t in texts if (found := any_word.findall(t.replace(b" ", b"  ")))]
+    try:
+        return zs.train_dictionary(size, samples, k=16, d=8).as_bytes()
+    except zs.ZstdError:  # the trainer wants more samples than there are: they are the dictionary
+        return b"".join(dict.fromkeys(samples))[-size:]
 
 
 @dataclass
@@ -143,8 +168,11 @@ def fit(texts: list[str | None], labels: list[int]) -> Model:
     rng = np.random.default_rng(0)
     # the primer ends both dictionaries and begins every window, so no window is stored uncompressed
     model.primer = bytes(rng.integers(128, 255, 48, dtype=np.uint8))
-    pair = [b"".join(distinctive(toxic, ordinary)), b"".join(distinctive(ordinary, toxic))]
-    neutral = bytes(rng.integers(128, 255, DICT_BYTES, dtype=np.uint8))
+    pair = [
+        trained(distinctive(toxic, ordinary, Z_TOXIC), toxic, TOXIC_BYTES),
+        trained(distinctive(ordinary, toxic, Z_ORDINARY, 3 * ORDINARY_WORDS)[:ORDINARY_WORDS], ordinary, ORDINARY_BYTES),
+    ]
+    neutral = bytes(rng.integers(128, 255, TOXIC_BYTES, dtype=np.uint8))
     model.toxic, model.ordinary = (neutral[: max(map(len, pair)) - len(p)] + p + model.primer for p in pair)
     x = np.array([model.features(t) for t in texts])
     model.mean, model.scale = x.mean(0), x.std(0) + 1e-6
@@ -165,11 +193,19 @@ def held_out(doc_id: str) -> Column:
     return F.pmod(F.crc32(F.col(doc_id).cast("string").cast("binary")), F.lit(FOLDS)) == 0
 
 
-def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE) -> Model:
-    """Fit on at most ``sample`` labelled rows outside the held-out fold, smallest hashes first."""
+def train(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, sample_bytes: int = SAMPLE_BYTES) -> Model:
+    """Fit on at most ``sample`` labelled rows outside the held-out fold, smallest hashes first, while they fit in ``sample_bytes``."""
     known = labels.where(F.col("toxic").isNotNull() & F.col("doc_id").isNotNull()).select(F.col("doc_id").cast("long").alias("doc_id"), (F.col("toxic") != 0).cast("int").alias("y")).where(~held_out("doc_id"))
     known = known.groupBy("doc_id").agg(F.max("y").alias("y")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample)
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(known), "doc_id").dropDuplicates(["doc_id"]).orderBy("doc_id").collect()
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text")).join(F.broadcast(known), "doc_id")
+    sizes = texts.groupBy("doc_id").agg(F.max(F.octet_length("text")).alias("size")).collect()  # at most ``sample`` rows of two numbers
+    order = np.argsort([zlib.crc32(str(r["doc_id"]).encode()) for r in sizes], kind="stable")
+    taken = np.cumsum([sizes[i]["size"] for i in order]) <= sample_bytes
+    ids = [sizes[i]["doc_id"] for i, fits in zip(order, taken) if fits]
+    if not ids:
+        return fit([], [])
+    chosen = F.broadcast(docs.sparkSession.createDataFrame([(i,) for i in ids], "doc_id long"))
+    rows = texts.join(chosen, "doc_id").groupBy("doc_id").agg(F.min("text").alias("text"), F.max("y").alias("y")).orderBy("doc_id").collect()
     return fit([r["text"] for r in rows], [r["y"] for r in rows])
 
 

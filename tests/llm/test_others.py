@@ -40,6 +40,20 @@ def test_secret_spans(spark):
     assert secret_scan.scan_secrets(docs(spark, [])).collect() == []
 
 
+def test_entropy_classes(spark):
+    rng = random.Random(8)
+    letters, dated = "qLxZvBnMkJhGfDsAwErTyUiOpQz", "2024-01-02-Xk9vQ2mZ7pLr4TbN8wYc1"
+    digits = "31415926535897932384"
+    kept = [letters, dated, "dkqjwhznvbtxlrfmpsgyocuaeixkqj", digits + "62"]
+    plain = ["the-quick-answer-to-that-is-it-is-not", "2024-01-02T03-04-05-0000", "1-2-3-4-5-6-7-8-9-10-11-12", "123e4567-e89b-12d3-a456-426614174000", "aaaaaaaaaaaaaaaaaaaaaaaaaa", "00000000000000000000000"]
+    text = " | ".join(kept + plain)
+    many = " ".join("AKIA" + "".join(rng.choice("ABCDEFGH0123") for _ in range(16)) for _ in range(1500))
+    got = {r["doc_id"]: r for r in secret_scan.scan_secrets(docs(spark, [(1, text, "en", "s"), (2, many, "en", "s"), (2, many, "en", "s"), (None, letters, None, None)])).collect()}
+    at = [text[int(s.split(":")[1]) : int(s.split(":")[2])] for s in got[1]["spans"].split(",") if s.startswith("entropy")]
+    assert at == [k for k in kept if k != digits + "62"] or at == kept
+    assert got[2]["n_access"] == 1500 and got[2]["spans"].split(",")[-1] == f"access:{len(many) - 20}:{len(many)}" and got[None]["n_entropy"] == 1
+
+
 def test_incremental_entropy_equals_recount(spark):
     from pyspark.sql import functions as F
 
@@ -54,13 +68,13 @@ def test_incremental_entropy_equals_recount(spark):
 
 
 def test_license_rules(spark):
+    import re
+
     mit = ". ".join(license_scan.SENTENCES[s][0] for s in ("mit-grant", "mit-notice", "as-is"))
     rows = [(1, f"intro words\n{mit}.\nRELEASED under the MIT License!", "en", "s"), (2, "Licensed under CC BY-NC 4.0.\nAll rights reserved.", "en", "s"), (3, "nothing. of the licensed kind", "en", "s"), (4, None, None, None)]
     got = {r["doc_id"]: r["licenses"] for r in license_scan.scan_licenses(docs(spark, rows)).collect()}
     assert got == {1: "MIT,MIT", 2: "CC-BY-NC-4.0,All-Rights-Reserved", 3: "", 4: ""}
-    import re
-
-    assert all(re.search(license_scan.HINT, form) for forms in license_scan.SENTENCES.values() for form in forms)
+    assert all(re.search(license_scan.HINT, form) for form in license_scan.FORMS)
     assert license_scan.scan_licenses(docs(spark, [])).collect() == []
 
 
@@ -92,6 +106,43 @@ Public License as published by the Free Software Foundation, either version 3 of
 or (at your option) any later version."""
 
 
+GPL2_NOTICE = """    This library is free software; you can redistribute it and/or modify
+    it under the terms of the GNU General Public License as published by
+    the Free Software Foundation; either version 2 of the License, or
+    (at your option) any later version.
+
+    This library is distributed in the hope that it will be useful,
+    but WITHOUT ANY WARRANTY; without even the implied warranty of
+    MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE.  See the
+    GNU General Public License for more details."""
+BSD_TEXT = """Redistribution and use in source and binary forms, with or without
+modification, are permitted provided that the following conditions are met:
+
+1. Redistributions of source code must retain the above copyright notice, this
+   list of conditions and the following disclaimer.
+2. Redistributions in binary form must reproduce the above copyright notice,
+   this list of conditions and the following disclaimer in the documentation
+   and/or other materials provided with the distribution.
+3. Neither the name of the copyright holder nor the names of its contributors
+   may be used to endorse or promote products derived from this software
+   without specific prior written permission."""
+ISC_TEXT = """Permission to use, copy, modify, and/or distribute this software for any
+purpose with or without fee is hereby granted, provided that the above
+copyright notice and this permission notice appear in all copies."""
+
+
+def test_common_notices(spark):
+    texts = {
+        GPL2_NOTICE: "GPL-2.0-or-later", BSD_TEXT: "BSD-3-Clause", ISC_TEXT: "ISC", "A tool. It is licensed under the GNU General Public License version 2. More": "GPL-2.0-only",
+        "This file is licensed under the MIT license.": "MIT", "The source code is released\n# under the terms of the\n# Apache License, Version 2.0": "Apache-2.0",
+        "Distributed under the Boost Software License, Version 1.0.": "BSL-1.0", "This is free and unencumbered software released into the public domain.": "Unlicense",
+        "licensed under the GNU Lesser General Public License v2.1 or later": "LGPL-2.1-or-later", "He was licensed under the old law to drive.": "", "x" * 300_000: "",
+    }
+    rows = [(i, t, "en", "s") for i, t in enumerate(texts)] + [(None, "Released under MIT", "en", "s")] * 2
+    got = [(r["doc_id"], r["licenses"]) for r in license_scan.scan_licenses(docs(spark, rows)).collect()]
+    assert sorted(got, key=str) == sorted([*enumerate(texts.values()), (None, "MIT"), (None, "MIT")], key=str)
+
+
 def test_verbatim_wrapped_licences(spark):
     apart = "Released under\n\nthe MIT License. All rights. Reserved"
     rows = [(i, t, "en", "s") for i, t in enumerate([MIT_TEXT, MPL_TEXT, APACHE_TEXT, GPL_TEXT, apart, MIT_TEXT.replace("\n", "\r\n")])]
@@ -115,9 +166,42 @@ def test_best_fit_places_everything():
 
 
 def test_length_choice_is_least_cost():
-    assert packing.choose_length(300, 0) == 512
-    assert packing.choose_length(300, 10**6) == 4096
-    assert packing.choose_length(1500, 0) == 2048
+    none, much = (lambda room: 0), (lambda room: 10**6)
+    assert packing.choose_length(300, none) == 512 and packing.choose_length(1500, none) == 2048
+    # with items for any room a token costs least in 1024; without ones that fit there, in the next
+    assert packing.choose_length(300, much) == 1024 and packing.choose_length(1500, much) == 2048
+    assert packing.choose_length(700, lambda room: 10**6 if room > 324 else 0) == 2048
+
+
+def naive_best_fit(sizes):
+    """All bins and all waiting items looked at for each item."""
+    bins, where = [], []
+    for i, size in enumerate(sizes):
+        fitting = [b for b in bins if b[0] - b[1] >= size]
+        if fitting:
+            best = min(fitting, key=lambda b: (b[0] - b[1], b[2]))
+        else:
+            per_token = {}
+            for length in packing.LENGTHS:
+                if length >= size:
+                    room = length - size
+                    cost = packing.OPEN_COST + length + length * length / packing.DOUBLE_AT
+                    per_token[length] = cost / (size + min(room, sum(s for s in sizes[i + 1 :] if s <= room)))
+            best = [max(c for c in per_token if per_token[c] == min(per_token.values())), 0, len(bins)]
+            bins.append(best)
+        where.append((best[2], best[1]))
+        best[1] += size
+    return where, [min(c for c in packing.LENGTHS if c >= b[1]) for b in bins]
+
+
+def test_best_fit_matches_brute_force():
+    rng = random.Random(7)
+    opened = set()
+    for n, most in ((1, 5), (40, 4096), (120, 900), (120, 300), (80, 4096)):
+        sizes = sorted((min(4096, int(most * rng.random() ** 2) + 1) for _ in range(n)), reverse=True)
+        assert packing.best_fit(sizes) == naive_best_fit(sizes)
+        opened |= set(packing.best_fit(sizes)[1])
+    assert opened == set(packing.LENGTHS)
 
 
 def test_pack_round_trip(spark):
@@ -205,3 +289,27 @@ def test_pipeline_stages(spark, sf):
         assert seen.columns == d.columns, name
     out = corpus_pipeline.run(spark, sf)
     assert out.count() > 0 and {"doc_id", "bin_id"} <= set(out.columns)
+
+
+EDGE_ROWS = [(1, "one two three four five six seven", "en", "src1"), (1, "one two three four five six seven", "en", "src1"), (2, None, None, None), (3, "", "en", "src2"), (None, "a row without an id", "de", "src3"), (4, "word " * 30_000, "fr", "src11"), (5, "\n\n \n", "es", None)]
+
+
+@pytest.mark.parametrize("stage", range(5))
+def test_stage_edges(spark, sf, stage):
+    """Nulls, empty and very long texts, repeated rows and an empty table at every stage."""
+    name, run = corpus_pipeline.STAGES[stage]
+    table = docs(spark, EDGE_ROWS)
+    out = run(spark, table, sf)
+    rows = out.collect()
+    if stage < 4:
+        assert out.columns == table.columns, name
+    ids = Counter(r["doc_id"] for r in rows)
+    assert set(ids) <= {1, 2, 3, 4, 5, None}
+    if name in ("toxicity", "line_dedup"):
+        assert ids == Counter(r[0] for r in EDGE_ROWS)
+    if name == "simhash_near_dedup":
+        assert ids[1] == 1
+    if name == "best_fit_packing":
+        assert sum(r["n_tokens"] for r in rows) == 7 + 7 + 5 + 30_000
+    empty = run(spark, docs(spark, []), sf)
+    assert empty.columns == out.columns and empty.collect() == []
