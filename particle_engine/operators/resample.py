@@ -2,9 +2,10 @@
 
 All schemes work on integer prefix sums in particle order, so the same weights
 and key give the same offspring in any partitioning.  Positions are integers in
-[0, W), W the total weight.  Up to ``ONE_TASK`` particles the prefix sum is one sorted
-window (a particle is 16 bytes here, never its state); beyond, it runs in two phases
-over ranges of ids.
+[0, W), W the total weight.  With ``ranges`` of 1 the prefix sum is one sorted window (a
+particle is 16 bytes here, never its state); with more it runs in two phases over ranges of ids, and
+positions are looked up in as many ranges of [0, W).  ``run_filter`` takes one range
+for every ``ONE_TASK`` particles.
 """
 
 from __future__ import annotations
@@ -55,11 +56,16 @@ def systematic(weights: DataFrame, n: int, seed: int, cycle: int, ranges: int =
     return p.select(F.col("particle_id").alias("parent_id"), (up("hi") - up("lo")).cast("long").alias("alpha")).where("alpha > 0")
 
 
-def _lookup(prefix: DataFrame, draws: DataFrame) -> DataFrame:
-    """(slot, parent_id): the particle whose [lo, hi) holds each position - an as-of lookup by one sorted union."""
-    edges = prefix.where("w_fix > 0").select(F.col("lo").alias("at"), F.lit(0).alias("kind"), F.col("particle_id").alias("pid"), F.lit(None).cast("long").alias("slot"))
-    asks = draws.select(F.col("position").cast(BIG).alias("at"), F.lit(1).alias("kind"), F.lit(None).cast("long").alias("pid"), "slot")
-    seen = F.last("pid", ignorenulls=True).over(Window.orderBy("at", "kind").rowsBetween(Window.unboundedPreceding, 0))
+def _lookup(prefix: DataFrame, draws: DataFrame, ranges: int = 1) -> DataFrame:
+    """(slot, parent_id): the particle whose [lo, hi) holds each position - an as-of lookup by one sorted union in each range of positions.
+
+    An interval is listed in every range it reaches into, so there are at most ``ranges`` more rows than particles.
+    """
+    cell = lambda c: F.expr(f"cast((cast({ranges} as {BIG}) * {c}) div total as int)")
+    edges = prefix.where("w_fix > 0").withColumn("range_no", F.explode(F.sequence(cell("lo"), cell("(hi - 1)"))))
+    edges = edges.select("range_no", F.col("lo").alias("at"), F.lit(0).alias("kind"), F.col("particle_id").alias("pid"), F.lit(None).cast("long").alias("slot"))
+    asks = draws.withColumn("at", F.col("position").cast(BIG)).select(cell("at").alias("range_no"), "at", F.lit(1).alias("kind"), F.lit(None).cast("long").alias("pid"), "slot")
+    seen = F.last("pid", ignorenulls=True).over(Window.partitionBy("range_no").orderBy("at", "kind").rowsBetween(Window.unboundedPreceding, 0))
     return edges.unionByName(asks).withColumn("parent_id", seen).where("kind = 1").select("slot", "parent_id")
 
 
@@ -71,8 +77,8 @@ def multinomial(weights: DataFrame, n: int, seed: int, cycle: int, ranges: int =
     """n independent draws in proportion to weight."""
     p = prefix_sums(weights, ranges=ranges)
     total = weights.agg(F.sum("w_fix").cast(BIG).alias("total"))
-    draws = weights.sparkSession.range(n).crossJoin(F.broadcast(total)).select(F.col("id").alias("slot"), _position(seed, cycle, F.col("id"), F.col("total")).alias("position"))
-    return _counts(_lookup(p, draws))
+    draws = weights.sparkSession.range(n).crossJoin(F.broadcast(total)).select(F.col("id").alias("slot"), _position(seed, cycle, F.col("id"), F.col("total")).alias("position"), "total")
+    return _counts(_lookup(p, draws, ranges))
 
 
 def stratified(weights: DataFrame, n: int, seed: int, cycle: int, ranges: int = 1) -> DataFrame:
@@ -80,8 +86,8 @@ def stratified(weights: DataFrame, n: int, seed: int, cycle: int, ranges: int =
     p = prefix_sums(weights, ranges=ranges)
     total = weights.agg(F.sum("w_fix").cast(BIG).alias("total"))
     draws = weights.sparkSession.range(n).crossJoin(F.broadcast(total)).withColumn("inside", _position(seed, cycle, F.col("id"), F.col("total")).cast(BIG))
-    draws = draws.select(F.col("id").alias("slot"), F.expr(f"(cast(id as {BIG}) * total + inside) div {n}").alias("position"))
-    return _counts(_lookup(p, draws))
+    draws = draws.select(F.col("id").alias("slot"), F.expr(f"(cast(id as {BIG}) * total + inside) div {n}").alias("position"), "total")
+    return _counts(_lookup(p, draws, ranges))
 
 
 def residual(weights: DataFrame, n: int, seed: int, cycle: int, ranges: int = 1) -> DataFrame:
@@ -89,8 +95,8 @@ def residual(weights: DataFrame, n: int, seed: int, cycle: int, ranges: int = 1)
     total = weights.agg(F.sum("w_fix").cast(BIG).alias("total"))
     w = weights.crossJoin(F.broadcast(total)).select("particle_id", F.expr(f"(cast({n} as {BIG}) * w_fix) div total").cast("long").alias("sure"), F.expr(f"cast((cast({n} as {BIG}) * w_fix) % total as {BIG})").alias("w_fix"))
     open_slots = w.agg((F.lit(n) - F.sum("sure")).cast("long").alias("open"), F.sum("w_fix").cast(BIG).alias("total"))
-    draws = weights.sparkSession.range(n).crossJoin(F.broadcast(open_slots)).where("id < open").select(F.col("id").alias("slot"), _position(seed, cycle, F.col("id"), F.col("total")).alias("position"))
-    drawn = _counts(_lookup(prefix_sums(w.select("particle_id", "w_fix"), ranges=ranges), draws))
+    draws = weights.sparkSession.range(n).crossJoin(F.broadcast(open_slots)).where("id < open").select(F.col("id").alias("slot"), _position(seed, cycle, F.col("id"), F.col("total")).alias("position"), "total")
+    drawn = _counts(_lookup(prefix_sums(w.select("particle_id", "w_fix"), ranges=ranges), draws, ranges))
     sure = w.where("sure > 0").select(F.col("particle_id").alias("parent_id"), F.col("sure").alias("alpha"))
     return sure.unionByName(drawn).groupBy("parent_id").agg(F.sum("alpha").cast("long").alias("alpha"))
 

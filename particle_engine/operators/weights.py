@@ -6,7 +6,7 @@ plan here reads a state column once the scores exist.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 FIX_BITS = 30
@@ -42,16 +42,20 @@ def log_likelihood(states: DataFrame, obs: DataFrame, kind: str, scale: float, p
     return joined.groupBy("particle_id").agg(F.sum(ll).alias("log_w"))
 
 
-def mask_mismatches(states: DataFrame, obs: DataFrame, threshold: float = 0.5) -> DataFrame:
-    """(particle_id, mismatches): cells whose mask differs from the observed one."""
-    joined = states.join(F.broadcast(obs.select("cell_id", "mask")), "cell_id")
+def mask_mismatches(states: DataFrame, obs: DataFrame, threshold: float = 0.5, broadcast_obs: bool = True) -> DataFrame:
+    """(particle_id, mismatches): cells whose mask differs from the observed one; ``broadcast_obs`` as in ``log_likelihood``."""
+    mask = obs.select("cell_id", "mask")
+    joined = states.join(F.broadcast(mask) if broadcast_obs else mask, "cell_id")
     return joined.groupBy("particle_id").agg(F.sum((mask_of(F.col("x"), threshold) != F.col("mask")).cast("int")).cast("long").alias("mismatches"))
 
 
-def mask_weights(mismatches: DataFrame, bits: int = FIX_BITS) -> DataFrame:
-    """(particle_id, mismatches, w_fix): integer weight 2^(bits - excess mismatches), 0 past the last bit."""
+def mask_weights(mismatches: DataFrame, bits: int = FIX_BITS, odds: int = 1) -> DataFrame:
+    """(particle_id, mismatches, w_fix): integer weight 2^(bits - odds x excess mismatches), 0 past the last bit.
+
+    A cell is wrong with probability 1 / (1 + 2^odds), so integers hold the likelihood ratio exactly.
+    """
     least = mismatches.agg(F.min("mismatches").alias("least"))
-    e = F.lit(bits) - (F.col("mismatches") - F.col("least"))
+    e = F.lit(bits) - F.lit(odds) * (F.col("mismatches") - F.col("least"))
     joined = mismatches.crossJoin(F.broadcast(least))
     return joined.select("particle_id", "mismatches", F.when(e >= 0, F.call_function("shiftleft", F.lit(1).cast("long"), e.cast("int"))).otherwise(F.lit(0)).cast("long").alias("w_fix"))
 
@@ -79,8 +83,18 @@ def normalise(weights: DataFrame, column: str = "w_fix") -> DataFrame:
     return weights.crossJoin(F.broadcast(total)).withColumn("w_hat", F.col(column).cast("double") / F.col("__total")).drop("__total")
 
 
+def cumulative_evidence(evidences: DataFrame) -> DataFrame:
+    """(cycle, log_evidence, total): evidence so far, from one row a cycle."""
+    total = F.round(F.sum("log_evidence").over(Window.orderBy("cycle").rowsBetween(Window.unboundedPreceding, 0)), 6)
+    return evidences.select("cycle", "log_evidence", total.alias("total"))
+
+
 def evidence(scores: DataFrame) -> DataFrame:
-    """(log_evidence): log of the mean likelihood, two aggregates over scores."""
+    """(log_evidence): log of the mean likelihood, two aggregates over scores.
+
+    Kernels leave out the constants that all particles share (a Gaussian's 1 / (scale sqrt(2 pi)) per cell), so
+    evidences compare runs over the same observations and scale only.
+    """
     top = scores.agg(F.max("log_w").alias("top"))
     mean = scores.crossJoin(F.broadcast(top)).agg(F.avg(F.exp(F.col("log_w") - F.col("top"))).alias("m"), F.first("top").alias("top"))
     return mean.select((F.col("top") + F.log("m")).alias("log_evidence"))

@@ -14,7 +14,7 @@ same offspring as the distributed engine.
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pandas as pd
@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from particle_engine.functions.rng import py_int, py_uniforms
 from particle_engine.operators import placement, weights
 from particle_engine.operators.models import Model, propagate
-from particle_engine.operators.resample import offspring, perturb, resample, should_redraw
+from particle_engine.operators.resample import ONE_TASK, offspring, perturb, resample, should_redraw
 from particle_engine.sources.store import StateStore
 
 
@@ -35,7 +35,7 @@ class Spec:
     n_particles: int = 256
     model: Model = field(default_factory=Model)
     kernel: str = "mask"  # mask (integer odds), gaussian or cauchy
-    scale: float = 1.0
+    scale: float = 1.0  # spread of the error; for the mask kernel the bits a wrong cell costs (a whole number)
     threshold: float = 0.5
     scheme: str = "systematic"
     policy: str = "always"
@@ -45,19 +45,25 @@ class Spec:
     steps: int = 1
     seed: int = 42
     partitions: int = 8
-    placement: str = "static"
-    ranges: int = 1
+    placement: str = "static"  # static, hash, or stay: the first copies stay where their parent lives
+    ranges: int = 0  # ranges of two-phase prefix sums; 0: by the number of particles
     keep_cycles: int = 2
     diagnostics: bool = True  # per-cycle figures: two small jobs a cycle
     observation: Column | None = None
+    broadcast_obs: bool = True  # run_filter counts a cycle's observations and clears it where they are many
+
+    @property
+    def sum_ranges(self) -> int:
+        return self.ranges or -(-self.n_particles // ONE_TASK)
 
 
 def score(states: DataFrame, obs: DataFrame, spec: Spec) -> DataFrame:
     """(particle_id, log_w, w_fix) of one cycle; cells without an observation add nothing."""
     if spec.kernel == "mask":
-        w = weights.mask_weights(weights.mask_mismatches(states, obs, spec.threshold))
-        return w.select("particle_id", (-F.col("mismatches") * F.log(F.lit(2.0))).alias("log_w"), "w_fix")
-    return weights.fix_weights(weights.log_likelihood(states, obs, spec.kernel, spec.scale, spec.observation))
+        odds = int(spec.scale)
+        w = weights.mask_weights(weights.mask_mismatches(states, obs, spec.threshold, spec.broadcast_obs), odds=odds)
+        return w.select("particle_id", (-F.col("mismatches") * F.log(F.lit(2.0)) * odds).alias("log_w"), "w_fix")
+    return weights.fix_weights(weights.log_likelihood(states, obs, spec.kernel, spec.scale, spec.observation, spec.broadcast_obs))
 
 
 @dataclass
@@ -67,8 +73,8 @@ class FilterResult:
     store: StateStore
 
 
-def run_cycle(states: DataFrame, obs: DataFrame, cycle: int, spec: Spec, store: StateStore, run_id: str, carried: DataFrame | None = None) -> tuple[DataFrame, DataFrame | None, dict]:
-    """One cycle: (next states, carried log weights if no redraw, diagnostics)."""
+def run_cycle(states: DataFrame, obs: DataFrame, cycle: int, spec: Spec, store: StateStore, run_id: str, carried: DataFrame | None = None, homes: DataFrame | None = None) -> tuple[DataFrame, DataFrame | None, dict, DataFrame | None]:
+    """One cycle: (next states, carried log weights if no redraw, diagnostics, homes of the next states)."""
     moved = store.write("states", run_id, cycle, propagate(states, spec.model, cycle + 1, spec.seed, spec.steps))
     scored = score(moved, obs, spec)
     if carried is not None:
@@ -79,32 +85,50 @@ def run_cycle(states: DataFrame, obs: DataFrame, cycle: int, spec: Spec, store:
         stats = weights.summary(w).withColumn("cycle", F.lit(cycle))
         row = stats.withColumn("redraw", should_redraw(None, spec.policy, spec.policy_threshold)).first().asDict()
     if not row["redraw"]:
-        store.write("offspring", run_id, cycle, w.select(F.col("particle_id").alias("slot"), F.col("particle_id").alias("parent_id"), F.lit(0).alias("copy_no")))
-        return moved, w.select("particle_id", "log_w"), row
-    parents = resample(w.select("particle_id", "w_fix"), spec.n_particles, spec.scheme, spec.seed, cycle, spec.ranges)
-    children = store.write("offspring", run_id, cycle, offspring(parents, spec.ranges))
+        store.write("offspring", run_id, cycle, w.select(F.col("particle_id").alias("slot"), F.col("particle_id").alias("parent_id"), F.lit(0).alias("copy_no")), KEPT)
+        store.save_coordinator(run_id, cycle, {"redraw": False})
+        return moved, w.select("particle_id", "log_w"), row, homes
+    parents = resample(w.select("particle_id", "w_fix"), spec.n_particles, spec.scheme, spec.seed, cycle, spec.sum_ranges)
+    children = store.write("offspring", run_id, cycle, offspring(parents, spec.sum_ranges))
     drawn = children.groupBy("parent_id").agg(F.count(F.lit(1)).alias("alpha"))
     if spec.diagnostics:
         row |= drawn.agg(F.count(F.lit(1)).alias("q"), F.max("alpha").alias("max_copies")).first().asDict()
-    plan = placement.assign(drawn, spec.partitions, spec.placement)
-    shipped = placement.ship(moved.select("particle_id", "cell_id", "x"), plan, spec.partitions)
+    if spec.placement == "stay" and homes is None:
+        homes = placement.first_homes(moved, spec.partitions, spec.n_particles)
+    plan = placement.with_slots(placement.assign(drawn, spec.partitions, spec.placement, homes, spec.sum_ranges), spec.sum_ranges)
+    plan = store.write("plan", run_id, cycle, plan)
+    if spec.diagnostics and homes is not None:
+        row |= placement.moved_copies(plan, homes).first().asDict()
+    shipped = placement.ship(moved.select("particle_id", "cell_id", "x"), plan, spec.partitions, spec.n_particles + spec.partitions)
     if spec.jitter:
         shipped = perturb(shipped, spec.jitter, spec.seed, cycle, spec.keep_first)
+    store.save_coordinator(run_id, cycle, {"redraw": True, "placement": spec.placement})
     store.gc(run_id, cycle - spec.keep_cycles + 1)
-    return shipped.select("particle_id", "cell_id", "x"), None, row
+    return shipped.select("particle_id", "cell_id", "x"), None, row, placement.homes_of(plan) if spec.placement == "stay" else None
+
+
+#: Bytes of one observed cell where it is broadcast.
+OBS_ROW_BYTES = 32
+#: Note of offspring slices of cycles without a redraw.
+KEPT = "kept"
 
 
 def run_filter(initial: DataFrame, obs: DataFrame, cycles: list[int], spec: Spec, run_id: str = "run", store: StateStore | None = None) -> FilterResult:
     """Filter over the given cycles; ``obs`` has cycle, cell_id and mask or y. A run found in the store goes on after its last whole cycle."""
     store = store or StateStore(initial.sparkSession)
-    states, carried, notes = initial, None, []
+    states, carried, notes, homes = initial, None, [], None
     done = store.resume_cycle(run_id)
     if done is not None:
         states, carried = restore(store, run_id, done, spec)
+        if spec.placement == "stay" and done in store.committed("plan", run_id):
+            homes = placement.homes_of(store.read("plan", run_id, done))
         cycles = [c for c in cycles if c > done]
+    most = obs.groupBy("cycle").agg(F.count(F.lit(1)).alias("n")).agg(F.max("n")).first()[0] or 0
+    if most * OBS_ROW_BYTES > placement.BROADCAST_BYTES:
+        spec = replace(spec, broadcast_obs=False)
     for cycle in cycles:
         y = obs.where(F.col("cycle") == cycle).drop("cycle")
-        states, carried, row = run_cycle(states, y, cycle, spec, store, run_id, carried)
+        states, carried, row, homes = run_cycle(states, y, cycle, spec, store, run_id, carried, homes)
         notes.append(row)
     return FilterResult(states, notes, store)
 
@@ -112,8 +136,7 @@ def run_filter(initial: DataFrame, obs: DataFrame, cycles: list[int], spec: Spec
 def restore(store: StateStore, run_id: str, cycle: int, spec: Spec) -> tuple[DataFrame, DataFrame | None]:
     """States after a committed cycle, rebuilt from its stored states and offspring (and weights where there was no redraw)."""
     moved, children = store.read("states", run_id, cycle), store.read("offspring", run_id, cycle)
-    kept = children.where("slot <> parent_id or copy_no <> 0").limit(1).count() == 0 and spec.policy != "always"
-    if kept:
+    if store.note("offspring", run_id, cycle) == KEPT:
         return moved, store.read("weights", run_id, cycle).select("particle_id", "log_w")
     joined = moved.join(children, moved["particle_id"] == children["parent_id"]).select(F.col("slot").alias("particle_id"), "copy_no", "cell_id", "x")
     if spec.jitter:

@@ -19,7 +19,7 @@ def loads(trace: DataFrame) -> DataFrame:
 
 def switch_loads(trace: DataFrame) -> DataFrame:
     """Loads inferred without a hit flag: the parent differs from the runner's previous one."""
-    prev = F.lag("parent_id").over(Window.partitionBy(*KEY, "runner_id").orderBy("start_us"))
+    prev = F.lag("parent_id").over(Window.partitionBy(*KEY, "runner_id").orderBy("start_us", "task_id"))
     return trace.withColumn("sw", (~prev.eqNullSafe(F.col("parent_id"))).cast("long")).groupBy(*KEY).agg(F.sum("sw").alias("loads"))
 
 
@@ -65,6 +65,12 @@ def cycle_time(trace: DataFrame, redraw_us: int = 0) -> DataFrame:
     return trace.groupBy(*KEY).agg((F.max("report_us") - first + F.lit(redraw_us)).alias("cycle_us"))
 
 
+def whole_cycle_time(trace: DataFrame, configs: DataFrame, redraw_us: int = 2_210) -> DataFrame:
+    """(config_id, cycle, cycle_us) with the redraw of each configuration, ``redraw_us`` where it names none."""
+    own = F.coalesce(F.col("redraw_us"), F.lit(redraw_us)) if "redraw_us" in configs.columns else F.lit(redraw_us)
+    return cycle_time(trace).join(configs.select("config_id", own.cast("long").alias("redraw")), "config_id").select(*KEY, (F.col("cycle_us") + F.col("redraw")).alias("cycle_us"))
+
+
 def efficiency(trace: DataFrame, configs: DataFrame, reference: str) -> DataFrame:
     """(config_id, efficiency): reference one-runner time per task, times tasks, over R times cycle time."""
     per = cycle_time(trace).join(loads(trace), KEY).groupBy("config_id").agg(F.sum("cycle_us").alias("t"), F.sum("tasks").alias("n"))
@@ -92,7 +98,7 @@ def phase_shares(trace: DataFrame) -> DataFrame:
 
 def weak_growth(trace: DataFrame, configs: DataFrame) -> DataFrame:
     """(config_id, r, cycle_us, growth): mean cycle time against that of the fewest runners."""
-    t = cycle_time(trace).groupBy("config_id").agg(F.avg("cycle_us").alias("cycle_us")).join(configs.select("config_id", "r"), "config_id")
+    t = whole_cycle_time(trace, configs).groupBy("config_id").agg(F.avg("cycle_us").alias("cycle_us")).join(configs.select("config_id", "r"), "config_id")
     base = t.agg(F.min_by("cycle_us", "r").alias("base"))
     return t.crossJoin(F.broadcast(base)).select("config_id", "r", "cycle_us", F.round(F.col("cycle_us") / F.col("base") - 1, 6).alias("growth"))
 
@@ -113,9 +119,14 @@ def sync_penalty(trace: DataFrame, asynchronous: str, synchronous: str) -> DataF
 
 
 def io_time_stats(trace: DataFrame) -> DataFrame:
-    """(config_id, mean and quartiles of load time seen by the lane)."""
-    q = F.percentile("load_us", F.array(*map(F.lit, (0.25, 0.5, 0.75))))
-    return trace.where("loaded").groupBy("config_id").agg(F.avg("load_us").alias("mean_us"), q.alias("quartiles_us"), F.max("load_us").alias("max_us"))
+    """(config_id, loads, load_mean_us, load_q25_us, load_q50_us, load_q75_us, load_max_us, stores, store_mean_us, store_max_us, local_hits): transfers as the lanes see them; states found in the cache move nothing."""
+    loaded, stored = F.col("loaded"), F.col("ok")
+    load, store = F.when(loaded, F.col("load_us")), F.when(stored, F.col("store_us"))
+    quartile = lambda q: F.percentile(load, F.lit(q))
+    return trace.groupBy("config_id").agg(
+        F.sum(loaded.cast("long")).alias("loads"), F.round(F.avg(load), 3).alias("load_mean_us"), quartile(0.25).alias("load_q25_us"), quartile(0.5).alias("load_q50_us"), quartile(0.75).alias("load_q75_us"), F.max(load).alias("load_max_us"),
+        F.sum(stored.cast("long")).alias("stores"), F.round(F.avg(store), 3).alias("store_mean_us"), F.max(store).alias("store_max_us"), F.sum(F.col("hit").cast("long")).alias("local_hits"),
+    )
 
 
 def coordinator_rate(trace: DataFrame) -> DataFrame:
@@ -124,6 +135,21 @@ def coordinator_rate(trace: DataFrame) -> DataFrame:
     return per.groupBy("config_id").agg(F.sum("n").alias("requests"), F.max("n").alias("peak_per_second"))
 
 
+def coordinator_latency(trace: DataFrame, service_us: int = 300) -> DataFrame:
+    """(config_id, requests, mean_us, p50_us, p90_us, p99_us, max_us): from a report's arrival to its answer, where one coordinator answers one after the other.
+
+    The queue has a closed form: answer i ends i + 1 services after the latest of the
+    arrivals so far, each less the services before it.  One window over a cycle's reports.
+    """
+    order = Window.partitionBy(*KEY).orderBy("report_us", "task_id")
+    i = F.row_number().over(order) - 1
+    q = trace.select(*KEY, "task_id", "report_us", i.cast("long").alias("i"))
+    latest = F.max(F.col("report_us") - F.col("i") * service_us).over(order.rowsBetween(Window.unboundedPreceding, 0))
+    waits = q.select("config_id", (latest + (F.col("i") + 1) * service_us - F.col("report_us")).alias("us"))
+    part = lambda p: F.round(F.percentile("us", F.lit(p)), 3)
+    return waits.groupBy("config_id").agg(F.count(F.lit(1)).alias("requests"), F.round(F.avg("us"), 3).alias("mean_us"), part(0.5).alias("p50_us"), part(0.9).alias("p90_us"), part(0.99).alias("p99_us"), F.max("us").alias("max_us"))
+
+
 def recovery_cost(trace: DataFrame) -> DataFrame:
     """(config_id, cycle, lost_tasks, lost_us, idle_us): work lost, and time other runners waited for the re-run."""
     lost = trace.where("not ok").groupBy(*KEY).agg(F.count(F.lit(1)).alias("lost_tasks"), F.sum(F.col("end_us") - F.col("start_us")).alias("lost_us"))
@@ -132,6 +158,13 @@ def recovery_cost(trace: DataFrame) -> DataFrame:
     return lost.join(idle, KEY)
 
 
+def detection_delay(trace: DataFrame) -> DataFrame:
+    """(config_id, cycle, task_id, delay_us): from the end of a lost attempt to the start of the task's next one."""
+    lost = trace.where("not ok").groupBy(*KEY, "task_id").agg(F.max("end_us").alias("lost_us"))
+    again = _ok(trace).join(lost, [*KEY, "task_id"]).where("start_us >= lost_us")
+    return again.groupBy(*KEY, "task_id").agg((F.min("start_us") - F.max("lost_us")).alias("delay_us"))
+
+
 def makespan_ratio(trace: DataFrame, configs: DataFrame) -> DataFrame:
     """(config_id, cycle, ratio): makespan over max(total work / R, longest task)."""
     d = F.col("end_us") - F.col("start_us")

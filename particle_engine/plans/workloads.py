@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from particle_engine.functions.rng import normal4, uniform
 from particle_engine.operators import observe, weights
 from particle_engine.operators.models import Model, init_ensemble, propagate
-from particle_engine.operators.schedule import multiset
+from particle_engine.operators.schedule import multiset, ordinals
 from particle_engine.plans import metrics
 from particle_engine.plans.filter import ensemble_lineages
 from particle_engine.plans.simulate import simulate
@@ -155,8 +155,8 @@ SCALES = [(315, 63, 2_100_000, 1_400_000, 2_210), (635, 127, 2_100_000, 1_600_00
 
 
 def k6(spark: SparkSession, sf_dir: str, scales=SCALES, cycles: int = 3, sigma: float | None = 0.35) -> tuple[DataFrame, DataFrame]:
-    """Weak scaling: five particles per runner, printed load, store and redraw times per scale."""
-    configs = settings(spark, [{"config_id": f"p{p:04d}", "lineage_id": f"l{p}", "r": r, "c": 9, "load_us": ld, "store_us": st, "redraw_us": rd} for p, r, ld, st, rd in scales])
+    """Weak scaling: five particles per runner, printed load, store and redraw times per scale, one coordinator that answers in turn."""
+    configs = settings(spark, [{"config_id": f"p{p:04d}", "lineage_id": f"l{p}", "r": r, "c": 9, "load_us": ld, "store_us": st, "redraw_us": rd, "sequential": True} for p, r, ld, st, rd in scales])
     return configs, simulate(configs, lineages(spark, sf_dir, [(f"l{s[0]}", s[0], cycles, sigma) for s in scales]))
 
 
@@ -217,10 +217,16 @@ def io_modes(spark: SparkSession, sf_dir: str, cycles: int = 4) -> tuple[DataFra
 
 
 def table_tasks(rows: DataFrame, parent: str, order: str, cost: str, lineage_id: str) -> DataFrame:
-    """Tasks from a table: one per row, parent from a key, duration from a cost column. For simulated studies of the given sizes."""
-    key = F.dense_rank().over(Window.orderBy(parent)) - 1
-    slot = F.row_number().over(Window.orderBy(parent, order)) - 1
-    return rows.select(F.lit(lineage_id).alias("lineage_id"), F.lit(0).alias("cycle"), slot.cast("long").alias("slot"), key.cast("long").alias("parent_slot"), F.lit(1.0).alias("weight"), F.col(cost).cast("long").alias("duration_us"))
+    """Tasks from a table: one per row, parent from a key, duration from a cost column. For simulated studies of the given sizes.
+
+    Numbers are a key's place among the keys (a row a key) and a row's place within its key.
+    """
+    keys = rows.groupBy(parent).agg(F.count(F.lit(1)).alias("alpha")).withColumnRenamed(parent, "parent_id")
+    starts = ordinals(keys).withColumn("key", F.row_number().over(Window.orderBy("parent_id")) - 1).select(F.col("parent_id").alias("__parent"), "key", "from")
+    inner = F.row_number().over(Window.partitionBy("__parent").orderBy(order)) - 1
+    slot = (F.col("from") + inner).cast("long")
+    joined = rows.join(starts, F.col(parent).eqNullSafe(F.col("__parent")))
+    return joined.select(F.lit(lineage_id).alias("lineage_id"), F.lit(0).alias("cycle"), slot.alias("slot"), F.col("key").cast("long").alias("parent_slot"), F.lit(1.0).alias("weight"), F.col(cost).cast("long").alias("duration_us"))
 
 
 def k15(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
@@ -232,7 +238,7 @@ def k15(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
 
 
 def k16(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
-    """Propagation shorter than a load: short tasks of pages grouped by language of the page's path."""
+    """Propagation shorter than a load: short tasks of pages grouped by the page's host."""
     pages = table(spark, sf_dir, "pages").select(F.regexp_extract("url", "//([^/]*)", 1).alias("host"), "page_id", F.char_length("html").alias("cost"))
     configs = settings(spark, [{"config_id": n, "lineage_id": "pages", "r": 8, "c": c, "prefetch": p, "load_us": ld} for n, c, p, ld in (("short-load", 9, 1, 1_000), ("long-load", 9, 1, 60_000), ("long-load-no-cache", 0, 0, 60_000))])
     return configs, simulate(configs, table_tasks(pages, "host", "page_id", "cost", "pages"))
@@ -244,7 +250,7 @@ def natural(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 def summary(configs: DataFrame, trace: DataFrame) -> DataFrame:
     """(config_id, r, tasks, loads, cycle_us): what most studies report."""
-    t = metrics.cycle_time(trace).groupBy("config_id").agg(F.avg("cycle_us").cast("long").alias("cycle_us"))
+    t = metrics.whole_cycle_time(trace, configs).groupBy("config_id").agg(F.avg("cycle_us").cast("long").alias("cycle_us"))
     n = metrics.loads(trace).groupBy("config_id").agg(F.sum("tasks").alias("tasks"), F.sum("loads").alias("loads"))
     return configs.select("config_id", F.col("r").cast("int").alias("r")).join(n, "config_id").join(t, "config_id")
 

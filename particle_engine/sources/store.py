@@ -18,9 +18,11 @@ LOG = "seq long, kind string, run_id string, cycle int, path string, payload str
 
 
 def shared_root(spark: SparkSession) -> str:
-    """Folder that driver and executors share: the session's checkpoint folder, one of its own only where none is set."""
+    """Folder that driver and executors share: the session's checkpoint folder; one of its own only in local mode, where none is set."""
     found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
         import tempfile
 
         found = tempfile.mkdtemp(prefix="particle_engine_")
@@ -66,19 +68,24 @@ class StateStore:
         """Committed cycles, ascending."""
         return sorted({e["cycle"] for e in self.entries if e["kind"] == kind and e["run_id"] == run_id})
 
-    def write(self, kind: str, run_id: str, cycle: int, df: DataFrame) -> DataFrame:
-        """Write a slice, commit it, and return it re-read (lineage cut)."""
+    def write(self, kind: str, run_id: str, cycle: int, df: DataFrame, payload: str = "") -> DataFrame:
+        """Write a slice, commit it with a note, and return it re-read (lineage cut)."""
         if kind == "weights" and cycle not in self.committed("states", run_id):
             raise ValueError(f"weights of cycle {cycle} before its states")
         path = f"{self.root}/{kind}/run_id={run_id}/cycle={cycle}/attempt={uuid.uuid4().hex}"
         df.write.parquet(path)
-        self.commit(kind, run_id, cycle, path)
+        self.commit(kind, run_id, cycle, path, payload)
         return self.spark.read.schema(df.schema).parquet(path)
 
     def _last(self, kind: str, run_id: str, cycle: int | None = None) -> dict | None:
         found = [e for e in self.entries if e["kind"] == kind and e["run_id"] == run_id and cycle in (None, e["cycle"])]
         return found[-1] if found else None
 
+    def note(self, kind: str, run_id: str, cycle: int) -> str:
+        """The note of the newest committed attempt of a slice, empty where there is none."""
+        last = self._last(kind, run_id, cycle)
+        return last["payload"] if last else ""
+
     def read(self, kind: str, run_id: str, cycle: int) -> DataFrame:
         """The newest committed attempt of a slice."""
         last = self._last(kind, run_id, cycle)
