@@ -1,17 +1,21 @@
 """Exact top-k inner-product search by a vector-approximation file.
 
-Every vector of a block is stored as one byte per dimension: its cell on a
-uniform grid between that dimension's smallest and largest value in the block.
-The scan of the cells bounds each score from above and below; exact vectors are
-then read in order of the bound until no unread vector can reach the k-th score.
-Queries travel in blocks to the candidate blocks by a shuffle, so nothing
-broadcast grows with the data, and block results merge by rank.
+* The file: every vector is stored as one byte per dimension, its cell on a uniform
+  grid between that dimension's smallest and largest value in the table.  It is
+  written once as a table of its own, an eighth of the vectors or less.
+* First scan: the cells alone bound each score from above and below.  Each task keeps
+  the ``k`` highest lower bounds of a query; over all tasks the k-th is a score that k vectors surely reach.
+* Second scan: vectors whose upper bound reaches that score are read exactly, and nothing else
+  is; their exact scores decide.
+
+Queries go in blocks that are counted to fit a broadcast, one pass of both scans over the file for each
+block, so no vector is copied for each query and only ids and bounds are shuffled.
 
 Defined results: vectors that are null, or hold null or non-finite components,
 take no part, nor do null ids; vectors score only against others of the same
 length; equal scores go to the smaller vec_id; repeated rows of one vec_id each
 count; a query never meets rows of its own id; a repeated query row is asked
-once.
+once, and a query id with several vectors asks with each of them for one list.
 """
 
 from __future__ import annotations
@@ -19,16 +23,19 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from particle_engine.llm.common import stage_table
+from particle_engine.llm.common import BROADCAST_BYTES, small_batches, stage_table
 
 SCALE = 1024
 CELLS = 256
-QUERY_BLOCK = 2048
-ROWS_PER_BLOCK = 2048
+#: Scores held at once in a scan.
+SCORES = 1 << 21
+
+#: By length of the vectors: lowest corner and cell width in each dimension.
+Grid = dict[int, tuple[np.ndarray, np.ndarray]]
 
 
 def scaled(vectors: DataFrame) -> DataFrame:
@@ -39,63 +46,134 @@ def scaled(vectors: DataFrame) -> DataFrame:
     return vectors.where(F.col("vec_id").isNotNull() & x.isNotNull() & whole).select(F.col("vec_id").cast("long").alias("vec_id"), F.size(x).alias("dims"), ints.alias("v"))
 
 
-def approximation(matrix: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Cells of each row (bytes), and the grid: lowest corner and cell width per dimension."""
-    low, high = matrix.min(0), matrix.max(0)
-    width = np.maximum((high - low) / CELLS, 1e-9)
-    return np.minimum((matrix - low) // width, CELLS - 1).astype(np.uint8), low.astype(float), width
-
-
-def search_block(ids: np.ndarray, matrix: np.ndarray, query_ids: np.ndarray, queries: np.ndarray, k: int) -> list[tuple[int, int, int]]:
-    """(query_id, vec_id, score): the k best of this block for each query."""
-    out: list[tuple[int, int, int]] = []
-    cells, low, width = approximation(matrix)
-    centres = cells.astype(np.float64)
-    for at in range(0, len(queries), 64):
-        q = queries[at : at + 64].astype(np.float64)
-        middle = centres @ (q * width).T + (q @ (low + width / 2))[None, :]
-        slack = np.abs(q) @ (width / 2) + 1e-6 * (1 + np.abs(q) @ (np.abs(low) + CELLS * width))
-        for c in range(q.shape[0]):
-            upper, own = middle[:, c] + slack[c], query_ids[at + c]
-            top = np.flatnonzero(ids != own)
-            if not len(top):
-                continue
-            if len(top) > k:  # no row whose upper bound is under the k-th lower bound can enter
-                kth = np.partition(upper[top], len(top) - k)[len(top) - k] - 2 * slack[c]
-                top = top[upper[top] >= kth]
-            order = top[np.argsort(-upper[top], kind="stable")]
-            best = np.empty((0, 2), np.int64)
-            for i in range(0, len(order), 4 * k):  # read exact vectors until the bound falls under the k-th score
-                if len(best) == k and upper[order[i]] < -best[-1, 0]:
-                    break
-                part = order[i : i + 4 * k]
-                best = np.concatenate((best, np.stack((-(matrix[part] @ queries[at + c]), ids[part]), 1)))
-                best = best[np.lexsort((best[:, 1], best[:, 0]))][:k]
-            out += [(int(own), int(v), int(-s)) for s, v in best.tolist()]
-    return out
+def _matrices(batch: pa.RecordBatch) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """(dims, places, matrix) of a batch's vectors, by length."""
+    dims, lists = batch.column("dims").to_numpy(), batch.column("v")
+    for d in np.unique(dims).tolist():
+        at = np.flatnonzero(dims == d)
+        yield d, at, lists.take(pa.array(at)).flatten().to_numpy().reshape(len(at), d)
+
+
+def grid_of(rows: DataFrame) -> Grid:
+    """The grid of each length; a task reports its corners once per batch and length, and these meet by dimension."""
+
+    def corners(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            found = [(d, m.min(0), m.max(0)) for d, _, m in _matrices(batch)]
+            yield pa.RecordBatch.from_arrays([pa.array([x[0] for x in found], pa.int32()), *(pa.array([x[i].tolist() for x in found], pa.list_(pa.int64())) for i in (1, 2))], ["dims", "low", "high"])
+
+    local = rows.select("dims", "v").mapInArrow(corners, "dims int, low array<long>, high array<long>")
+    cells = local.select("dims", F.posexplode(F.arrays_zip("low", "high")).alias("i", "c"))
+    met = cells.groupBy("dims", "i").agg(F.min("c.low").alias("low"), F.max("c.high").alias("high")).orderBy("dims", "i").collect()  # a row a dimension
+    grid: Grid = {r["dims"]: (np.empty(0), np.empty(0)) for r in rows.select("dims").distinct().collect()}
+    for d in {r["dims"] for r in met}:
+        low, high = (np.array([r[c] for r in met if r["dims"] == d], float) for c in ("low", "high"))
+        grid[d] = (low, np.maximum((high - low) / CELLS, 1e-9))
+    return grid
+
+
+def approximate(matrix: np.ndarray, low: np.ndarray, width: np.ndarray) -> np.ndarray:
+    """Cell of each component, a byte."""
+    return np.clip((matrix - low) // width, 0, CELLS - 1).astype(np.uint8)
+
+
+def _file(rows: DataFrame, grid: Grid) -> DataFrame:
+    """The approximation file: (vec_id, dims, cells)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            cells: list[bytes] = [b""] * batch.num_rows
+            for d, at, matrix in _matrices(batch):
+                data = approximate(matrix, *grid[d]).tobytes()
+                for i, place in enumerate(at.tolist()):
+                    cells[place] = data[i * d : (i + 1) * d]
+            yield pa.RecordBatch.from_arrays([batch.column("vec_id"), batch.column("dims"), pa.array(cells, pa.binary())], ["vec_id", "dims", "cells"])
+
+    return stage_table(rows.mapInArrow(run, "vec_id long, dims int, cells binary"), "cells")
+
+
+class Bounds:
+    """A block of queries of one length, ready to bound scores against cells."""
+
+    def __init__(self, ids: np.ndarray, queries: np.ndarray, low: np.ndarray, width: np.ndarray):
+        q = queries.astype(np.float64)
+        self.ids, self.weights, self.base = ids, (q * width).T, q @ (low + width / 2)
+        # half a cell in every dimension, and what rounding of the sums may add
+        self.slack = np.abs(q) @ (width / 2) + 1e-6 * (1 + np.abs(q) @ (np.abs(low) + CELLS * width))
+
+    def middles(self, cells: np.ndarray) -> np.ndarray:
+        """Score of each row's cell centres with each query."""
+        return cells.astype(np.float64) @ self.weights + self.base
+
+
+def _scan(batches: Iterator[pa.RecordBatch], blocks: dict[int, Bounds]) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """(dims, vec_ids, scores of cell centres) in pieces of bounded size."""
+    for batch in batches:
+        ids, dims = batch.column(0).to_numpy(), batch.column(1).to_numpy()
+        for d in np.unique(dims).tolist():
+            if d in blocks:
+                at = np.flatnonzero(dims == d)
+                cells = np.frombuffer(b"".join(batch.column(2).take(pa.array(at)).to_pylist()), np.uint8).reshape(len(at), d)
+                step = max(1, SCORES // len(blocks[d].ids))
+                for i in range(0, len(at), step):
+                    yield d, ids[at[i : i + step]], blocks[d].middles(cells[i : i + step])
+
+
+def _ask(rows: DataFrame, file: DataFrame, grid: Grid, asked: list, k: int) -> DataFrame:
+    """(query_id, vec_id): the pairs of one block of queries that can be among the k best."""
+    blocks = {}
+    for d in {r["dims"] for r in asked} & set(grid):
+        own = [r for r in asked if r["dims"] == d]
+        blocks[d] = Bounds(np.array([r["vec_id"] for r in own]), np.array([r["v"] for r in own], np.int64).reshape(len(own), d), *grid[d])
+    shared = file.sparkSession.sparkContext.broadcast(blocks)
+
+    def lowest(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        best = {d: np.full((k, len(b.ids)), -np.inf) for d, b in shared.value.items()}
+        for d, ids, middle in _scan(batches, shared.value):
+            b = shared.value[d]
+            lower = np.where(ids[:, None] == b.ids[None, :], -np.inf, middle - b.slack)
+            lower = np.concatenate((best[d], lower))
+            best[d] = -np.partition(-lower, k - 1, axis=0)[:k]
+        for d, found in best.items():
+            row, query = np.nonzero(found > -np.inf)
+            yield pa.RecordBatch.from_arrays([pa.array(shared.value[d].ids[query], pa.int64()), pa.array(np.full(len(query), d), pa.int32()), pa.array(query, pa.int32()), pa.array(found[row, query], pa.float64())], ["query_id", "dims", "query", "lower"])
+
+    local = file.mapInArrow(lowest, "query_id long, dims int, query int, lower double")
+    rank = F.row_number().over(Window.partitionBy("dims", "query").orderBy(F.desc("lower")))
+    kth = local.withColumn("rank", rank).where(F.col("rank") == k).select("dims", "query", "lower").collect()  # a row a query of the block
+    least = {d: np.full(len(b.ids), -np.inf) for d, b in blocks.items()}
+    for r in kth:
+        least[r["dims"]][r["query"]] = r["lower"]
+    floors = file.sparkSession.sparkContext.broadcast(least)
+
+    def reach(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for d, ids, middle in _scan(batches, shared.value):
+            b = shared.value[d]
+            row, query = np.nonzero((middle + b.slack >= floors.value[d]) & (ids[:, None] != b.ids[None, :]))
+            yield pa.RecordBatch.from_arrays([pa.array(b.ids[query], pa.int64()), pa.array(ids[row], pa.int64())], ["query_id", "vec_id"])
+
+    return file.mapInArrow(reach, "query_id long, vec_id long").distinct()
 
 
 def top_k(vectors: DataFrame, queries: DataFrame, k: int = 10) -> DataFrame:
     """(query_id, rank, vec_id, score) of the k highest inner products of each query row against ``vectors``."""
-    rows = stage_table(scaled(vectors), "vectors")
-    asked = scaled(queries).dropDuplicates(["vec_id", "v"])
-    n_blocks = max(1, -(-rows.count() // ROWS_PER_BLOCK))
-    n_queries = asked.count()
-    q_blocks = max(1, -(-n_queries // QUERY_BLOCK))
-    right = asked.select(F.pmod(F.xxhash64("vec_id", F.lit(7)), F.lit(q_blocks)).alias("q"), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n_blocks - 1).cast("long"))).alias("block"), "dims", "vec_id", "v")
-    left = rows.select(F.pmod(F.xxhash64("vec_id"), F.lit(n_blocks)).alias("block"), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(q_blocks - 1).cast("long"))).alias("q"), "dims", "vec_id", "v")
-
-    def run(_: tuple, data: pd.DataFrame, wanted: pd.DataFrame) -> pd.DataFrame:
-        found: list[tuple[int, int, int]] = []
-        if len(data) and len(wanted):
-            matrix = np.array(data["v"].tolist(), np.int64).reshape(len(data), -1)
-            ask = np.array(wanted["v"].tolist(), np.int64).reshape(len(wanted), -1)
-            if matrix.shape[1] == 0:
-                matrix, ask = np.zeros((len(data), 1), np.int64), np.zeros((len(wanted), 1), np.int64)
-            found = search_block(data["vec_id"].to_numpy(np.int64), matrix, wanted["vec_id"].to_numpy(np.int64), ask, k)
-        return pd.DataFrame(found, columns=["query_id", "vec_id", "score"]).astype("int64")
-
-    keys = ["block", "q", "dims"]
-    local = left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInPandas(run, "query_id long, vec_id long, score long")
+    rows = small_batches(stage_table(scaled(vectors), "vectors"))
+    asked = stage_table(scaled(queries).dropDuplicates(["vec_id", "v"]), "queries")
+    size = asked.agg(F.coalesce(F.sum(8 * F.col("dims") + 64), F.lit(0)).alias("n")).first()["n"]
+    grid = grid_of(rows)
+    file = _file(rows, grid)
+    # as many blocks as keep each under half a broadcast on average; a hash deals them evenly
+    n_blocks = -(-2 * size // BROADCAST_BYTES)
+    found = None
+    for block in range(n_blocks):
+        part = asked.where(F.pmod(F.xxhash64("vec_id", F.lit(7)), F.lit(n_blocks)) == block).collect()
+        pairs = stage_table(_ask(rows, file, grid, part, k), "reached") if part else None
+        found = pairs if found is None else found if pairs is None else found.unionByName(pairs)
+    if found is None:
+        found = rows.sparkSession.createDataFrame([], "query_id long, vec_id long")
+    query = asked.select(F.col("vec_id").alias("query_id"), F.col("dims").alias("q_dims"), F.col("v").alias("q"))
+    both = found.join(rows, "vec_id").join(query, "query_id").where("dims = q_dims")
+    score = F.aggregate(F.zip_with("v", "q", lambda a, b: a * b), F.lit(0).cast("long"), lambda s, x: s + x)
+    scored = both.select("query_id", "vec_id", score.alias("score"))
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
-    return local.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
+    return scored.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
