@@ -142,3 +142,53 @@ def test_entry_without_training_data_operators():
 
 def test_observed_cells_are_counted_once(mask):
     assert mask.count() == 4 * 80 and mask.select("cycle", "cell_id").distinct().count() == 320 and mask.where(F.col("mask") != (F.col("n") > 0)).count() == 0
+
+
+def test_placements_draw_the_same_and_stay_moves_less(spark):
+    """static, hash and stay give the same states; stay moves no more tasks than it must."""
+    from particle_engine.operators import placement
+
+    mask = spark.range(80).selectExpr("cast(id as int) as cell_id", "id % 3 = 0 as mask").crossJoin(spark.range(3).selectExpr("cast(id as int) as cycle"))
+    found, moved = {}, {}
+    for strategy in placement.STRATEGIES:
+        start = workloads.k1_states(spark, 24)
+        run = run_filter(start, mask, [0, 1, 2], Spec(n_particles=24, partitions=4, placement=strategy), strategy)
+        found[strategy] = sorted((r["particle_id"], r["cell_id"], r["x"]) for r in run.states.collect())
+        homes = placement.first_homes(start, 4, 24)
+        moved[strategy] = []
+        for c in range(3):
+            plan = run.store.read("plan", strategy, c)
+            assert plan.agg({"n": "sum"}).first()[0] == 24
+            moved[strategy].append(placement.moved_copies(plan, homes).first()["moved_tasks"])
+            homes = placement.homes_of(plan)
+    assert found["static"] == found["hash"] == found["stay"]
+    assert sum(moved["stay"]) <= sum(moved["static"])
+
+
+def test_shipping_is_the_only_shuffle_of_states(spark, tmp_path):
+    from particle_engine.operators import placement
+
+    path = str(tmp_path / "states")
+    workloads.k1_states(spark, 24).write.parquet(path)
+    plan_path = str(tmp_path / "plan")
+    placement.with_slots(placement.assign(spark.createDataFrame([(0, 20), (5, 4)], "parent_id long, alpha long"), 4)).write.parquet(plan_path)
+    shipped = placement.ship(spark.read.parquet(path), spark.read.parquet(plan_path), 4, rows=28)
+    text = shipped._jdf.queryExecution().executedPlan().toString()
+    moves = [line for line in text.splitlines() if "Exchange" in line and "BroadcastExchange" not in line]
+    assert len(moves) == 1 and "SortMergeJoin" not in text
+    assert shipped.count() == 24 * 80
+
+
+def test_a_redraw_of_one_copy_each_is_no_kept_cycle(spark):
+    """Under a conditional policy the store remembers whether a cycle was redrawn."""
+    mask = spark.range(80).selectExpr("cast(id as int) as cell_id", "false as mask").crossJoin(spark.range(2).selectExpr("cast(id as int) as cycle"))
+    run = run_filter(workloads.k1_states(spark, 8), mask, [0, 1], Spec(n_particles=8, policy="every_k", policy_threshold=2), "kept")
+    assert [run.store.note("offspring", "kept", c) for c in (0, 1)] == ["", "kept"]
+    assert run.store.load_coordinator("kept") == {"redraw": False}
+
+
+def test_heavier_odds_sharpen_weights(spark):
+    from particle_engine.operators import weights
+
+    m = spark.createDataFrame([(0, 3), (1, 5)], "particle_id long, mismatches long")
+    assert [r["w_fix"] for r in weights.mask_weights(m, odds=2).orderBy("particle_id").collect()] == [1 << 30, 1 << 26]

@@ -190,3 +190,27 @@ def test_observation_gold(spark, sf):
     assert [(r["n"], r["mean_value"]) for r in hourly.orderBy("cycle").limit(3).collect()] == [(3, 100.296667), (1, 40.34), (1, 29.61)]
     k3 = observe.nation_month(spark, sf).agg(F.count("*"), F.countDistinct("month"), F.round(F.sum("revenue"), 0)).first()
     assert (k3[0], k3[1], k3[2]) == (1000, 80, 301270840.0)
+
+
+def test_ranged_lookups_draw_the_same(spark):
+    """Any number of ranges gives the same offspring in every scheme."""
+    from particle_engine.operators import resample
+
+    w = spark.createDataFrame([(i * i, (i * 7919) % 50) for i in range(60)] + [(10_000_000, 900)], "particle_id long, w_fix long")
+    for scheme in resample.SCHEMES:
+        draws = [sorted(map(tuple, resample.resample(w, 100, scheme, 5, 1, ranges).collect())) for ranges in (1, 4, 13)]
+        assert draws[0] == draws[1] == draws[2] and sum(a for _, a in draws[0]) == 100
+
+
+def test_coordinator_queue_equals_a_walk(spark):
+    from particle_engine.plans import metrics
+
+    rng = random.Random(3)
+    arrivals = sorted(rng.randrange(20_000) for _ in range(60))
+    trace = spark.createDataFrame([("a", 0, i, t) for i, t in enumerate(arrivals)], "config_id string, cycle int, task_id long, report_us long")
+    free, waits = 0, []
+    for t in arrivals:
+        free = max(free, t) + 300
+        waits.append(free - t)
+    got = metrics.coordinator_latency(trace, 300).first()
+    assert (got["requests"], got["max_us"]) == (60, max(waits)) and abs(got["mean_us"] - sum(waits) / 60) < 0.01
