@@ -169,7 +169,7 @@ def k1_posterior(spark, sf):
     return posterior.posterior(moved, workloads.k1_scored(spark, sf))
 
 
-@query()
+@query(f"{CYCLE1}, h AS (SELECT cell_id, CAST(CASE WHEN x < 0 THEN 0 WHEN x >= 1 THEN 11 ELSE floor(x * 10) + 1 END AS BIGINT) AS bin, sum(w_fix::DOUBLE) AS s FROM s1 JOIN w USING (particle_id) GROUP BY ALL) SELECT cell_id, bin, round(s / sum(s) OVER (PARTITION BY cell_id), 9) AS share FROM h")
 def f9_histogram(spark, sf):
     moved = propagate(workloads.k1_states(spark), Model(), 1, SEED)
     return posterior.histogram(moved, workloads.k1_scored(spark, sf), 0.0, 1.0, 10)
@@ -283,12 +283,16 @@ def k1b_two_cycles(spark, sf):
     return one.agg(mean).select(F.lit(1).alias("step"), "mean").unionByName(two.agg(mean).select(F.lit(2).alias("step"), "mean"))
 
 
-@query()
+@query(f"""WITH t AS (SELECT CAST(i AS INTEGER) AS cycle, 50.0::DOUBLE + 5.0::DOUBLE * {sql_normal4('7', '0', 'i', '0')} AS truth FROM range(50) r(i)), b AS (SELECT *, truth + {sql_normal4('8', 'cycle', '-1', '0')} AS centre FROM t),
+m AS (SELECT cycle, truth, centre + {sql_normal4('9', 'cycle', 'p', '0')} AS x FROM b, range(64) r(p)),
+far AS (SELECT cycle, any_value(truth) AS truth, avg(x) AS mean, avg(abs(x - truth)) AS far, quantile_cont(x, 0.05) AS lo, quantile_cont(x, 0.95) AS hi FROM m GROUP BY 1),
+pairs AS (SELECT a.cycle, avg(abs(a.x - b.x)) AS apart FROM m a JOIN m b ON a.cycle = b.cycle GROUP BY 1)
+SELECT round(sqrt(avg((mean - truth) * (mean - truth))), 6) AS rmse, round(avg(mean - truth), 6) AS bias, round(avg(far - apart / 2), 6) AS crps, round(avg(CAST(truth BETWEEN lo AND hi AS INTEGER)), 6) AS coverage, count(*) AS cycles FROM far JOIN pairs USING (cycle)""")
 def a26_accuracy(spark, sf):
     """Scores of a twin experiment: members drawn around hashed truths."""
     truth = spark.range(50).select(F.col("id").cast("int").alias("cycle"), (F.lit(50.0) + F.lit(5.0) * normal4(7, 0, F.col("id"), 0)).alias("truth"))
     members = truth.crossJoin(spark.range(64).withColumnRenamed("id", "particle_id")).select("cycle", "particle_id", (F.col("truth") + normal4(8, F.col("cycle"), -1, 0) + normal4(9, F.col("cycle"), F.col("particle_id"), 0)).alias("x"))
-    return posterior.accuracy(members, truth)
+    return posterior.accuracy(members, truth).select(*[F.round(c, 6).alias(c) for c in ("rmse", "bias", "crps", "coverage")], "cycles")
 
 
 # K2, K3.
@@ -316,7 +320,9 @@ def k3_region_rollup(spark, sf):
     return out.withColumn("nation", F.coalesce("nation", F.lit(-1)))
 
 
-@query()
+@query(f"""WITH o AS (SELECT nation AS cell_id, ln(CAST(r AS BIGINT) / 10000.0::DOUBLE) AS y FROM ({K3}) WHERE month = '1995-01-01'),
+s AS (SELECT CAST(i AS BIGINT) AS particle_id, CAST(k AS INTEGER) AS cell_id, 12.0::DOUBLE + {sql_normal4(str(SEED), '0', 'i', 'k')} AS x FROM range(64) t(i), range(25) u(k))
+SELECT particle_id, round(sum(CASE WHEN y IS NULL THEN 0.0 ELSE -ln(1.0::DOUBLE + ((y - x) / 0.5::DOUBLE) * ((y - x) / 0.5::DOUBLE)) END), 9) AS log_w FROM s LEFT JOIN o USING (cell_id) GROUP BY 1""")
 def k3_cycle_weights(spark, sf):
     """(particle_id, log_w): 25-cell log-revenue states scored with the rational kernel; a nation without revenue adds nothing."""
     obs = observe.nation_month(spark, sf).where("month = (select '1995-01-01')").select(F.col("nation").alias("cell_id"), F.log("revenue").alias("y"))
@@ -605,11 +611,16 @@ def k18_classifier_all_cycles(spark, sf):
     return workloads.k18_all_errors(spark, sf)
 
 
-@query()
+@query(rf"""WITH d AS (SELECT quality, greatest(length(text), 1)::DOUBLE AS n, text FROM documents JOIN labels USING (doc_id)),
+x AS (SELECT quality, least(n, 4000.0::DOUBLE) / 4000.0::DOUBLE AS f1, len(regexp_extract_all(text, '[0-9]')) / n AS f2, len(regexp_extract_all(text, '[A-Z]')) / n AS f3 FROM d),
+b AS (SELECT CAST(i AS BIGINT) AS particle_id, {', '.join(f"{sql_normal4(str(SEED), '0', 'i', str(j))} AS b{j}" for j in range(4))} FROM range(64) t(i)),
+e AS (SELECT particle_id, CAST(sum(CAST(CAST(b0 + b1 * f1 + b2 * f2 + b3 * f3 > 0 AS INTEGER) <> quality AS INTEGER)) AS BIGINT) AS mm FROM x, b GROUP BY 1), m AS (SELECT min(mm) AS least_ FROM e),
+w AS (SELECT particle_id, CASE WHEN 30 - (mm - least_) >= 0 THEN CAST(1 AS BIGINT) << CAST(30 - (mm - least_) AS INTEGER) ELSE 0 END AS w_fix FROM e, m)
+SELECT particle_id, w_fix, round(w_fix::DOUBLE / sum(w_fix) OVER (), 12) AS w_hat FROM w""")
 def k18_classifier_weights(spark, sf):
     """(particle_id, w_fix, w_hat): classifier particles weighed by their errors over all cycles."""
     last = workloads.k18_all_errors(spark, sf).groupBy("particle_id").agg(F.sum("errors").alias("mismatches"))
-    return weights.normalise(weights.mask_weights(last).select("particle_id", "w_fix"))
+    return weights.normalise(weights.mask_weights(last).select("particle_id", "w_fix")).withColumn("w_hat", F.round("w_hat", 12))
 
 
 # K19.
@@ -676,7 +687,7 @@ def d1_blocked_states(spark, sf):
     return blocks.bytes_of(blocks.pack(workloads.k1_states(spark), 16))
 
 
-@query()
+@query(f"WITH {MASK}, {STATES}, o AS (SELECT cell_id, CAST(CAST(mask AS INTEGER) AS FLOAT) AS y FROM mask WHERE cycle = 0) SELECT particle_id, round(sum(-0.5::DOUBLE * pow((y - CAST(x AS FLOAT))::DOUBLE / 0.5::DOUBLE, 2)), 4) AS log_w FROM s0 JOIN o USING (cell_id) GROUP BY 1")
 def f5_blocked_likelihood(spark, sf):
     """(particle_id, log_w): Gaussian score of blocked states against the first hour's mask."""
     from particle_engine.operators import blocks

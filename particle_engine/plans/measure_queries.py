@@ -51,7 +51,7 @@ def a1_loads(spark, sf):
     return metrics.loads(trace_of(spark, sf))
 
 
-@query(f"WITH {TRACE_SQL}, s AS (SELECT config_id, cycle, parent_id IS DISTINCT FROM lag(parent_id) OVER (PARTITION BY config_id, cycle, runner_id ORDER BY start_us, task_id) AS sw FROM t) SELECT config_id, cycle, CAST(sum(CAST(sw AS INTEGER)) AS BIGINT) AS loads FROM s GROUP BY ALL")
+@query(f"WITH {TRACE_SQL}, s AS (SELECT config_id, cycle, parent_id IS DISTINCT FROM lag(parent_id) OVER (PARTITION BY config_id, cycle, runner_id ORDER BY start_us, task_id, parent_id) AS sw FROM t) SELECT config_id, cycle, CAST(sum(CAST(sw AS INTEGER)) AS BIGINT) AS loads FROM s GROUP BY ALL")
 def a1_switch_loads(spark, sf):
     """Loads where no hit flag is known: the parent differs from the runner's one before."""
     return metrics.switch_loads(trace_of(spark, sf))

@@ -19,7 +19,7 @@ def loads(trace: DataFrame) -> DataFrame:
 
 def switch_loads(trace: DataFrame) -> DataFrame:
     """Loads inferred without a hit flag: the parent differs from the runner's previous one."""
-    prev = F.lag("parent_id").over(Window.partitionBy(*KEY, "runner_id").orderBy("start_us", "task_id"))
+    prev = F.lag("parent_id").over(Window.partitionBy(*KEY, "runner_id").orderBy("start_us", "task_id", "parent_id"))
     return trace.withColumn("sw", (~prev.eqNullSafe(F.col("parent_id"))).cast("long")).groupBy(*KEY).agg(F.sum("sw").alias("loads"))
 
 
