@@ -12,6 +12,7 @@ from pyspark.sql import functions as F
 from particle_engine.operators import weights
 from particle_engine.plans import metrics, workloads
 from particle_engine.plans.catalogue import CYCLE1, query
+from particle_engine.plans.simulate import simulate
 from particle_engine.sources.tables import table
 
 RUNNERS = 16
@@ -208,3 +209,46 @@ def a16_overhead(spark, sf):
 def a20_volume(spark, sf):
     """States written in 48 cycles."""
     return spark.createDataFrame([(315,), (635,), (1275,), (2555,)], "particles int").select("particles", F.round(metrics.run_volume(F.col("particles"), F.lit(2.5), F.lit(48)) / 1024, 6).alias("run_tib"))
+
+
+# Simulated schedules whose times SQL can compute by itself: every order is a task, its customer the parent.
+
+
+def _schedule(spark: SparkSession, sf: str, policy: str, cost_by: str = "o_orderkey") -> DataFrame:
+    """Trace of one policy without cache, prefetch or lanes beside the model, so each task loads, runs, weighs and stores in turn."""
+    orders = table(spark, sf, "orders").where("o_custkey is not null").select("o_custkey", "o_orderkey", (F.lit(1_000_000) + F.col(cost_by) % 977 * 1000).alias("cost"))
+    configs = workloads.settings(spark, [{"config_id": policy, "lineage_id": "orders", "policy": policy, "r": 16, "c": 0, "prefetch": 0, "async_io": False}])
+    trace = simulate(configs, workloads.table_tasks(orders, "o_custkey", "o_orderkey", "cost", "orders"))
+    return trace.select("runner_id", "task_id", "parent_id", "start_us", "end_us", "report_us")
+
+
+#: A parent split over runners hands its slots to whoever asks first, so its copies cost alike here and slots are left out.
+PARENT_COST = "o_custkey"
+ORDERS_SQL = "o AS MATERIALIZED (SELECT row_number() OVER (ORDER BY o_custkey, o_orderkey) - 1 AS i, dense_rank() OVER (ORDER BY o_custkey) - 1 AS parent_id, CAST(1000000 + o_orderkey % 977 * 1000 AS BIGINT) AS dur FROM orders WHERE o_custkey IS NOT NULL)"
+
+
+def _own_chunk(runner: str) -> str:
+    before = "coalesce(sum(dur + 300 + 2100000 + 250000 + 1400000) OVER (PARTITION BY runner_id ORDER BY i ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)"
+    return f"""WITH {ORDERS_SQL.replace('o_orderkey % 977', 'o_custkey % 977')}, r AS (SELECT *, CAST({runner} AS INTEGER) AS runner_id FROM o, (SELECT count(*) AS n FROM o)), s AS (SELECT *, CAST({before} + 300 + 2100000 AS BIGINT) AS start_us FROM r)
+    SELECT runner_id, parent_id, start_us, start_us + dur + 250000 AS end_us, start_us + dur + 250000 + 1400000 AS report_us FROM s"""
+
+
+@query(_own_chunk("i * 16 // n"))
+def s3_static_trace(spark, sf):
+    """Static schedule: contiguous chunks of the parents' order."""
+    return _schedule(spark, sf, "static", PARENT_COST).drop("task_id")
+
+
+@query(_own_chunk("i % 16"))
+def b2_fixed_trace(spark, sf):
+    """The monolithic baseline's fixed tasks, dealt in turn."""
+    return _schedule(spark, sf, "fixed", PARENT_COST).drop("task_id")
+
+
+@query(f"""WITH RECURSIVE {ORDERS_SQL}, w(i, runner_id, parent_id, start_us, end_us, free) AS (SELECT CAST(-1 AS BIGINT), CAST(0 AS INTEGER), CAST(0 AS BIGINT), CAST(0 AS BIGINT), CAST(0 AS BIGINT), list_transform(range(16), lambda x: CAST(0 AS BIGINT))
+  UNION ALL SELECT o.i, CAST(k - 1 AS INTEGER), o.parent_id, b, b + dur + 250000, list_transform(range(1, 17), lambda j: CASE WHEN j = k THEN b + dur + 1650000 ELSE free[j] END)
+  FROM (SELECT i, free, list_position(free, list_min(free)) AS k, list_min(free) + 2100300 AS b FROM w) v JOIN o ON o.i = v.i + 1)
+SELECT runner_id, i AS task_id, parent_id, start_us, end_us, end_us + 1400000 AS report_us FROM w WHERE i >= 0""")
+def s4a_list_trace(spark, sf):
+    """List schedule: the next task goes to the runner that is free first; the SQL walks the same queue."""
+    return _schedule(spark, sf, "list")
