@@ -4,8 +4,9 @@ Fingerprints within ``RADIUS`` bits share one of four 16-bit blocks and, of
 the 48 bits left, one of four 12-bit blocks (pigeonhole twice), so every pair
 meets under one of 16 keys of 28 bits.  Under a key the fingerprints are
 sorted by Gray rank and indexed by a tree: a node holds the bits on which all
-members agree (mask and pattern); two nodes are compared by the differing bits
-of the shared mask, and a pair of nodes over the radius is dropped with all its
+members agree (mask and pattern), and its children only add bits to that mask.
+A pair of nodes carries the differences found so far; going down adds those of
+the newly shared bits alone, and a pair over the radius is dropped with all its
 members.  A key emits a spanning forest of its links, never all pairs.
 
 A radius of 3 bits holds only the lightest edits.  With ``similarity`` texts
@@ -106,25 +107,32 @@ class GrayIndex:
 
     def links(self) -> list[tuple[int, int]]:
         """A spanning forest of all pairs within the radius, as positions."""
-        out, stack = [], [(0, 0)]
+        out, stack = [], [(0, 0, self.nodes[0][2], 0)]
         while stack:
-            x, y = stack.pop()
-            lo, hi, mask, pattern, left, right = self.nodes[x]
-            lo2, hi2, mask2, pattern2, left2, right2 = self.nodes[y]
-            if x != y and ((pattern ^ pattern2) & mask & mask2).bit_count() > self.radius:
-                continue
+            x, y, shared, differing = stack.pop()
+            lo, hi, _, _, left, right = self.nodes[x]
+            lo2, hi2, _, _, left2, right2 = self.nodes[y]
             if left < 0 and left2 < 0:
-                far = np.bitwise_count(self.codes[lo:hi, None] ^ self.codes[None, lo2:hi2])
+                open_bits = np.uint64(~shared & 0xFFFFFFFFFFFFFFFF)
+                far = differing + np.bitwise_count((self.codes[lo:hi, None] ^ self.codes[None, lo2:hi2]) & open_bits)
                 for i, j in np.argwhere(far <= self.radius).tolist():
                     if (x != y or i < j) and (p := self.find(lo + i)) != (q := self.find(lo2 + j)):
                         self.parent[max(p, q)] = min(p, q)
                         out.append((lo + i, lo2 + j))
-            elif x == y:
-                stack += [(left, left), (left, right), (right, right)]
+                continue
+            if x == y:
+                below = [(left, left), (left, right), (right, right)]
             elif left2 < 0 or (left >= 0 and hi - lo >= hi2 - lo2):
-                stack += [(left, y), (right, y)]
+                below = [(left, y), (right, y)]
             else:
-                stack += [(x, left2), (x, right2)]
+                below = [(x, left2), (x, right2)]
+            for u, v in below:
+                _, _, mask, pattern, _, _ = self.nodes[u]
+                _, _, mask2, pattern2, _, _ = self.nodes[v]
+                both = mask & mask2  # holds all of ``shared``
+                more = differing + ((pattern ^ pattern2) & (both ^ shared)).bit_count()
+                if more <= self.radius:
+                    stack.append((u, v, both, more))
         return out
 
 

@@ -89,6 +89,22 @@ def test_gray_index_finds_all_links():
     assert closure(len(codes), simhash.GrayIndex(codes).links()) == want
 
 
+def test_accumulated_differences_at_every_radius():
+    """Crowded codes, where whole nodes agree on most bits and are pruned by what their pairs above found."""
+    rng = np.random.default_rng(8)
+    for n in (1, 2, 17, 60, 150, 400):
+        flips = rng.integers(0, 64, (n, 6)).tolist()
+        codes = np.unique(np.array([0x0F0F1234ABCD5678 ^ sum(1 << b for b in set(f)) for f in flips], np.uint64))
+        rank = codes.copy()
+        for s in (1, 2, 4, 8, 16, 32):
+            rank ^= rank >> np.uint64(s)
+        codes = codes[np.argsort(rank)]
+        far = np.bitwise_count(codes[:, None] ^ codes[None, :])
+        for radius in (0, 3, 8):
+            want = closure(len(codes), [(i, j) for i, j in np.argwhere(far <= radius).tolist() if j < i])
+            assert closure(len(codes), simhash.GrayIndex(codes, radius).links()) == want
+
+
 def test_every_near_pair_shares_a_key(spark):
     rng = np.random.default_rng(6)
     a = rng.integers(-(1 << 62), 1 << 62, 60)
