@@ -593,11 +593,12 @@ def k17_degeneracy_by_dim(spark, sf):
     return s.join(F.broadcast(top), "d").groupBy("d").agg(F.round(F.sum(w) * F.sum(w) / F.sum(w * w), 3).alias("ess"), F.round(1 / F.sum(w), 6).alias("max_w"))
 
 
-@query(rf"""WITH d AS (SELECT doc_id, quality, greatest(length(text), 1)::DOUBLE AS n, text FROM documents JOIN labels USING (doc_id) WHERE doc_id % 4 = 0),
+@query(rf"""WITH d AS (SELECT doc_id, quality, greatest(length(text), 1)::DOUBLE AS n, text FROM documents JOIN labels USING (doc_id)),
 x AS (SELECT quality, least(n, 4000.0::DOUBLE) / 4000.0::DOUBLE AS f1, len(regexp_extract_all(text, '[0-9]')) / n AS f2, len(regexp_extract_all(text, '[A-Z]')) / n AS f3 FROM d),
 b AS (SELECT CAST(i AS BIGINT) AS particle_id, {', '.join(f"{sql_normal4(str(SEED), '0', 'i', str(j))} AS b{j}" for j in range(4))} FROM range(64) t(i))
 SELECT particle_id, CAST(sum(CAST(CAST(b0 + b1 * f1 + b2 * f2 + b3 * f3 > 0 AS INTEGER) <> quality AS INTEGER)) AS BIGINT) AS errors, count(*) AS docs FROM x, b GROUP BY particle_id""")
 def k18_classifier_cycle(spark, sf):
+    """One cycle whose observation is every labelled document."""
     return workloads.k18_errors(spark, sf)
 
 
@@ -607,7 +608,7 @@ b AS (SELECT CAST(i AS BIGINT) AS particle_id, {', '.join(f"{sql_normal4(str(SEE
 e AS (SELECT cycle, particle_id, sum(CAST(CAST(b0 + b1 * f1 + b2 * f2 + b3 * f3 > 0 AS INTEGER) <> quality AS INTEGER)) AS errors, count(*) AS docs FROM x, b GROUP BY ALL)
 SELECT CAST(cycle AS INTEGER) AS cycle, particle_id, CAST(errors AS BIGINT) AS errors, docs, CAST(sum(errors) OVER w AS BIGINT) AS total_errors, CAST(sum(docs) OVER w AS BIGINT) AS total_docs FROM e WINDOW w AS (PARTITION BY particle_id ORDER BY cycle)""")
 def k18_classifier_all_cycles(spark, sf):
-    """All batches of documents as cycles; ``k18_classifier_cycle`` is the first of them."""
+    """All batches of documents as cycles; the last totals are those of ``k18_classifier_cycle``."""
     return workloads.k18_all_errors(spark, sf)
 
 

@@ -108,10 +108,10 @@ def _k18_wrong(spark: SparkSession, feats: DataFrame, particles: int) -> DataFra
     return joined.select("batch", "particle_id", ((score > 0).cast("int") != F.col("quality")).cast("int").alias("wrong"))
 
 
-def k18_errors(spark: SparkSession, sf_dir: str, particles: int = 64, cycle: int = 0, batches: int = 4) -> DataFrame:
-    """(particle_id, errors, docs): sign classifiers (bias, length, digits, upper-case share) against ``quality`` on one batch of documents."""
-    feats = _k18_features(spark, sf_dir, batches).where(F.col("batch") == cycle)
-    return _k18_wrong(spark, feats, particles).groupBy("particle_id").agg(F.sum("wrong").cast("long").alias("errors"), F.count(F.lit(1)).alias("docs"))
+def k18_errors(spark: SparkSession, sf_dir: str, particles: int = 64) -> DataFrame:
+    """(particle_id, errors, docs): sign classifiers (bias, length, digits, upper-case share) against ``quality`` on all labelled documents as one cycle."""
+    wrong = _k18_wrong(spark, _k18_features(spark, sf_dir, 1), particles)
+    return wrong.groupBy("particle_id").agg(F.sum("wrong").cast("long").alias("errors"), F.count(F.lit(1)).alias("docs"))
 
 
 def k18_all_errors(spark: SparkSession, sf_dir: str, particles: int = 64, batches: int = 4) -> DataFrame:

@@ -191,8 +191,8 @@ def test_classifier_cycles_score_every_labelled_document(spark, sf):
     errors = {r["particle_id"]: r["total_errors"] for r in got if r["cycle"] == 3}
     w = {r["particle_id"]: r["w_fix"] for r in QUERIES["k18_classifier_weights"](spark, sf).collect()}
     assert len(w) == 64 and all(w[a] >= w[b] for a in w for b in w if errors[a] < errors[b])
-    first = {r["particle_id"]: (r["errors"], r["docs"]) for r in QUERIES["k18_classifier_cycle"](spark, sf).collect()}
-    assert first == {r["particle_id"]: (r["errors"], r["docs"]) for r in got if r["cycle"] == 0}
+    one = {r["particle_id"]: (r["errors"], r["docs"]) for r in QUERIES["k18_classifier_cycle"](spark, sf).collect()}
+    assert one == {r["particle_id"]: (r["total_errors"], labelled) for r in got if r["cycle"] == 3}
 
 
 def test_registered_studies_use_all_rows_and_sizes(spark, sf, monkeypatch):
