@@ -104,6 +104,22 @@ def f2a_inner_steps(spark, sf):
     return propagate(workloads.k1_states(spark, 16), Model(fast=True), 1, SEED, steps=36)
 
 
+def _inner_step_query(steps: int) -> None:
+    start = STATES.replace(f"range({K1_PARTICLES})", "range(16)")
+    noise = f"0.15::DOUBLE * (2.0::DOUBLE * {sql_unit(str(SEED), '1', 'particle_id', 'cell_id', 'i + 1')} - 1.0::DOUBLE) / {steps**0.5!r}::DOUBLE"
+    moved = f"least(greatest(x + {0.25 / steps!r}::DOUBLE * (0.2::DOUBLE - x) + {noise}, 0.0::DOUBLE), 1.0::DOUBLE)"
+
+    def run(spark, sf):
+        return propagate(workloads.k1_states(spark, 16), Model(), 1, SEED, steps=steps).withColumn("x", F.round("x", 9))
+
+    run.__name__ = f"f2a_steps_{steps}"
+    query(f"WITH RECURSIVE {start}, m AS (SELECT 0 AS i, particle_id, cell_id, x FROM s0 UNION ALL SELECT i + 1, particle_id, cell_id, {moved} FROM m WHERE i < {steps}) SELECT particle_id, cell_id, round(x, 9) AS x FROM m WHERE i = {steps}")(run)
+
+
+for _steps in (36, 150):  # fixed values: the published inner steps of a cycle
+    _inner_step_query(_steps)
+
+
 @query(f"{CYCLE1} SELECT * FROM w")
 def k1_cycle1_weights(spark, sf):
     return workloads.k1_scored(spark, sf)
