@@ -200,6 +200,25 @@ def test_star_of_edits_keeps_one_line(spark):  # 300 lines: bands over SMALL, me
     assert {i for i, t in got.items() if t} == set(roots)
 
 
+def test_line_signatures_without_python_and_in_one_order(spark):
+    """No step of line dedup leaves the engine; a line of few words fills its signature from its other shingles."""
+    few, none, long = "abcdefghijklmn opqrstuvwxyz0123", "abcdefghijklmnopqrst", " ".join(words(5, 40))
+    signed = line_dedup.signed_lines(spark.createDataFrame([(1, few), (2, none), (3, long), (4, "short")], "line_id long, line string"))
+    plan = signed._jdf.queryExecution().executedPlan().toString()
+    assert "MapIn" not in plan and "Python" not in plan
+    xx = lambda x: (h := xxhash.xxh64_intdigest(x, 42)) - (h >> 63 << 64)
+    grams = lambda x: {x[i : i + 12] for i in range(len(x) - 11)}
+    want = lambda x: [h for _, h in sorted((g[0] != " ", xx(g)) for g in grams(x))[:5]]
+    assert {r["line_id"]: r["sig"] for r in signed.collect()} == {1: want(few), 2: want(none), 3: want(long), 4: []}
+
+
+def test_line_sketches_are_parities_of_shingles(spark):
+    texts = ["a line with ten or more words, of wörds and 😀 smileys too " * 3, "exactly12chr", "short"]
+    got = {r["line_id"]: r for r in line_dedup.sketched(spark.createDataFrame(list(enumerate(texts)), "line_id long, line string")).collect()}
+    assert sorted(got) == [0, 1] and [got[i]["n"] for i in got] == [len({t[i : i + 12] for i in range(len(t) - 11)}) for t in texts[:2]]
+    assert all(sum(bin(w & (1 << 64) - 1).count("1") for w in got[i]["bits"]) % 2 == got[i]["n"] % 2 for i in got)
+
+
 def test_line_dedup_edges(spark):
     long = "\n".join(" ".join(words(i, 12)) for i in range(3000))
     rows = [(1, "keep me please now\n\nsecond line of it\nkeep me please now"), (2, "second line of it\n  \nown words stay here"), (3, None), (4, ""), (5, long), (6, "nospaces" * 500 + "\nx"), (6, "nospaces" * 500 + "\nx")]
