@@ -101,9 +101,12 @@ def op_full_outer(spark, sf):
 
 @operator("SELECT o_custkey, o_orderkey FROM orders QUALIFY row_number() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) <= 2")
 def op_lateral_top2(spark, sf):
-    """Two dearest orders of each customer: per-parent expansion by a correlated lateral subquery (decorrelated to a ranked window)."""
+    """Two dearest orders of each customer: per-parent expansion by a correlated lateral subquery (decorrelated to a ranked window).
+
+    The rank is written out: Spark turns ORDER BY and LIMIT of a lateral subquery into a window without an order.
+    """
     table(spark, sf, "orders").createOrReplaceTempView("orders")
-    return spark.sql("SELECT c.o_custkey, t.o_orderkey FROM (SELECT DISTINCT o_custkey FROM orders) c, LATERAL (SELECT o.o_orderkey FROM orders o WHERE o.o_custkey = c.o_custkey ORDER BY o.o_totalprice DESC, o.o_orderkey LIMIT 2) t")
+    return spark.sql("SELECT c.o_custkey, t.o_orderkey FROM (SELECT DISTINCT o_custkey FROM orders) c, LATERAL (SELECT r.o_orderkey FROM (SELECT o.o_orderkey, row_number() OVER (ORDER BY o.o_totalprice DESC, o.o_orderkey) AS i FROM orders o WHERE o.o_custkey <=> c.o_custkey) r WHERE r.i <= 2) t")
 
 
 @operator("SELECT a.n_nationkey AS a_key, count(*) AS below FROM nation a JOIN nation b ON a.n_nationkey > b.n_nationkey AND a.n_regionkey <> b.n_regionkey GROUP BY 1")
@@ -129,7 +132,7 @@ def op_hash_aggregate(spark, sf):
 
 @operator("SELECT o_custkey, len(list(o_orderkey)) AS n_keys, len(list(DISTINCT o_orderstatus)) AS n_status, max_by(o_orderkey, o_totalprice) AS dearest FROM orders GROUP BY 1")
 def op_collect(spark, sf):
-    return table(spark, sf, "orders").groupBy("o_custkey").agg(F.size(F.collect_list("o_orderkey")).cast("long").alias("n_keys"), F.size(F.collect_set("o_orderstatus")).cast("long").alias("n_status"), F.max_by("o_orderkey", "o_totalprice").alias("dearest"))
+    return table(spark, sf, "orders").groupBy("o_custkey").agg(F.size(F.collect_list("o_orderkey")).cast("long").alias("n_keys"), F.size(F.collect_set("o_orderstatus")).cast("long").alias("n_status"), F.max_by("o_orderkey", F.struct("o_totalprice", -F.col("o_orderkey"))).alias("dearest"))
 
 
 @operator("SELECT count(DISTINCT user_id) AS users, count(DISTINCT event_type) AS types, (SELECT count(*) FROM (SELECT DISTINCT user_id, event_type FROM events)) AS pairs FROM events")

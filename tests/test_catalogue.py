@@ -52,3 +52,15 @@ def test_redraw_never_reads_states(spark, tmp_path):
     spark.range(10).selectExpr("id as particle_id", "cast(1 as bigint) as w_fix", "array(1.0, 2.0) as x").write.parquet(str(tmp_path / "w"))
     plan = resample.systematic(spark.read.parquet(str(tmp_path / "w")), 10, 1, 0)._jdf.queryExecution().executedPlan().toString()
     assert "x:array" not in plan
+
+
+def test_lateral_rank_has_an_order(spark, sf):
+    plan = relational.op_lateral_top2(spark, sf)._jdf.queryExecution().optimizedPlan().toString()
+    assert "o_totalprice" in plan.split("row_number()")[1].split(" AS ")[0]
+
+
+def test_dearest_of_a_tie_is_the_first_order(spark, tmp_path):
+    rows = [(k, 1, "O", 10.0) for k in (7, 9, 3, 8, 5)] + [(2, 1, "O", 5.0), (4, 2, "F", 1.0)]
+    for at, part in enumerate((rows, rows[::-1])):
+        spark.createDataFrame(part, "o_orderkey long, o_custkey long, o_orderstatus string, o_totalprice double").selectExpr("*", "timestamp '2024-01-01' AS o_orderdate", "'' AS o_orderpriority").write.parquet(f"{tmp_path}/{at}/orders.parquet")
+        assert {r["o_custkey"]: r["dearest"] for r in relational.op_collect(spark, f"{tmp_path}/{at}").collect()} == {1: 3, 2: 4}
