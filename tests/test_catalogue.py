@@ -64,3 +64,17 @@ def test_dearest_of_a_tie_is_the_first_order(spark, tmp_path):
     for at, part in enumerate((rows, rows[::-1])):
         spark.createDataFrame(part, "o_orderkey long, o_custkey long, o_orderstatus string, o_totalprice double").selectExpr("*", "timestamp '2024-01-01' AS o_orderdate", "'' AS o_orderpriority").write.parquet(f"{tmp_path}/{at}/orders.parquet")
         assert {r["o_custkey"]: r["dearest"] for r in relational.op_collect(spark, f"{tmp_path}/{at}").collect()} == {1: 3, 2: 4}
+
+
+READ = {"a16_overhead": "orders", "a28_cpu_hours": "lineitem"} | dict.fromkeys(
+    ("a20_volume", "a26_accuracy", "d1_blocked_states", "f1_initial_ensemble", "f2_propagated", "f2a_inner_steps", "f2a_steps_36", "f2a_steps_150", "io8_ensemble_source"), "events")
+
+
+@pytest.mark.parametrize("name", sorted(READ))
+def test_reads_its_table(spark, sf, name):
+    assert f"{sf}/{READ[name]}.parquet" in " ".join(QUERIES[name](spark, sf).inputFiles())
+
+
+def test_draw_bias_reads_events(spark, tmp_path):
+    with pytest.raises(Exception, match="events.parquet"):
+        QUERIES["a27_draw_bias"](spark, str(tmp_path))
