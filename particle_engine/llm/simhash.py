@@ -13,7 +13,8 @@ A radius of 3 bits holds only the lightest edits.  With ``similarity`` texts
 whose shingle sets have that Jaccard similarity are linked too: 16 bands of four
 MinHash values propose pairs (at 0.8 a pair is missed with probability 0.0002),
 and exact shingle sets decide.  In a band each text meets its predecessor and
-the first; where that leaves several components, all pairs across them meet.
+the first; where that leaves several components, all pairs across them meet,
+and those that parity sketches (as in ``line_dedup``) leave possible are verified.
 
 Defined results: null text counts as empty; no words give fingerprint zero,
 linked like any other; repeated rows share a fingerprint and a component; a
@@ -37,6 +38,10 @@ RADIUS = 3
 LEAF = 16
 SEED = 42
 BANDS, ROWS = 16, 4
+#: Longs of a text's parity sketch.
+SKETCH = 16
+#: Texts of a band that one row of comparisons meets in a task.
+BLOCK = 1024
 
 
 def shingles_of(text: str | None, words: int) -> list[bytes]:
@@ -211,6 +216,47 @@ def _alike(pairs: DataFrame, texts: DataFrame, words: int, similarity: float) ->
     return stage_table(both.mapInArrow(run, "a long, b long"), "alike")
 
 
+def parity(text: str | None, words: int) -> tuple[int, np.ndarray]:
+    """Number of distinct shingles, and ``SKETCH`` longs of bits that are each the parity of the shingles that hash there."""
+    shingles = list(set(shingles_of(text, words)))
+    odd = np.zeros(64 * SKETCH, np.int64)
+    for at in range(0, len(shingles), 1 << 14):  # bounded memory on very long texts
+        hashes = np.array([xxhash.xxh64_intdigest(s, SEED) for s in shingles[at : at + (1 << 14)]], np.uint64)
+        odd += np.bincount((hashes % np.uint64(64 * SKETCH)).astype(np.int64), minlength=64 * SKETCH)
+    return len(shingles), np.packbits((odd & 1).astype(np.uint8), bitorder="little").view(np.int64)
+
+
+def sketched(texts: DataFrame, words: int) -> DataFrame:
+    """(key, n, w0, w1, ...): number of shingles and parity sketch of each text."""
+    names = [f"w{i}" for i in range(SKETCH)]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            found = [parity(t.as_py(), words) for t in batch.column(1)]
+            bits = np.array([b for _, b in found], np.int64).reshape(-1, SKETCH)
+            cells = [batch.column(0), pa.array([n for n, _ in found], pa.int64()), *[pa.array(bits[:, i]) for i in range(SKETCH)]]
+            yield pa.RecordBatch.from_arrays(cells, ["key", "n", *names])
+
+    return small_batches(texts.select("key", "text")).mapInArrow(run, "key long, n long, " + ", ".join(f"{c} long" for c in names))
+
+
+def _across(apart: DataFrame, similarity: float) -> DataFrame:
+    """(key, o): texts of a band in different components that their sketches allow to be similar; of a band's largest component one side at most.
+
+    A shingle that one set alone has flips one bit, so more differing bits than the similarity leaves room for rule a pair out for certain.
+    """
+    blocks = F.expr(f"(size + {BLOCK - 1}) div {BLOCK}")
+    mine = ["key", "comp", "n", *[f"w{i}" for i in range(SKETCH)]]
+    x = apart.where("comp <> top").select("band", *mine, F.explode(F.sequence(F.lit(0).cast("long"), blocks - 1)).alias("block"))
+    other = [F.col(c).alias("o" if c == "key" else f"o_{c}") for c in mine]
+    y = apart.select("band", *other, (F.col("comp") != F.col("top")).alias("out"), F.pmod(F.xxhash64("key", "band"), blocks).alias("block"))
+    once = (F.col("comp") != F.col("o_comp")) & (~F.col("out") | (F.col("key") < F.col("o")))
+    sizes = F.least("n", "o_n") >= similarity * F.greatest("n", "o_n") - 1e-6
+    differing = sum((F.bit_count(F.col(f"w{i}").bitwiseXOR(F.col(f"o_w{i}"))) for i in range(SKETCH)), F.lit(0))
+    near = differing * (1 + similarity) <= (1 - similarity) * (F.col("n") + F.col("o_n")) + 1e-6
+    return x.join(y, ["band", "block"]).where(once & sizes & near).select("key", "o")
+
+
 def similar_links(docs: DataFrame, words: int, similarity: float) -> DataFrame:
     """Links (a, b) between the xxhash64 of different texts, which connect what is similar and shares a band."""
 
@@ -230,11 +276,11 @@ def similar_links(docs: DataFrame, words: int, similarity: float) -> DataFrame:
     links = _alike(ordered(met.select("key", F.explode(F.array_compact(F.array("before", "head"))).alias("o"))), texts, words, similarity)
     roots = connected_components(links, "a", "b").withColumnRenamed("node", "key")
     named = met.select("band", "key").join(roots, "key", "left").select("band", "key", F.coalesce("root", "key").alias("comp"))
-    sizes = named.groupBy("band", "comp").agg(F.count(F.lit(1)).alias("n")).groupBy("band").agg(F.max(F.struct("n", "comp"))["comp"].alias("top"), F.count(F.lit(1)).alias("m")).where("m > 1")
-    apart = stage_table(named.join(sizes, "band").select("band", "key", "comp", "top"), "similar-apart")
-    other = apart.select("band", F.col("key").alias("o"), F.col("comp").alias("o_comp"))
-    rest = apart.where("comp <> top").join(other, "band").where("comp <> o_comp")
-    return links.union(_alike(ordered(rest), texts, words, similarity))
+    sizes = named.groupBy("band", "comp").agg(F.count(F.lit(1)).alias("m")).groupBy("band").agg(F.max(F.struct("m", "comp"))["comp"].alias("top"), F.count(F.lit(1)).alias("comps"), F.sum("m").alias("size")).where("comps > 1")
+    apart = stage_table(named.join(sizes, "band").select("band", "key", "comp", "top", "size"), "similar-apart")
+    some = stage_table(apart.select("key").distinct(), "similar-ids")
+    sketches = stage_table(sketched(texts.join(bounded_broadcast(some, 16), "key", "left_semi"), words), "similar-sketches")
+    return links.union(_alike(ordered(_across(apart.join(sketches, "key"), similarity)), texts, words, similarity))
 
 
 def near_duplicates(docs: DataFrame, words: int = 3, similarity: float | None = None) -> DataFrame:

@@ -75,6 +75,35 @@ def test_similar_texts_are_linked(spark):
     assert [got[i] for i in range(len(texts))] == closure(len(texts), alike + near) and got[901] == 900
 
 
+def test_near_copies_of_one_text_are_not_all_verified(spark, monkeypatch):
+    """Texts three edits from one text: most pairs share a band, few are similar, sketches rule nearly all others out and none of the similar."""
+    base, rng, texts = words(3, 120, 4000), random.Random(3), []
+    for i in range(150):
+        edited = list(base)
+        for at in rng.sample(range(120), rng.choice((2, 3, 5))):
+            edited[at] = f"x{i}.{at}"
+        texts.append(" ".join(edited))
+    met, alike = [], simhash._alike
+    monkeypatch.setattr(simhash, "_alike", lambda pairs, *rest: met.append(pairs.count()) or alike(pairs, *rest))
+    df = docs(spark, list(enumerate(texts)))
+    key = {r["k"]: r["doc_id"] for r in df.selectExpr("doc_id", "xxhash64(text) as k").collect()}
+    found = simhash.similar_links(df, 5, 0.8).collect()
+    bands, sets = [set(simhash.min_bands(t, 5)) for t in texts], [set(simhash.shingles_of(t, 5)) for t in texts]
+    shared = [(i, j) for i in range(150) for j in range(i) if bands[i] & bands[j]]
+    true = [(i, j) for i, j in shared if len(sets[i] & sets[j]) >= 0.8 * len(sets[i] | sets[j])]
+    assert closure(150, [(key[a], key[b]) for a, b in found]) == closure(150, true)
+    assert len(shared) > 5000 and met[1] < len(shared) / 10
+
+
+def test_parity_of_texts_bounds_the_difference(spark):
+    a, b = " ".join(words(1, 300)), " ".join(words(1, 290) + words(2, 20))
+    x, y = (set(simhash.shingles_of(t, 5)) for t in (a, b))
+    (n, p), (m, q) = simhash.parity(a, 5), simhash.parity(b, 5)
+    assert (n, m) == (len(x), len(y)) and len(p) == simhash.SKETCH
+    assert 0 < np.bitwise_count((p ^ q).view(np.uint64)).sum() <= len(x ^ y)
+    assert simhash.parity(None, 5)[0] == 0
+
+
 def test_gray_index_finds_all_links():
     rng = np.random.default_rng(5)
     base = rng.integers(0, 1 << 63, 200).astype(np.uint64)
