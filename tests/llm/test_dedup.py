@@ -1,4 +1,5 @@
 import hashlib
+import itertools
 import random
 import re
 
@@ -248,6 +249,27 @@ def test_line_sketches_are_parities_of_shingles(spark):
     assert all(sum(bin(w & (1 << 64) - 1).count("1") for w in got[i]["bits"]) % 2 == got[i]["n"] % 2 for i in got)
 
 
+def test_line_work_is_done_once(spark):
+    """Documents are hashed below the generator of lines, lines are cut once for their sketch, values and bands are dealt out once."""
+    plan = lambda df, kind="optimizedPlan": getattr(df._jdf.queryExecution(), kind)().toString()
+    cut = plan(line_dedup._lines(docs(spark, [(1, "one line\nanother")]))).split("\n")
+    where = lambda what: [i for i, x in enumerate(cut) if what in x and "xxhash64(doc_id" in x or what == "Generate" and what in x]
+    assert len(where("Generate")) == 1 and where("row_key") and min(where("row_key")) > where("Generate")[0]
+    lines = spark.createDataFrame([(i, " ".join(words(i // 2, 30)) + " x" * (i % 2)) for i in range(20)] * 2, "line_id long, line string")
+    assert plan(line_dedup.sketched(lines)).count("encode(") == 1
+    signed = line_dedup.signed_lines(lines).localCheckpoint()
+    banded = line_dedup._bands(signed)
+    got = [(r["band"], r["line_id"], r["size"]) for r in banded.collect()]
+    assert plan(banded, "executedPlan").split("== Initial Plan ==")[0].count("ReusedExchange") == 2
+    sigs = {r["line_id"]: r["sig"] for r in signed.collect()}
+    members = {}
+    for i, sig in sigs.items():
+        for pair in itertools.combinations(sig, 2):
+            members.setdefault(pair, set()).add(i)
+    want = sorted((i, len(m)) for m in members.values() if len(m) > 1 for i in m)
+    assert sorted((i, n) for _, i, n in got) == want and len({(b, i) for b, i, _ in got}) == len(want) > 40
+
+
 def test_line_dedup_edges(spark):
     long = "\n".join(" ".join(words(i, 12)) for i in range(3000))
     rows = [(1, "keep me please now\n\nsecond line of it\nkeep me please now"), (2, "second line of it\n  \nown words stay here"), (3, None), (4, ""), (5, long), (6, "nospaces" * 500 + "\nx"), (6, "nospaces" * 500 + "\nx")]
