@@ -270,6 +270,20 @@ def test_line_work_is_done_once(spark):
     assert sorted((i, n) for _, i, n in got) == want and len({(b, i) for b, i, _ in got}) == len(want) > 40
 
 
+def test_lines_of_several_shared_bands_meet_once(spark, monkeypatch):
+    """The join across components makes each pair of lines once, however many bands both are in, and leaves none out."""
+    rng = random.Random(4)
+    held = {i: rng.sample(range(6), rng.randrange(1, 5)) for i in range(40)}
+    comp = {i: 100 + i // 3 for i in held}
+    top = {b: max(comp[i] for i in held if b in held[i]) for b in range(6)}
+    rows = [(b, i, 100, 90, [0] * 8, comp[i], top[b]) for i in held for b in held[i]]
+    apart = spark.createDataFrame(rows, "band long, line_id long, size long, n int, bits array<long>, comp long, top long")
+    monkeypatch.setattr(line_dedup, "_ordered", lambda met: met)
+    got = [tuple(sorted(r)) for r in line_dedup._rest(apart).select("x.line_id", "y.line_id").collect()]
+    want = {(i, j) for i in held for j in held if i < j and comp[i] != comp[j] and set(held[i]) & set(held[j])}
+    assert set(got) == want and len(got) == len(want)
+
+
 def test_line_dedup_edges(spark):
     long = "\n".join(" ".join(words(i, 12)) for i in range(3000))
     rows = [(1, "keep me please now\n\nsecond line of it\nkeep me please now"), (2, "second line of it\n  \nown words stay here"), (3, None), (4, ""), (5, long), (6, "nospaces" * 500 + "\nx"), (6, "nospaces" * 500 + "\nx")]
